@@ -164,7 +164,7 @@ def class_prior(pos_scores: np.ndarray, unl_scores: np.ndarray, delta: float = 0
 
 
 def train(pos: np.ndarray, unl: np.ndarray) -> PUNetwork:
-    """First model at prior 0.5, prior from its scores, second model at that prior.
+    """First model at prior 0.5 on half the rows, prior from its scores of the other half, then the model at that prior.
 
     With no positives or no unlabelled rows nothing can be learnt: the model then scores 0.5.
     """
@@ -172,8 +172,11 @@ def train(pos: np.ndarray, unl: np.ndarray) -> PUNetwork:
     if not len(pos) or not len(unl):
         net.w = [np.zeros_like(w) for w in net.w]
         return net
-    net.fit(pos, unl, 0.5, steps=150)
-    prior = class_prior(net.score(pos), net.score(unl))
+    if len(pos) < 2 or len(unl) < 2:
+        prior = 0.5
+    else:
+        net.fit(pos[::2], unl[::2], 0.5, steps=150)
+        prior = class_prior(net.score(pos[1::2]), net.score(unl[1::2]))
     net = PUNetwork(len(FEATURES))
     net.fit(pos, unl, prior)
     return net
