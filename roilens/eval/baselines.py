@@ -23,7 +23,7 @@ def click_only(clicks: DataFrame, pois: DataFrame, k: int = 5, delta: float = 0.
     raw = feedback.with_clicks(clicks.select("session_id", F.lit("").alias("attr"), F.lit("").alias("val"), F.lit(0.0).alias("raw")).limit(0), clicks, fr, delta)
     n_cells = facets.dictionary(fr).count()
     w = feedback.softmax(raw, n_cells)
-    combos = pois.groupBy(*attrs).agg(F.array_sort(F.collect_list("poi_id")).alias("ids")).withColumn("combo", F.monotonically_increasing_id())
+    combos = pois.groupBy(*attrs).agg(F.array_sort(F.collect_list("poi_id")).alias("ids")).withColumn("combo", F.struct(*attrs))
     first = combos.select("combo", F.slice("ids", 1, k).alias("ids"), *attrs)
     per_cell = first.select("combo", F.inline(F.array(*(F.struct(F.lit(a).alias("attr"), F.col(a).alias("val")) for a in attrs))))
     norm = w.groupBy("session_id").agg(F.max("norm").alias("norm"), F.max("w0").alias("w0"))

@@ -84,5 +84,5 @@ def apart(a: Column, b: Column) -> Column:
 def geojson(poly: Column) -> Column:
     """GeoJSON text of a polygon, the ring closed."""
     ring = F.concat(poly, F.slice(poly, 1, 1))
-    points = F.array_join(F.transform(ring, lambda v: F.concat(F.lit("["), F.format_number(v["x"], "0.######"), F.lit(","), F.format_number(v["y"], "0.######"), F.lit("]"))), ",")
+    points = F.array_join(F.transform(ring, lambda v: F.concat(F.lit("["), F.round(v["x"], 6).cast("string"), F.lit(","), F.round(v["y"], 6).cast("string"), F.lit("]"))), ",")
     return F.concat(F.lit('{"type":"Polygon","coordinates":[['), points, F.lit("]]}"))

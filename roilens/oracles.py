@@ -47,14 +47,14 @@ TABLES: list[tuple[str, str]] = [
     ("clus", """clus AS MATERIALIZED (SELECT s.*, coalesce(c.cluster_id, b.cluster_id) AS cluster_id, CASE WHEN c.e IS NOT NULL THEN 'core' WHEN b.cluster_id IS NOT NULL THEN 'border' ELSE 'noise' END AS role
   FROM seg s LEFT JOIN named c ON c.e = s.event_id LEFT JOIN (SELECT a, arg_min(cluster_id, d2 * 1000000000 + cluster_id) AS cluster_id FROM near JOIN named ON named.e = near.b GROUP BY a) b ON b.a = s.event_id)"""),
     ("px", "px AS MATERIALIZED (SELECT DISTINCT session_id, seg, cluster_id, x, y FROM clus WHERE cluster_id IS NOT NULL)"),
-    ("edge", """edge AS MATERIALIZED (SELECT p.session_id, p.seg, p.cluster_id, p.x AS ax, p.y AS ay, q.x AS bx, q.y AS by FROM px p JOIN px q ON p.cluster_id = q.cluster_id AND p.session_id = q.session_id AND (p.x <> q.x OR p.y <> q.y)
+    ("edge", """edge AS MATERIALIZED (SELECT p.session_id, p.seg, p.cluster_id, p.x AS ax, p.y AS ay, q.x AS bx, q.y AS ey FROM px p JOIN px q ON p.cluster_id = q.cluster_id AND p.session_id = q.session_id AND (p.x <> q.x OR p.y <> q.y)
   JOIN px r ON r.cluster_id = p.cluster_id AND r.session_id = p.session_id GROUP BY ALL
   HAVING bool_and((q.x - p.x) * (r.y - p.y) - (q.y - p.y) * (r.x - p.x) > 0 OR ((q.x - p.x) * (r.y - p.y) - (q.y - p.y) * (r.x - p.x) = 0
     AND (q.x - p.x) * (r.x - p.x) + (q.y - p.y) * (r.y - p.y) BETWEEN 0 AND (q.x - p.x) * (q.x - p.x) + (q.y - p.y) * (q.y - p.y))))"""),
-    ("hullm", "hullm AS MATERIALIZED (SELECT session_id, seg, cluster_id, sum(ax * by - bx * ay) / 2.0 AS area, sum(sqrt(((bx - ax) * (bx - ax) + (by - ay) * (by - ay))::DOUBLE)) AS perimeter, count(*) AS vertices FROM edge GROUP BY ALL)"),
+    ("hullm", "hullm AS MATERIALIZED (SELECT session_id, seg, cluster_id, sum(ax * ey - bx * ay) / 2.0 AS area, sum(sqrt(((bx - ax) * (bx - ax) + (ey - ay) * (ey - ay))::DOUBLE)) AS perimeter, count(*) AS vertices FROM edge GROUP BY ALL)"),
     ("parted", """parted AS MATERIALIZED (SELECT DISTINCT e.session_id, e.cluster_id AS a, o.cluster_id AS b FROM (
-    SELECT e.session_id, e.cluster_id, o.cluster_id AS oc, e.ax, e.ay, e.bx, e.by FROM edge e JOIN edge o ON e.session_id = o.session_id AND e.cluster_id <> o.cluster_id
-    GROUP BY ALL HAVING max((e.bx - e.ax) * (o.ay - e.ay) - (e.by - e.ay) * (o.ax - e.ax)) <= 0) e JOIN hullm o ON o.cluster_id = e.oc AND o.session_id = e.session_id)"""),
+    SELECT e.session_id, e.cluster_id, o.cluster_id AS oc, e.ax, e.ay, e.bx, e.ey FROM edge e JOIN edge o ON e.session_id = o.session_id AND e.cluster_id <> o.cluster_id
+    GROUP BY ALL HAVING max((e.bx - e.ax) * (o.ay - e.ay) - (e.ey - e.ay) * (o.ax - e.ax)) <= 0) e JOIN hullm o ON o.cluster_id = e.oc AND o.session_id = e.session_id)"""),
     ("roi", """roi AS MATERIALIZED (SELECT a.session_id, (row_number() OVER (PARTITION BY a.session_id ORDER BY a.cluster_id, b.cluster_id))::INT AS roi_id, a.cluster_id AS src_a, b.cluster_id AS src_b, a.seg AS seg_a, b.seg AS seg_b
   FROM hullm a JOIN hullm b ON a.session_id = b.session_id AND a.cluster_id < b.cluster_id WHERE a.area > 0 AND b.area > 0
   AND NOT EXISTS (SELECT 1 FROM parted p WHERE p.session_id = a.session_id AND ((p.a = a.cluster_id AND p.b = b.cluster_id) OR (p.a = b.cluster_id AND p.b = a.cluster_id))))"""),
@@ -62,7 +62,7 @@ TABLES: list[tuple[str, str]] = [
   FROM (SELECT *, p_partkey AS key FROM part))"""),
     ("facet", """facet AS MATERIALIZED (SELECT poi_id, 'brand' AS attr, brand AS val FROM poi UNION ALL SELECT poi_id, 'type', type FROM poi UNION ALL SELECT poi_id, 'size_decade', size_decade FROM poi
   UNION ALL SELECT poi_id, 'colour', colour FROM poi UNION ALL SELECT poi_id, 'noun', noun FROM poi)"""),
-    ("inhull", """inhull AS MATERIALIZED (SELECT e.session_id, e.cluster_id, p.poi_id FROM edge e JOIN poi p ON true GROUP BY ALL HAVING bool_and((e.bx - e.ax) * (p.my - e.ay) - (e.by - e.ay) * (p.mx - e.ax) > 0))"""),
+    ("inhull", """inhull AS MATERIALIZED (SELECT e.session_id, e.cluster_id, p.poi_id FROM edge e JOIN poi p ON true GROUP BY ALL HAVING bool_and((e.bx - e.ax) * (p.my - e.ay) - (e.ey - e.ay) * (p.mx - e.ax) > 0))"""),
     ("match", """match AS MATERIALIZED (SELECT r.session_id, r.roi_id, i.poi_id FROM roi r JOIN inhull i ON i.session_id = r.session_id AND i.cluster_id = r.src_a JOIN inhull j ON j.session_id = r.session_id AND j.cluster_id = r.src_b AND j.poi_id = i.poi_id)"""),
     ("inc", "inc AS MATERIALIZED (SELECT m.session_id, m.roi_id, f.attr, f.val, count(*) * 0.05::DOUBLE AS inc FROM match m JOIN facet f USING (poi_id) GROUP BY ALL)"),
     ("fb", "fb AS MATERIALIZED (SELECT session_id, attr, val, sum(inc) AS raw FROM inc GROUP BY ALL)"),
@@ -144,7 +144,7 @@ def _stretched(factor: str) -> str:
 
 
 _LEAVES = """cell AS (SELECT mx + 1024 AS cx, my + 1024 AS cy FROM poi),
-code AS MATERIALIZED (SELECT (SELECT sum(((cx >> i) & 1) << (2 * i) | ((cy >> i) & 1) << (2 * i + 1)) FROM range(11) t(i))::BIGINT AS code FROM cell),
+code AS MATERIALIZED (SELECT (SELECT sum((((cx >> i) & 1) << (2 * i)) + (((cy >> i) & 1) << (2 * i + 1))) FROM range(11) t(i))::BIGINT AS code FROM cell),
 lv AS MATERIALIZED (SELECT d AS depth, code >> (2 * (11 - d)) AS code, count(*) AS n FROM code, range(12) t(d) GROUP BY ALL),
 leaf AS (SELECT a.depth::INT AS depth, a.code, a.n FROM lv a LEFT JOIN lv b ON b.depth = a.depth - 1 AND b.code = a.code >> 2 WHERE (a.n <= 64 OR a.depth = 11) AND (a.depth = 0 OR b.n > 64))"""
 

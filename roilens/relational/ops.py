@@ -256,7 +256,7 @@ def op_rollup(s, d):
 @op("SELECT p_type, count(*) FILTER ((p_size - 1) // 10 = 0) AS d0, count(*) FILTER ((p_size - 1) // 10 = 1) AS d1, count(*) FILTER ((p_size - 1) // 10 = 4) AS d4 FROM part GROUP BY p_type")
 def op_pivot(s, d):
     p = _t(s, d, "part").withColumn("dec", F.expr("(p_size - 1) div 10"))
-    out = p.groupBy("p_type").pivot("dec", [0, 1, 4]).agg(F.count("*").alias("n"))
+    out = p.groupBy("p_type").pivot("dec", [0, 1, 4]).agg(F.count("p_partkey"))
     return out.select("p_type", *(F.coalesce(F.col(f"`{i}`"), F.lit(0)).cast("long").alias(f"d{i}") for i in (0, 1, 4)))
 
 
