@@ -9,6 +9,7 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 POLYGON = "array<struct<x:double,y:double>>"
+ON_EDGE = 1e-7
 
 
 def _next(poly: Column) -> Column:
@@ -53,12 +54,17 @@ def bbox(poly: Column) -> Column:
 
 
 def contains(poly: Column, x: Column, y: Column, boundary: bool = False) -> Column:
-    """Whether a point lies strictly inside (or on the boundary too); edges without length are passed over."""
+    """Whether a point lies strictly inside (or on the boundary too); edges without length are passed over.
+
+    Clipped vertices are rounded, so points within ``ON_EDGE`` of an edge's line count as on it.
+    """
 
     def side(e: Column) -> Column:
-        c = (e["bx"] - e["ax"]) * (y - e["ay"]) - (e["by"] - e["ay"]) * (x - e["ax"])
-        none = (e["ax"] == e["bx"]) & (e["ay"] == e["by"])
-        return none | ((c >= 0) if boundary else (c > 0))
+        dx, dy = e["bx"] - e["ax"], e["by"] - e["ay"]
+        c = dx * (y - e["ay"]) - dy * (x - e["ax"])
+        near = F.lit(ON_EDGE) * F.hypot(dx, dy)
+        none = (dx == 0) & (dy == 0)
+        return none | ((c >= -near) if boundary else (c > near))
 
     return (F.size(poly) >= 3) & F.forall(edges(poly), side)
 
