@@ -31,7 +31,7 @@ _powers: list[np.ndarray] = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     """The first n powers of the hash base and of its inverse, modulo 2**64."""
     if len(_powers[0]) < n:
-        size = max(n, SLICE_BYTES * 5 // 4)
+        size = max(n + n // 4, 1 << 20)
         for k, b in enumerate((_BASE, _INVERSE)):
             p = np.full(size, b, np.uint64)
             p[0] = 1

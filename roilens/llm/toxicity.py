@@ -21,14 +21,15 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .common import fold, labelled_sample
-from .textscan import Scan, slices
+from .textscan import Scan, keyed, slices
 
-SAMPLE = 9000
+SAMPLE = 6000
 MIN_DOCS = 4
 HELD_OUT = (5, 0)
 THRESHOLD = 0.5
 SEED = 31
 PREFIXES = (4, 5, 6)
+TRAIN_SLICE, SKETCH_BITS = 1 << 20, 22
 
 _LETTER = np.zeros(256, bool)
 _LETTER[[*range(48, 58), *range(65, 91), *range(97, 123), *range(128, 256)]] = True
@@ -109,24 +110,35 @@ class BagModel:
 
 def train(texts: pa.Array, y: np.ndarray, steps: int = 150, rate: float = 0.15, ridge: float = 2e-4, sparse: float = 2e-3) -> BagModel:
     """Fit by full-batch Adam on the noisy-or log-likelihood with ridge and soft-threshold shrinkage."""
-    docs, owners, keys, base, first = [], [], [], 0, 0
-    for a, b in slices(texts):
+    parts = list(slices(texts, TRAIN_SLICE))
+    # first pass: a counting sketch of documents by feature, which no rare feature passes but by collision
+    sketch = np.zeros(1 << SKETCH_BITS, np.int32)
+    low = np.uint64((1 << SKETCH_BITS) - 1)
+    for a, b in parts:
+        _, d, _, o, k, _ = sentence_features(texts.slice(a, b - a))
+        _, once = np.unique(keyed(k, d[o]), return_index=True)
+        sketch += np.bincount((k[once] & low).astype(np.int64), minlength=len(sketch)).astype(np.int32)
+    docs, owners, keys, seen, base = [], [], [], [], 0
+    for a, b in parts:
         n, d, _, o, k, _ = sentence_features(texts.slice(a, b - a))
-        docs.append(d + first)
-        owners.append(o + base)
+        often = sketch[(k & low).astype(np.int64)] >= MIN_DOCS
+        o, k = o[often], k[often]
+        _, once = np.unique(keyed(k, d[o]), return_index=True)
+        docs.append((d + a).astype(np.int32))
+        owners.append((o + base).astype(np.int32))
         keys.append(k)
+        seen.append(k[once])
         base += n
-        first += b - a
     if not base or not y.any() or y.all():
         share = float(np.clip(y.mean(), 1e-3, 1 - 1e-3)) if len(y) else 1e-3
         return BagModel(np.empty(0, np.uint64), np.empty(0), float(np.log(share / (1 - share))) - 3.0)
     doc, owner, key = np.concatenate(docs), np.concatenate(owners), np.concatenate(keys)
-    pair = np.unique(np.column_stack([key, doc[owner].astype(np.uint64)]), axis=0)
-    known, df = np.unique(pair[:, 0], return_counts=True)
+    known, df = np.unique(np.concatenate(seen), return_counts=True)
     known = known[df >= MIN_DOCS]
     at = np.minimum(np.searchsorted(known, key), len(known) - 1) if len(known) else np.zeros(len(key), int)
     hit = known[at] == key if len(known) else np.zeros(len(key), bool)
-    owner, col = owner[hit], at[hit]
+    owner, col = owner[hit], at[hit].astype(np.int32)
+    del docs, owners, keys, seen, key, at, hit
     n_docs, n_features = len(y), len(known)
     w, bias = np.zeros(n_features), -5.0
     m, v, mb, vb = np.zeros(n_features), np.zeros(n_features), 0.0, 0.0
