@@ -22,8 +22,10 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import written
 from .textscan import Scan, slices
@@ -91,6 +93,8 @@ def matches(found: DataFrame) -> DataFrame:
         .where("other < _last")
         .drop("_last")
     )
+    # written, so that both sides of the join are dealt by it alone and a hot seed's rows can be split
+    heads = written(heads, "heads")
     return found.join(heads, F.col("seed") == F.col("_seed")).where("doc > other").select("doc", "pos", "other", "other_pos")
 
 
@@ -229,6 +233,25 @@ def align(a: list[int], b: list[int], anchors: list[int], other: list[int], k: i
     return a0, a1, b0, b1, min(1.0, (equal + e + f) / max(a1 - a0, b1 - b0, 1))
 
 
+def packed(docs: DataFrame) -> DataFrame:
+    """``docs`` with ``text`` as Zstandard bytes, for shuffles that carry whole texts; null stays null."""
+    names, at = list(docs.columns), docs.columns.index("text")
+
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pack = zstandard.ZstdCompressor(level=3).compress
+        for b in batches:
+            small = pa.array([None if t is None else pack(t) for t in b.column(at).cast(pa.binary()).to_pylist()], pa.binary())
+            yield pa.RecordBatch.from_arrays([small if i == at else c for i, c in enumerate(b.columns)], names)
+
+    return docs.mapInArrow(rows, T.StructType([T.StructField(f.name, T.BinaryType()) if f.name == "text" else f for f in docs.schema]))
+
+
+def unpacked(column: pa.Array) -> pa.Array:
+    """The texts of a column of ``packed``."""
+    unpack = zstandard.ZstdDecompressor().decompress
+    return pa.array([None if t is None else unpack(t) for t in column.to_pylist()], pa.binary()).cast(pa.string())
+
+
 def passages(docs: DataFrame) -> DataFrame:
     """(doc, other, lo, hi, other_lo, other_hi, similarity) in words: aligned chains that are alike.
 
@@ -241,7 +264,7 @@ def passages(docs: DataFrame) -> DataFrame:
         F.greatest(F.lit(0), F.element_at("other_anchors", 1) - MARGIN).alias("other_lo"), (F.element_at("other_anchors", -1) + K + MARGIN).alias("other_hi"),
     )
     asked = sides.select("doc", "lo", "hi").unionAll(sides.select("other", "other_lo", "other_hi")).distinct()
-    texts = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("_doc"), "text")
+    texts = packed(docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("_doc"), "text"))
     pieces = _cut(asked.join(texts, F.col("doc") == F.col("_doc")).select("doc", "lo", "hi", "text"))
     cut = written(pieces.groupBy("doc", "lo", "hi").agg(F.min("words").alias("words")), "pieces")  # one row even where an id repeats
     own = cut.select(F.col("doc").alias("_d"), F.col("lo").alias("_l"), F.col("hi").alias("_h"), F.col("words").alias("a"))
@@ -266,13 +289,14 @@ def passages(docs: DataFrame) -> DataFrame:
 
 
 def _cut(rows_in: DataFrame) -> DataFrame:
-    """The requested words of a text as their hashes, eight bytes a word."""
+    """The requested words of a packed text as their hashes, eight bytes a word."""
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             lo, hi = b.column(1).to_numpy(), b.column(2).to_numpy()
-            for x, y in slices(b.column(3)):
-                s = Scan(b.column(3).slice(x, y - x))
+            texts = unpacked(b.column(3))
+            for x, y in slices(texts):
+                s = Scan(texts.slice(x, y - x))
                 h = s.word_hashes(lower=True)
                 begin = np.searchsorted(s.word_doc, np.arange(s.n + 1), "left")
                 words = [h[min(begin[i] + lo[x + i], begin[i + 1]) : min(begin[i] + hi[x + i], begin[i + 1])].tobytes() for i in range(s.n)]
@@ -317,13 +341,13 @@ def without_passages(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     The first document that holds a passage keeps it.  What is left is joined by line feeds; ``n_chars``,
     where there is such a column, follows the new text.
     """
-    spans = united(written(passages(docs), "passages"), min_words).select(F.col("doc").alias("_doc"), "spans")
-    joined = docs.join(spans, F.col("doc_id").cast("long") == F.col("_doc"), "left")
+    spans = united(written(passages(docs), "passages"), min_words).select(F.col("doc").alias("_doc"), F.col("spans").alias("_spans"))
+    joined = packed(docs).join(spans, F.col("doc_id").cast("long") == F.col("_doc"), "left")
     names, at = list(docs.columns), docs.columns.index("text")
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            texts = b.column(at)
+            texts = unpacked(b.column(at))
             lists = b.column(b.num_columns - 1).to_pylist()
             if any(lists):
                 new = [cut_text(t, x) if x and t is not None else t for t, x in zip(texts.to_pylist(), lists, strict=True)]
@@ -331,7 +355,7 @@ def without_passages(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
             columns = [texts if i == at else c for i, c in enumerate(b.columns[:-1])]
             yield pa.RecordBatch.from_arrays(columns, names)
 
-    out = joined.select(*docs.columns, "spans").mapInArrow(rows, docs.schema)
+    out = joined.select(*docs.columns, "_spans").mapInArrow(rows, docs.schema)
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)).select(*docs.columns)
     return out
