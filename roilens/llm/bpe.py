@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
 MEMO_BYTES = 32
-MEMO_ENTRIES = 700_000
+MEMO_ENTRIES = 400_000
 
 
 class RankQueue:

@@ -15,7 +15,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 1 << 20
 _ENDED = pa.scalar("\n", pa.large_string()), pa.scalar("", pa.large_string())
 _RNG = np.random.default_rng(20240101)
 _TABLE = _RNG.integers(1, 1 << 63, 256, dtype=np.uint64) | np.uint64(1)
