@@ -8,7 +8,7 @@ number of queue steps, so a pre-token of n bytes costs O(n) steps however long i
 the best pair would cost O(n^2)).  Buckets hold positions in ascending order of arrival; equal ranks
 are taken leftmost first, as the reference tokenizers do.
 
-A per-worker memo of short pre-tokens saves repeated work; it is bounded and changes no result.
+A memo of short pre-tokens saves repeated work; it is bounded, lives for one task and changes no result.
 """
 
 from __future__ import annotations
@@ -24,6 +24,8 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from .textscan import tidy
+
 MEMO_BYTES = 32
 MEMO_ENTRIES = 400_000
 
@@ -181,8 +183,9 @@ def encode_column(docs: DataFrame, rank_file: str, pattern: str) -> DataFrame:
                 part = b.slice(i, 500)
                 ids = [np.array(bpe.encode(t or ""), np.int32) for t in part.column(at).to_pylist()]
                 yield pa.RecordBatch.from_arrays([*part.columns, pa.array(ids, pa.list_(pa.int32()))], schema.names)
+        bpe.memo.clear()
 
-    return kept.mapInArrow(rows, schema)
+    return kept.mapInArrow(tidy(rows), schema)
 
 
 def digests(docs: DataFrame, rank_file: str, pattern: str) -> DataFrame:
@@ -201,5 +204,6 @@ def digests(docs: DataFrame, rank_file: str, pattern: str) -> DataFrame:
                 ids_hash.append(hashlib.sha256(" ".join(map(decimal.__getitem__, ids)).encode()).hexdigest())
                 text_hash.append(hashlib.sha256(bpe.decode(ids)).hexdigest())
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(ids_hash), pa.array(text_hash)], schema.names)
+        bpe.memo.clear()
 
-    return base.mapInArrow(rows, schema)
+    return base.mapInArrow(tidy(rows), schema)

@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .common import fold, labelled_sample, unit_hash
-from .textscan import Scan, keyed, repeated, slices
+from .textscan import Scan, keyed, repeated, slices, tidy
 
 POSITIVES = 8000
 UNLABELLED = 16000
@@ -190,7 +190,7 @@ def _feature_rows(df: DataFrame) -> DataFrame:
             x = features(b.column(0))
             yield pa.RecordBatch.from_arrays([pa.array(list(x), pa.list_(pa.float64())), b.column(1)], ["x", "y"])
 
-    return df.select("text", F.col("_label").alias("y")).mapInArrow(rows, "x array<double>, y int")
+    return df.select("text", F.col("_label").alias("y")).mapInArrow(tidy(rows), "x array<double>, y int")
 
 
 def fit(spark: SparkSession, docs: DataFrame, labels: DataFrame, positives: int = POSITIVES, unlabelled: int = UNLABELLED) -> PUNetwork:
@@ -217,7 +217,7 @@ def score(docs: DataFrame, model: PUNetwork) -> DataFrame:
 
     base = docs.select("doc_id", (fold("doc_id", HELD_OUT[0]) == HELD_OUT[1]).alias("held_out"), "text")
     schema = T.StructType([base.schema["doc_id"], base.schema["held_out"], T.StructField("score", T.DoubleType())])
-    return base.mapInArrow(rows, schema).withColumn("predicted", (F.col("score") >= THRESHOLD).cast("int"))
+    return base.mapInArrow(tidy(rows), schema).withColumn("predicted", (F.col("score") >= THRESHOLD).cast("int"))
 
 
 def keep_good(docs: DataFrame, model: PUNetwork, threshold: float = THRESHOLD) -> DataFrame:
@@ -228,4 +228,4 @@ def keep_good(docs: DataFrame, model: PUNetwork, threshold: float = THRESHOLD) -
         for b in batches:
             yield b.filter(pa.array(model.score(features(b.column(at))) >= threshold))
 
-    return docs.mapInArrow(rows, docs.schema)
+    return docs.mapInArrow(tidy(rows), docs.schema)

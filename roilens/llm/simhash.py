@@ -27,6 +27,7 @@ from pyspark.sql import types as T
 from pyspark.sql.window import Window as W
 
 from .common import written
+from .textscan import tidy
 from .components import components
 
 RADIUS = 2
@@ -64,7 +65,7 @@ def with_fingerprint(docs: DataFrame) -> DataFrame:
             fps = np.fromiter((fingerprint(t.as_py()) for t in texts), np.uint64, len(texts))
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps.view(np.int64))], ["doc_id", "fp"])
 
-    return base.mapInArrow(rows, schema)
+    return base.mapInArrow(tidy(rows), schema)
 
 
 def variants(radius: int) -> list[int]:
@@ -122,5 +123,5 @@ def keep_one(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(np.array(fps, np.uint64).view(np.int64))], schema.names)
 
     rank = F.row_number().over(W.partitionBy("_fp").orderBy(F.col("text").asc_nulls_last()))
-    lone = bare.mapInArrow(mark, schema).join(unnamed, F.col("_row_fp") == F.col("_fp")).withColumn("_rank", rank).where("_rank = 1")
+    lone = bare.mapInArrow(tidy(mark), schema).join(unnamed, F.col("_row_fp") == F.col("_fp")).withColumn("_rank", rank).where("_rank = 1")
     return one.unionByName(lone.select(*docs.columns))

@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .common import written
-from .textscan import Scan, slices
+from .textscan import Scan, slices, tidy
 
 K = 5
 WINDOW = 12
@@ -81,7 +81,7 @@ def seeds(docs: DataFrame) -> DataFrame:
                 ids = b.column(0).slice(lo, hi - lo).to_numpy(zero_copy_only=False).astype(np.int64)
                 yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(ids[doc]), pa.array((at - begin[doc]).astype(np.int32)), pa.array(first)], ["seed", "doc", "pos", "first"])
 
-    return docs.where("doc_id is not null").select(F.col("doc_id").cast("long"), "text").mapInArrow(rows, "seed long, doc long, pos int, first boolean")
+    return docs.where("doc_id is not null").select(F.col("doc_id").cast("long"), "text").mapInArrow(tidy(rows), "seed long, doc long, pos int, first boolean")
 
 
 def matches(found: DataFrame) -> DataFrame:
@@ -185,7 +185,7 @@ def chained(matched: DataFrame, min_chain: int = MIN_CHAIN) -> DataFrame:
                             right.append([qs[j] for j in c])
             yield pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(other, pa.int64()), pa.array(left, pa.list_(pa.int32())), pa.array(right, pa.list_(pa.int32()))], ["doc", "other", "anchors", "other_anchors"])
 
-    return per_doc.mapInArrow(rows, schema)
+    return per_doc.mapInArrow(tidy(rows), schema)
 
 
 def _outward(a: list[int], b: list[int], i: int, j: int, step: int) -> tuple[int, int]:
@@ -243,7 +243,7 @@ def packed(docs: DataFrame) -> DataFrame:
             small = pa.array([None if t is None else pack(t) for t in b.column(at).cast(pa.binary()).to_pylist()], pa.binary())
             yield pa.RecordBatch.from_arrays([small if i == at else c for i, c in enumerate(b.columns)], names)
 
-    return docs.mapInArrow(rows, T.StructType([T.StructField(f.name, T.BinaryType()) if f.name == "text" else f for f in docs.schema]))
+    return docs.mapInArrow(tidy(rows), T.StructType([T.StructField(f.name, T.BinaryType()) if f.name == "text" else f for f in docs.schema]))
 
 
 def unpacked(column: pa.Array) -> pa.Array:
@@ -285,7 +285,7 @@ def passages(docs: DataFrame) -> DataFrame:
 
     names = ["doc", "other", "lo", "hi", "other_lo", "other_hi", "similarity"]
     kinds = [pa.int64(), pa.int64(), *[pa.int32()] * 4, pa.float64()]
-    return both.select("doc", "other", "anchors", "other_anchors", "lo", "other_lo", "a", "b").mapInArrow(rows, "doc long, other long, lo int, hi int, other_lo int, other_hi int, similarity double")
+    return both.select("doc", "other", "anchors", "other_anchors", "lo", "other_lo", "a", "b").mapInArrow(tidy(rows), "doc long, other long, lo int, hi int, other_lo int, other_hi int, similarity double")
 
 
 def _cut(rows_in: DataFrame) -> DataFrame:
@@ -303,7 +303,7 @@ def _cut(rows_in: DataFrame) -> DataFrame:
                 part = b.slice(x, y - x)
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), part.column(2), pa.array(words, pa.binary())], ["doc", "lo", "hi", "words"])
 
-    return rows_in.mapInArrow(rows, "doc long, lo int, hi int, words binary")
+    return rows_in.mapInArrow(tidy(rows), "doc long, lo int, hi int, words binary")
 
 
 def united(found: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
@@ -355,7 +355,7 @@ def without_passages(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
             columns = [texts if i == at else c for i, c in enumerate(b.columns[:-1])]
             yield pa.RecordBatch.from_arrays(columns, names)
 
-    out = joined.select(*docs.columns, "_spans").mapInArrow(rows, docs.schema)
+    out = joined.select(*docs.columns, "_spans").mapInArrow(tidy(rows), docs.schema)
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)).select(*docs.columns)
     return out
