@@ -4,7 +4,7 @@ Every stage is ``f(spark, docs, sf_dir) -> DataFrame``; its result is written as
 as the next stage's documents.  All but the last return the columns of documents, extra ones included.
 
 1. quality classifier: documents scored below the threshold go
-2. SimHash near-duplicates: one document of each group stays
+2. near-duplicates, five-word shingles at least 0.8 alike: one document of each group stays
 3. substring deduplication: passages that repeat an earlier document's are cut from texts
 4. mixing: rows as often as their source's target asks
 5. byte-level BPE: token ids beside the columns of documents
@@ -15,7 +15,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from roilens.llm import bpe, mixing, quality_pu, simhash, substring
+from roilens.llm import alike, bpe, mixing, quality_pu, substring
 from roilens.llm.common import table, written
 from roilens.llm.registry import RANK_FILE
 
@@ -26,8 +26,8 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One row of each SimHash component."""
-    return simhash.keep_one(docs)
+    """One row of each group linked by five-word shingle similarity of 0.8 or more."""
+    return alike.keep_one(docs)
 
 
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -15,7 +15,7 @@ Null ids are never a component's id unless it has no other.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from itertools import combinations, repeat
 
 import numpy as np
@@ -108,7 +108,15 @@ def keep_one(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
     all null leaves the row with the least fingerprint, then the least text.
     """
     marked = written(with_fingerprint(docs), "marked")
-    of = written(classes(marked, radius), "classes")
+
+    def fps(texts: pa.Array) -> np.ndarray:
+        return np.array([fingerprint(t or b"") for t in texts.cast(pa.binary()).to_pylist()], np.uint64).view(np.int64)
+
+    return one_each(docs, written(classes(marked, radius), "classes"), fps)
+
+
+def one_each(docs: DataFrame, of: DataFrame, fps: Callable[[pa.Array], np.ndarray]) -> DataFrame:
+    """``keep_one`` for the classes ``of`` (fp, component_id, root), where ``fps`` gives the fp of each text."""
     keep = of.where("component_id is not null").select(F.col("component_id").alias("_keep")).distinct()
     named = docs.join(keep, F.col("doc_id") == F.col("_keep")).drop("_keep")
     one = named.withColumn("_rank", F.row_number().over(W.partitionBy("doc_id").orderBy("text"))).where("_rank = 1").drop("_rank")
@@ -119,8 +127,7 @@ def keep_one(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
 
     def mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            fps = [fingerprint(t or b"") for t in b.column(at).cast(pa.binary()).to_pylist()]
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(np.array(fps, np.uint64).view(np.int64))], schema.names)
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(fps(b.column(at)))], schema.names)
 
     rank = F.row_number().over(W.partitionBy("_fp").orderBy(F.col("text").asc_nulls_last()))
     lone = bare.mapInArrow(tidy(mark), schema).join(unnamed, F.col("_row_fp") == F.col("_fp")).withColumn("_rank", rank).where("_rank = 1")

@@ -14,7 +14,7 @@ import pytest
 import tiktoken
 import xxhash
 
-from roilens.llm import bpe, chat, components, edit_embedding, licenses, mixing, quality_pu, quality_rules, registry, simhash, substring, textscan, toxicity
+from roilens.llm import alike, bpe, chat, components, edit_embedding, licenses, mixing, quality_pu, quality_rules, registry, simhash, substring, textscan, toxicity
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 ODD = [
@@ -169,6 +169,32 @@ def test_simhash_against_all_pairs(spark):
     assert {r.doc_id: (r.fingerprint, r.component_id) for r in got} == {i: (f"{fp[i]:016x}", want[i]) for i in ids}
 
 
+def test_near_duplicate_stage_equals_all_pairs_jaccard(spark):
+    import corpus_pipeline
+
+    rng = random.Random(3)
+    texts = []
+    for share in (0.005, 0.01, 0.02, 0.03, 0.04):
+        for _ in range(12):
+            base = words(rng, rng.randrange(60, 400))
+            texts.append(" ".join(base))
+            for _ in range(4):
+                texts.append(" ".join(w if rng.random() > share else f"new{rng.randrange(10**6)}" for w in base))
+    chain = words(rng, 300)  # neighbours alike, ends not
+    for i in range(12):
+        texts.append(" ".join(chain[:i * 20] + words(random.Random(i), 3) + chain[i * 20 + 3 :]))
+    sets = []
+    for t in texts:
+        w = t.split()
+        sets.append({tuple(w[i : i + 5]) for i in range(len(w) - 4)})
+    links = [(i, j) for i in range(len(sets)) for j in range(i) if len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j])]
+    comp = components_slow(links, range(len(texts)))
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r.doc_id for r in corpus_pipeline.near_duplicates(spark, docs, "").collect()}
+    assert got == set(comp.values()) and len(got) < len(texts)
+    assert {r.doc_id for r in simhash.keep_one(docs).collect()} != got
+
+
 def test_components_of_a_long_path_and_a_hub(spark):
     edges = [(i, i + 1) for i in range(0, 200)] + [(1000, 1000 + i) for i in range(1, 150)] + [(5000, 5000)]
     got = dict(rows(components.components(spark.createDataFrame(edges, "a long, b long"))))
