@@ -72,7 +72,7 @@ class Params:
     swap: str = "first"
     diversity: str = "mean"
     time_limit_ms: int | None = None
-    max_scan: int = 200
+    max_scan: int | None = None
     weights: tuple[float, float, float] = (0.5, 0.25, 0.25)
     fuzzy: str = "topk_mean"
     fuzzifier: float = 2.0

@@ -28,7 +28,7 @@ def set_diversity(items: list[tuple], how: str = "mean") -> float:
 
 def swap_scan(
     items: list[tuple], k: int, threshold: float = 0.3, guard: str = "intent", swap: str = "first", diversity: str = "mean",
-    max_scan: int = 200, time_limit_ms: int | None = None, clock: Callable[[], float] = time.monotonic,
+    max_scan: int | None = None, time_limit_ms: int | None = None, clock: Callable[[], float] = time.monotonic,
 ) -> tuple[list[int], int, str]:
     """(chosen indices, points scanned, why it stopped) over points' attribute tuples in order of relevance.
 
@@ -43,7 +43,7 @@ def swap_scan(
     while True:
         if at >= len(items):
             return chosen, scanned, "end"
-        if scanned >= max_scan:
+        if max_scan is not None and scanned >= max_scan:
             return chosen, scanned, "max_scan"
         if until is not None and clock() >= until:
             return chosen, scanned, "time"
@@ -70,11 +70,13 @@ def swap_scan(
 def highlight(ranked: DataFrame, pois: DataFrame, k_primes: DataFrame, attrs: list[str], params: Params = Params()) -> DataFrame:
     """Highlights of every region from its ranked points (session_id, roi_id, poi_id, relevance, rank).
 
-    Only the first k' + max_scan points of a region are joined and shipped to the kernel, which a
-    window group limit cuts before the shuffle.
+    The scan goes on to the guard or the end of the list.  Where max_scan is given, only the first
+    k' + max_scan points of a region are joined and shipped to the kernel.
     """
     p = params
-    rows = ranked.join(k_primes.select("session_id", "roi_id", "k_prime"), ["session_id", "roi_id"]).where(F.col("rank") <= F.least(F.col("k_prime"), F.lit(p.k)) + p.max_scan)
+    rows = ranked.join(k_primes.select("session_id", "roi_id", "k_prime"), ["session_id", "roi_id"])
+    if p.max_scan is not None:
+        rows = rows.where(F.col("rank") <= F.least(F.col("k_prime"), F.lit(p.k)) + p.max_scan)
     rows = rows.where("k_prime > 0").join(pois.select("poi_id", F.array(*attrs).alias("_a")), "poi_id")
 
     def kernel(table: pa.Table) -> pa.Table:

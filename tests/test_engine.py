@@ -177,6 +177,18 @@ def test_greedy_examples():
     assert greedy.set_diversity(pts[:2]) == pytest.approx(1 / 3)
 
 
+def test_greedy_scans_to_the_end_of_a_long_list(spark):
+    pts = [("1", "1", "1")] * 300
+    pts[270] = ("1", "1", "2")
+    assert greedy.swap_scan(pts, 2) == ([270, 1], 298, "end")
+    assert greedy.swap_scan(pts, 2, max_scan=200) == ([0, 1], 200, "max_scan")
+    ranked = spark.createDataFrame([(0, 0, i, 1 - i / 1000, i + 1) for i in range(300)], "session_id long, roi_id int, poi_id long, relevance double, rank int")
+    pois = spark.createDataFrame([(i, *x) for i, x in enumerate(pts)], "poi_id long, a string, b string, c string")
+    k = spark.createDataFrame([(0, 0, 2)], "session_id long, roi_id int, k_prime int")
+    got = greedy.highlight(ranked, pois, k, ["a", "b", "c"]).collect()
+    assert {(r.poi_id, r.scanned, r.stop_reason) for r in got} == {(1, 298, "end"), (270, 298, "end")}
+
+
 def test_greedy_never_loses_diversity():
     rng = random.Random(12)
     for _ in range(60):
