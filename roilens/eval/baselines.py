@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
@@ -10,26 +12,59 @@ from .. import pipeline
 from ..collect import sources
 from ..geo import polygon
 from ..params import Params
+from ..storage import written
 from ..suggest import facets, feedback
 
+#: Facet combinations that a kernel scores at a time, about.
+COMBOS = 50_000
+
 
 def click_only(clicks: DataFrame, pois: DataFrame, k: int = 5, delta: float = 0.05) -> DataFrame:
     """(session_id, rank, poi_id, relevance): feedback from clicked POIs alone, no regions; the k most relevant POIs.
 
-    Relevance depends on a POI's facets only, so sessions meet distinct facet combinations, not POIs.
+    Relevance depends on a POI's facets only, so sessions meet distinct facet combinations, not POIs.  Groups
+    of sessions meet blocks of combinations in a kernel that keeps each session's k best, so no product of
+    the two is ever a table.
     """
     attrs = facets.attributes(pois)
     fr = facets.facets(pois)
     raw = feedback.with_clicks(clicks.select("session_id", F.lit("").alias("attr"), F.lit("").alias("val"), F.lit(0.0).alias("raw")).limit(0), clicks, fr, delta)
     n_cells = facets.dictionary(fr).count()
     w = feedback.softmax(raw, n_cells)
-    combos = pois.groupBy(*attrs).agg(F.array_sort(F.collect_list("poi_id")).alias("ids")).withColumn("combo", F.struct(*attrs))
-    first = combos.select("combo", F.slice("ids", 1, k).alias("ids"), *attrs)
-    per_cell = first.select("combo", F.inline(F.array(*(F.struct(F.lit(a).alias("attr"), F.col(a).alias("val")) for a in attrs))))
-    norm = w.groupBy("session_id").agg(F.max("norm").alias("norm"), F.max("w0").alias("w0"))
-    dot = w.join(per_cell, ["attr", "val"]).groupBy("session_id", "combo").agg(F.sum(F.col("weight") - F.col("w0")).alias("_d"))
-    scored = dot.join(norm, "session_id").select("session_id", "combo", ((F.col("_d") + F.lit(len(attrs)) * F.col("w0")) / (F.col("norm") * F.sqrt(F.lit(float(len(attrs)))))).alias("relevance"))
-    top = scored.join(first.select("combo", "ids"), "combo").select("session_id", F.explode("ids").alias("poi_id"), "relevance")
+    combos = pois.groupBy(*attrs).agg(F.array_sort(F.collect_list("poi_id")).alias("ids")).select(F.slice("ids", 1, k).alias("ids"), *attrs)
+    combos = written(combos, "combos")
+    groups = int(pois.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    blocks = 1 + combos.count() // COMBOS
+    w = w.select(F.pmod(F.xxhash64("session_id"), F.lit(groups)).alias("g"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("b"), "session_id", "attr", "val", "weight", "w0", "norm")
+    dealt = combos.select(F.explode(F.sequence(F.lit(0).cast("long"), F.lit(groups - 1).cast("long"))).alias("g"), F.pmod(F.xxhash64(*attrs), F.lit(blocks)).cast("int").alias("b"), "ids", *attrs)
+
+    def kernel(of: pa.Table, there: pa.Table) -> pa.Table:
+        out = []
+        if of.num_rows and there.num_rows:
+            first = np.array([x[0] for x in there.column("ids").to_pylist()])
+            ids, codes = there.column("ids").to_pylist(), {}
+            number = {}
+            for name in attrs:  # every attribute's values are numbered, absent ones included
+                d = there.column(name).combine_chunks().dictionary_encode(null_encoding="encode")
+                codes[name], values = d.indices.to_numpy(), d.dictionary.to_pylist()
+                number[name] = {v: i for i, v in enumerate(values)}
+            t = of.sort_by("session_id")
+            sid, attr, val = t.column("session_id").to_numpy(), t.column("attr").to_pylist(), t.column("val").to_pylist()
+            weight, w0, norm = (t.column(c).to_numpy() for c in ("weight", "w0", "norm"))
+            cuts = [0, *(np.flatnonzero(np.diff(sid)) + 1).tolist(), len(sid)]
+            for lo, hi in zip(cuts, cuts[1:], strict=False):
+                vectors = {name: np.full(len(number[name]), w0[lo]) for name in attrs}
+                for i in range(lo, hi):
+                    n = number[attr[i]].get(val[i])
+                    if n is not None:
+                        vectors[attr[i]][n] = weight[i]
+                like = sum(vectors[name][codes[name]] for name in attrs) / (norm[lo] * np.sqrt(len(attrs)))
+                # a point among the k best has a combination whose first point is among the k best first points
+                out += [(int(sid[lo]), p, float(like[c])) for c in np.lexsort([first, -np.round(like, 9)])[:k].tolist() for p in ids[c]]
+        cols = list(zip(*out, strict=True)) or [()] * 3
+        return pa.table([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.float64()), strict=True)], ["session_id", "poi_id", "relevance"])
+
+    top = w.groupBy("g", "b").cogroup(dealt.groupBy("g", "b")).applyInArrow(kernel, "session_id long, poi_id long, relevance double")
     rank = F.row_number().over(W.partitionBy("session_id").orderBy(F.round("relevance", 9).desc(), "poi_id"))
     return top.withColumn("rank", rank).where(F.col("rank") <= k).select("session_id", "rank", "poi_id", "relevance")
 

@@ -530,8 +530,7 @@ def q_peculiarity_report(s, d):
 @query
 def q_click_only(s, d):
     p = facets.carrier(s, d)
-    c = sources.clicks(s, d).where("session_id < 20")
-    return baselines.click_only(c, p).select("session_id", "rank", "poi_id", *_six("relevance"))
+    return baselines.click_only(sources.clicks(s, d), p).select("session_id", "rank", "poi_id", *_six("relevance"))
 
 
 @query

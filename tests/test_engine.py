@@ -290,6 +290,38 @@ def test_plans_have_no_product_and_combine_early(spark, sf):
     assert "WindowGroupLimit" in plan(ranked.where("rank <= 3"))
 
 
+def test_click_only_answers_every_session(spark):
+    import numpy as np
+
+    from roilens.collect import sources
+
+    d = "/root/testdata/sf0.01"
+    cells = {}
+    points = {}
+    for r in facets.facets(facets.carrier(spark, d)).collect():
+        points.setdefault(r.poi_id, []).append(cells.setdefault((r.attr, r.val), len(cells)))
+    ids = sorted(points)
+    has = np.zeros((len(ids), len(cells)))
+    for i, p in enumerate(ids):
+        has[i, points[p]] = 1
+    at = {p: i for i, p in enumerate(ids)}
+    raw = {}
+    for r in sources.clicks(spark, d).collect():
+        raw.setdefault(r.session_id, np.zeros(len(cells)))
+        if r.poi_id in at:
+            raw[r.session_id] += 0.05 * has[at[r.poi_id]]
+    want = {}
+    for sid, x in raw.items():
+        w = np.exp(x - x.max())
+        w /= w.sum()
+        rel = has @ w / (np.sqrt((w * w).sum()) * np.sqrt(has[0].sum()))
+        for rank, i in enumerate(np.lexsort([ids, -np.round(rel, 9)])[:5], 1):
+            want[sid, rank] = (ids[i], round(float(rel[i]), 6))
+    got = {(r.session_id, r.rank): (r.poi_id, r.relevance) for r in queries.queries()["q_click_only"](spark, d).collect()}
+    assert len(raw) > 20 and got.keys() == want.keys()
+    assert all(got[k][0] == want[k][0] and abs(got[k][1] - want[k][1]) < 2e-6 for k in want)
+
+
 def test_every_oracle_has_its_query():
     assert set(oracles.oracle_sql()) <= set(queries.queries())
     with pytest.raises(ValueError):
