@@ -24,6 +24,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .common import written
+from .components import components
+
 SLOTS = 128
 BANDS, BAND_SLOTS = 32, 6
 SEED = 2024
@@ -148,17 +151,29 @@ def likeness_column(a: str, b: str):
 
 
 def near_links(marked: DataFrame, at_least: float = 0.8) -> DataFrame:
-    """(a, b, likeness): verified links between distinct fingerprints of ``marked`` that share a band.
+    """(a, b, likeness): verified links that connect all alike fingerprints of ``marked`` that share a band.
 
-    Equal fingerprints are folded first.  In every bucket members link to the least one, not to each
-    other, so a bucket of m fingerprints makes m - 1 candidates; the bands sample different slots, so
-    two fingerprints that are alike meet in several buckets, with different least members.
+    Equal fingerprints are folded first.  In every bucket members meet the least one, which joins most
+    groups in m - 1 candidates; bucket mates that are then still in different components all meet each
+    other.  So two alike fingerprints that share a bucket are never left unconnected.
     """
     fps = marked.select("fingerprint").distinct()
-    banded = _bands(fps)
+    banded = written(_bands(fps), "bands")
+
+    def alike(pairs: DataFrame) -> DataFrame:
+        return written(pairs.distinct().withColumn("likeness", likeness_column("a", "b")).where(F.col("likeness") >= at_least), "near-links")
+
     least = banded.groupBy("band", "key").agg(F.min("fingerprint").alias("a"), F.max("fingerprint").alias("z")).where("a < z").drop("z")
-    met = banded.join(least, ["band", "key"]).where("fingerprint > a").select("a", F.col("fingerprint").alias("b")).distinct()
-    return met.withColumn("likeness", likeness_column("a", "b")).where(F.col("likeness") >= at_least)
+    first = alike(banded.join(least, ["band", "key"]).where("fingerprint > a").select("a", F.col("fingerprint").alias("b")))
+    roots = components(first.select("a", "b"))
+    held = banded.join(roots, F.col("fingerprint") == F.col("node"), "left").select("band", "key", "fingerprint", F.coalesce("root", "fingerprint").alias("comp"))
+    held = written(held, "bands")
+    mixed = held.groupBy("band", "key").agg(F.min("comp").alias("_lo"), F.max("comp").alias("_hi")).where("_lo < _hi").select("band", "key")
+    left = written(held.join(mixed, ["band", "key"], "left_semi"), "bands")
+    right = left.select("band", "key", F.col("fingerprint").alias("fingerprint2"), F.col("comp").alias("comp2"))
+    met = left.join(right, ["band", "key"]).where("comp < comp2")
+    second = alike(met.select(F.least("fingerprint", "fingerprint2").alias("a"), F.greatest("fingerprint", "fingerprint2").alias("b")))
+    return first.unionAll(second).distinct()
 
 
 def _cut_points(docs: DataFrame, parts: int) -> list[int]:

@@ -355,6 +355,28 @@ def test_near_links_find_close_fingerprints(spark):
 # ---- 10 toxicity
 
 
+def test_near_links_in_crowded_buckets_equal_all_bucket_mates(spark):
+    rng = np.random.default_rng(edit_embedding.SEED + 1)
+    picks = [sorted(rng.choice(128, 6, replace=False).tolist()) for _ in range(32)]
+    r = random.Random(8)
+    step = [[r.choice("123456789abcdef") for _ in range(128)]]
+    for _ in range(40):  # a large group: neighbours alike, ends not
+        step.append([r.choice("123456789abcdef") if r.random() < 0.1 else x for x in step[-1]])
+    marks = {"".join(x) for x in step}
+    for x in step:  # each bucket also gets a least member that is like none of its mates
+        marks |= {"".join(d if i in p else "0" for i, d in enumerate(x)) for p in picks}
+    marks = sorted(marks)
+    key = [{(b, "".join(m[i] for i in p)) for b, p in enumerate(picks)} for m in marks]
+    arr = np.array([list(m) for m in marks])
+    near = [(i, j) for i in range(len(marks)) for j in np.flatnonzero((arr[:i] == arr[i]).mean(1) >= 0.8).tolist() if key[i] & key[j]]
+    at = {m: i for i, m in enumerate(marks)}
+    fps = spark.createDataFrame([(m,) for m in marks], "fingerprint string")
+    got = [(at[x.a], at[x.b]) for x in edit_embedding.near_links(fps, 0.8).collect()]
+    assert components_slow(got, range(len(marks))) == components_slow(near, range(len(marks)))
+    chain = [at["".join(x)] for x in step]
+    assert len({components_slow(got, range(len(marks)))[i] for i in chain}) == 1
+
+
 def test_toxicity_held_out_and_sentences(spark):
     got = registry.op10_toxicity(spark, "/root/testdata/sf0.1").toPandas()
     m = got.merge(spark.read.parquet("/root/testdata/sf0.1/labels.parquet").toPandas(), on="doc_id")
