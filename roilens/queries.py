@@ -656,7 +656,7 @@ def q_multi_shot(s, d):
 
 @query
 def q_simulate(s, d):
-    return workloads.agents(s, d, rounds=2).select("session_id", "round", *_six("precision"), "hit", *_six("diversity", "acc_precision", "acc_hit", "acc_diversity"))
+    return workloads.agents(s, d).select("session_id", "round", *_six("precision"), "hit", *_six("diversity", "acc_precision", "acc_hit", "acc_diversity"))
 
 
 @query
@@ -669,9 +669,16 @@ def q_generic_voice(s, d):
     return _rounded(workloads.generic(s, d, "part", "voice", Params(min_pts=3)))
 
 
-@query
-def q_sweep(s, d):
-    return workloads.sweep(s, d, ("k",)).select("parameter", "value", "rois", "highlights", *_six("relevance", "diversity"))
+def _sweep(name: str, suffix: str) -> Query:
+    def run(s, d):
+        return workloads.sweep(s, d, (name,)).select("parameter", "value", "rois", "highlights", *_six("relevance", "diversity"))
+
+    run.__name__ = f"q_sweep{suffix}"
+    return query(run)
+
+
+for _name in workloads.SWEEPS:
+    _sweep(_name, "" if _name == "k" else f"_{_name}")
 
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -322,6 +322,23 @@ def test_click_only_answers_every_session(spark):
     assert all(got[k][0] == want[k][0] and abs(got[k][1] - want[k][1]) < 2e-6 for k in want)
 
 
+def test_every_sweep_and_the_default_rounds_are_registered(monkeypatch):
+    named, asked = queries.queries(), []
+
+    class Frame:
+        def select(self, *columns):
+            return self
+
+    monkeypatch.setattr(queries, "_six", lambda *names: [])
+    monkeypatch.setattr(workloads, "sweep", lambda s, d, names: asked.extend(names) or Frame())
+    for name in [n for n in named if n.startswith("q_sweep")]:
+        named[name](None, "")
+    assert sorted(asked) == sorted(workloads.SWEEPS)
+    monkeypatch.setattr(workloads, "agents", lambda s, d, rounds=5: asked.append(rounds) or Frame())
+    named["q_simulate"](None, "")
+    assert asked[-1] == 5
+
+
 def test_every_oracle_has_its_query():
     assert set(oracles.oracle_sql()) <= set(queries.queries())
     with pytest.raises(ValueError):
