@@ -1,22 +1,25 @@
 """Byte-level BPE encoding and decoding with a hierarchical-bitmap rank queue.
 
-A pre-token's bytes form a linked list.  Every adjacent pair that the vocabulary can merge puts its
-left position into the bucket of its merge rank, and a bitmap of several 64-bit levels marks the
-buckets in use, so "lowest rank waiting" is a find-first-set from the top level down.  A popped
-position is stale, and skipped, if its pair no longer has that rank.  Each merge costs a constant
-number of queue steps, so a pre-token of n bytes costs O(n) steps however long it is (a rescan for
-the best pair would cost O(n^2)).  Buckets hold positions in ascending order of arrival; equal ranks
-are taken leftmost first, as the reference tokenizers do.
-
-A memo of short pre-tokens saves repeated work; it is bounded, lives for one task and changes no result.
+The bytes of many pre-tokens form one linked list whose parts never merge across pre-tokens.  Every
+adjacent pair that the vocabulary can merge puts its left position into the bucket of its merge rank,
+and a bitmap of three levels of 64-bit words marks the buckets in use, so "lowest rank waiting" is a
+find-first-set from the top level down.  A position is stale, and skipped, if its pair no longer has
+that rank.  A bucket is taken whole and sorted, so equal ranks merge leftmost first, as the reference
+tokenizers do; if a merge opens a lower rank, the rest of the bucket goes back and that rank is next.
+A merge pushes at most two positions, so n bytes cost O(n) queue steps and O(n log n) for the sorting,
+however long a pre-token is (a rescan for the best pair would cost O(n^2)).
+
+All distinct pre-tokens of a block of texts that are not remembered go through one queue together.  The
+memory of short pre-tokens holds two generations of at most ``MEMO_ENTRIES`` entries besides one block's;
+ids in it are packed, four bytes each.  Workers keep it from task to task; it changes no result.
 """
 
 from __future__ import annotations
 
 import base64
 import hashlib
-import heapq
-from collections.abc import Iterator
+from array import array
+from collections.abc import Iterator, Sequence
 
 import numpy as np
 import pyarrow as pa
@@ -24,10 +27,12 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
-from .textscan import tidy
+from .textscan import slices, tidy
 
 MEMO_BYTES = 32
-MEMO_ENTRIES = 400_000
+MEMO_ENTRIES = 150_000
+BLOCK_BYTES = 4 << 20  # text that is encoded together; a longer text is a block of its own
+LONG_LIST = 1 << 22  # positions from which on links are packed
 
 
 class RankQueue:
@@ -41,12 +46,9 @@ class RankQueue:
         self.mid = [0] * ((n_ranks >> 12) + 1)
         self.top = 0
 
-    def push(self, rank: int, position: int) -> None:
-        bucket = self.buckets[rank]
-        if bucket:
-            heapq.heappush(bucket, position)
-            return
-        self.buckets[rank] = [position]
+    def open(self, rank: int, positions: list[int]) -> None:
+        """Begin the bucket of a rank that has none."""
+        self.buckets[rank] = positions
         word = rank >> 6
         if not self.low[word]:
             if not self.mid[rank >> 12]:
@@ -54,8 +56,8 @@ class RankQueue:
             self.mid[rank >> 12] |= 1 << (word & 63)
         self.low[word] |= 1 << (rank & 63)
 
-    def pop(self) -> tuple[int, int] | None:
-        """The leftmost position of the lowest rank, or None when empty."""
+    def take(self) -> tuple[int, list[int]] | None:
+        """The lowest rank and its positions from left to right, or None when empty."""
         top = self.top
         if not top:
             return None
@@ -65,15 +67,14 @@ class RankQueue:
         low = self.low[j]
         rank = j << 6 | (low & -low).bit_length() - 1
         bucket = self.buckets[rank]
-        if len(bucket) > 1:
-            return rank, heapq.heappop(bucket)
         self.buckets[rank] = None
         self.low[j] = low = low & (low - 1)
         if not low:
             self.mid[i] = mid = mid & (mid - 1)
             if not mid:
                 self.top = top & (top - 1)
-        return rank, bucket[0]
+        bucket.sort()
+        return rank, bucket
 
 
 class ByteBPE:
@@ -87,70 +88,125 @@ class ByteBPE:
             self.tokens[rank] = token
         self.pattern = regex.compile(pattern)
         self.decimal = [str(i) for i in range(len(self.tokens))]
-        self.pair = [self.ranks.get(bytes((a, b))) for a in range(256) for b in range(256)]
-        self.queue = RankQueue(len(self.tokens))  # empty again after every pre-token
-        self.memo: dict[str, list[int]] = {}
-
-    def encode_bytes(self, piece: bytes) -> list[int]:
-        """Ids of one pre-token."""
-        ranks = self.ranks
-        whole = ranks.get(piece)
-        if whole is not None:
-            return [whole]
-        n = len(piece)
-        end = list(range(1, n + 1))  # end of the part that begins here
-        before = list(range(-1, n - 1))  # begin of the part to the left
+        self.single = np.array([self.ranks[bytes((a,))] for a in range(256)], np.int32)
+        self.pair = np.array([self.ranks.get(bytes((a, b)), -1) for a in range(256) for b in range(256)], np.int32)
+        self.queue = RankQueue(len(self.tokens))  # empty again after every run
+        self.young: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
+
+    def merged(self, pieces: Sequence[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """(ids one after another, how many of each pre-token): ``pieces`` merged in one run of the queue."""
+        data = b"".join(pieces)
+        n = len(data)
+        sizes = np.fromiter(map(len, pieces), np.int64, len(pieces))
+        if not n:
+            return np.empty(0, np.int32), np.zeros(len(pieces), np.int64)
+        ends = np.cumsum(sizes)
+        begins = np.zeros(n + 1, np.uint8)  # where a pre-token begins, the end of the last one included
+        begins[ends] = begins[0] = 1
+        begins = begins.tobytes()
+        flat = np.frombuffer(data, np.uint8)
+        first = np.full(n, -1, np.int32)  # the rank at which a part may merge with its right neighbour
+        first[:-1] = self.pair[flat[:-1].astype(np.int32) << 8 | flat[1:]]
+        first[ends[sizes > 0] - 1] = -1
         queue = self.queue
-        waiting: list[int | None] = [None] * n  # the rank at which a part may merge with its right neighbour
-        pair = self.pair
-        for i, (a, b) in enumerate(zip(piece, piece[1:], strict=False)):
-            r = pair[a << 8 | b]
-            if r is not None:
-                waiting[i] = r
-                queue.push(r, i)
-        while (top := queue.pop()) is not None:
-            rank, i = top
-            if waiting[i] != rank:
-                continue
-            j = end[i]
-            waiting[j] = None
-            end[i] = k = end[j]
-            if k < n:
-                before[k] = i
-                r = ranks.get(piece[i : end[k]])
+        order = np.argsort(first, kind="stable")
+        order = order[np.searchsorted(first[order], 0) :]
+        cuts = np.flatnonzero(np.diff(first[order])) + 1
+        for some in np.split(order, cuts) if len(order) else ():
+            queue.open(int(first[some[0]]), some.tolist())
+        pack = (lambda x: x.tolist()) if n < LONG_LIST else (lambda x: array("i", x.astype(np.int32).tobytes()))
+        waiting, ids = pack(first), pack(self.single[flat])
+        end, before = pack(np.arange(1, n + 1)), pack(np.arange(-1, n - 1))
+        gone = bytearray(n)
+        get, buckets = self.ranks.get, queue.buckets
+        while (taken := queue.take()) is not None:
+            rank, bucket = taken
+            lower = False
+            for at, i in enumerate(bucket):
+                if waiting[i] != rank:
+                    continue
+                j = end[i]
+                end[i] = k = end[j]
+                waiting[j] = -1
+                gone[j] = 1
+                ids[i] = rank
+                r = -1
+                if not begins[k]:
+                    before[k] = i
+                    r = get(data[i : end[k]], -1)
+                    if r >= 0:
+                        if buckets[r] is None:
+                            queue.open(r, [i])
+                        else:
+                            buckets[r].append(i)
+                        lower = r < rank
                 waiting[i] = r
-                if r is not None:
-                    queue.push(r, i)
+                if not begins[i]:
+                    h = before[i]
+                    r = get(data[h:k], -1)
+                    if r != waiting[h]:
+                        waiting[h] = r
+                        if r >= 0:
+                            if buckets[r] is None:
+                                queue.open(r, [h])
+                            else:
+                                buckets[r].append(h)
+                            lower = lower or r < rank
+                if lower:
+                    if at + 1 < len(bucket):
+                        queue.open(rank, bucket[at + 1 :])
+                    break
+        alive = np.flatnonzero(np.frombuffer(gone, np.uint8) == 0)
+        upto = np.searchsorted(alive, ends)
+        return np.array(ids, np.int32)[alive], np.diff(upto, prepend=0)
+
+    def remember(self, pieces: set[str]) -> dict[str, bytes]:
+        """Packed ids of all these pre-tokens at least; those of the young generation."""
+        young, old = self.young, self.old
+        new = pieces - young.keys()
+        for piece in new & old.keys():
+            young[piece] = old[piece]
+        ranks, rest, raw = self.ranks, [], []
+        for piece in new - old.keys():
+            as_bytes = piece.encode()
+            whole = ranks.get(as_bytes)
+            if whole is None:
+                rest.append(piece)
+                raw.append(as_bytes)
             else:
-                waiting[i] = None
-            h = before[i]
-            if h >= 0:
-                r = ranks.get(piece[h:k])
-                if r != waiting[h]:
-                    waiting[h] = r
-                    if r is not None:
-                        queue.push(r, h)
-        out, i = [], 0
-        while i < n:
-            out.append(ranks[piece[i : end[i]]])
-            i = end[i]
+                young[piece] = whole.to_bytes(4, "little")
+        ids, counts = self.merged(raw)
+        packed = ids.astype("<i4").tobytes()
+        upto = (np.cumsum(counts) * 4).tolist()
+        for piece, a, b in zip(rest, [0, *upto], upto, strict=False):
+            young[piece] = packed[a:b]
+        return young
+
+    def forget(self, pieces: set[str]) -> None:
+        """Drop long pre-tokens, and the older generation when the young one is full."""
+        young = self.young
+        for piece in pieces:
+            if len(piece) > MEMO_BYTES:
+                young.pop(piece, None)
+        if len(young) > MEMO_ENTRIES:
+            self.old, self.young = young, {}
+            while len(self.old) > MEMO_ENTRIES:  # one block had more
+                self.old.popitem()
+
+    def encode_many(self, texts: Sequence[str]) -> list[np.ndarray]:
+        """Ids of whole texts, every match of the pattern by itself; no special tokens."""
+        found = [self.pattern.findall(t) for t in texts]
+        pieces = set().union(*found)
+        packed = self.remember(pieces)
+        out = [np.frombuffer(b"".join(map(packed.__getitem__, f)), "<i4") for f in found]
+        self.forget(pieces)
         return out
 
     def encode(self, text: str) -> list[int]:
-        """Ids of a whole text, every match of the pattern by itself; no special tokens."""
-        memo, out = self.memo, []
-        for piece in self.pattern.findall(text):
-            ids = memo.get(piece)
-            if ids is None:
-                ids = self.encode_bytes(piece.encode())
-                if len(piece) <= MEMO_BYTES:
-                    if len(memo) >= MEMO_ENTRIES:
-                        memo.clear()
-                    memo[piece] = ids
-            out += ids
-        return out
+        return self.encode_many([text])[0].tolist()
 
-    def decode(self, ids: list[int]) -> bytes:
+    def decode(self, ids: Sequence[int]) -> bytes:
         """The bytes that the ids stand for; decoding undoes encoding exactly."""
         return b"".join(map(self.tokens.__getitem__, ids))
 
@@ -179,11 +235,12 @@ def encode_column(docs: DataFrame, rank_file: str, pattern: str) -> DataFrame:
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = tokenizer(rank_file, pattern)
         for b in batches:
-            for i in range(0, b.num_rows, 500):
-                part = b.slice(i, 500)
-                ids = [np.array(bpe.encode(t or ""), np.int32) for t in part.column(at).to_pylist()]
-                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(ids, pa.list_(pa.int32()))], schema.names)
-        bpe.memo.clear()
+            for lo, hi in slices(b.column(at), BLOCK_BYTES):
+                part = b.slice(lo, hi - lo)
+                ids = bpe.encode_many([t or "" for t in part.column(at).to_pylist()])
+                ends = np.cumsum([0, *map(len, ids)]).astype(np.int32)
+                lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(ids)))
+                yield pa.RecordBatch.from_arrays([*part.columns, lists], schema.names)
 
     return kept.mapInArrow(tidy(rows), schema)
 
@@ -197,13 +254,13 @@ def digests(docs: DataFrame, rank_file: str, pattern: str) -> DataFrame:
         bpe = tokenizer(rank_file, pattern)
         decimal = bpe.decimal
         for b in batches:
-            n, ids_hash, text_hash = [], [], []
-            for t in b.column(1):
-                ids = bpe.encode(t.as_py() or "")
-                n.append(len(ids))
-                ids_hash.append(hashlib.sha256(" ".join(map(decimal.__getitem__, ids)).encode()).hexdigest())
-                text_hash.append(hashlib.sha256(bpe.decode(ids)).hexdigest())
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(ids_hash), pa.array(text_hash)], schema.names)
-        bpe.memo.clear()
+            for lo, hi in slices(b.column(1), BLOCK_BYTES):
+                n, ids_hash, text_hash = [], [], []
+                for ids in bpe.encode_many([t or "" for t in b.column(1).slice(lo, hi - lo).to_pylist()]):
+                    ids = ids.tolist()
+                    n.append(len(ids))
+                    ids_hash.append(hashlib.sha256(" ".join(map(decimal.__getitem__, ids)).encode()).hexdigest())
+                    text_hash.append(hashlib.sha256(bpe.decode(ids)).hexdigest())
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(lo, hi - lo), pa.array(n, pa.int64()), pa.array(ids_hash), pa.array(text_hash)], schema.names)
 
     return base.mapInArrow(tidy(rows), schema)

@@ -248,6 +248,23 @@ def test_bpe_equals_library_and_round_trips():
         assert ids == lib.encode_ordinary(t) and b.decode(ids) == t.encode()
 
 
+def test_bpe_of_a_table_equals_library(spark, monkeypatch):
+    for entries, long_list in ((150_000, 1 << 22), (40, 10)):  # a memory that is given up all the time, packed links
+        monkeypatch.setattr(bpe, "MEMO_ENTRIES", entries)
+        monkeypatch.setattr(bpe, "LONG_LIST", long_list)
+        b = bpe.ByteBPE(public_tokenizers.path(registry.RANK_FILE), public_tokenizers.PATTERN)
+        lib = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=b.ranks, special_tokens={})
+        texts = [r.text or "" for r in spark.read.parquet("/root/testdata/sf0.001/documents.parquet").collect()]
+        for lo in range(0, len(texts), 30):
+            for t, ids in zip(texts[lo : lo + 30], b.encode_many(texts[lo : lo + 30]), strict=True):
+                assert ids.tolist() == lib.encode_ordinary(t)
+            assert len(b.young) <= entries and len(b.old) <= entries
+    for r in registry.op7_byte_bpe(spark, "/root/testdata/sf0.001").join(spark.read.parquet("/root/testdata/sf0.001/documents.parquet"), "doc_id").collect():
+        ids = lib.encode_ordinary(r.text or "")
+        assert (r.n_tokens, r.ids_sha256) == (len(ids), hashlib.sha256(" ".join(map(str, ids)).encode()).hexdigest())
+        assert r.decoded_sha256 == hashlib.sha256((r.text or "").encode()).hexdigest()
+
+
 # ---- 8 passages
 
 
