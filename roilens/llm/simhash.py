@@ -102,26 +102,32 @@ def near_duplicates(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
-    """One row of ``docs`` for each component, with all columns: that of its least doc_id.
+    """One row of ``docs`` for each component, with all columns: of its least doc_id, that with the least text.
 
-    Rows that repeat that id leave one row, the one with the least text.  A component whose ids are
-    all null leaves the row with the least fingerprint, then the least text.
+    An id whose rows have different texts may head several components and leaves a row for each.  A
+    component whose ids are all null leaves the row with the least text.
     """
     marked = written(with_fingerprint(docs), "marked")
 
     def fps(texts: pa.Array) -> np.ndarray:
         return np.array([fingerprint(t or b"") for t in texts.cast(pa.binary()).to_pylist()], np.uint64).view(np.int64)
 
-    return one_each(docs, written(classes(marked, radius), "classes"), fps)
+    return one_each(docs, marked, written(classes(marked, radius), "classes"), fps)
 
 
-def one_each(docs: DataFrame, of: DataFrame, fps: Callable[[pa.Array], np.ndarray]) -> DataFrame:
-    """``keep_one`` for the classes ``of`` (fp, component_id, root), where ``fps`` gives the fp of each text."""
+def one_each(docs: DataFrame, marked: DataFrame, of: DataFrame, fps: Callable[[pa.Array], np.ndarray]) -> DataFrame:
+    """``keep_one`` for the classes ``of`` (fp, component_id, root) of ``marked`` (doc_id, fp).
+
+    ``fps`` gives the fp of each text again, which only rows without an id and rows of ids with several
+    fps need.
+    """
+    several = marked.where("doc_id is not null").groupBy("doc_id").agg(F.min("fp").alias("lo"), F.max("fp").alias("hi")).where("lo < hi")
+    several = written(several.select(F.col("doc_id").alias("_several")), "several")
     keep = of.where("component_id is not null").select(F.col("component_id").alias("_keep")).distinct()
-    named = docs.join(keep, F.col("doc_id") == F.col("_keep")).drop("_keep")
-    one = named.withColumn("_rank", F.row_number().over(W.partitionBy("doc_id").orderBy("text"))).where("_rank = 1").drop("_rank")
-    unnamed = of.where("component_id is null").groupBy("root").agg(F.min("fp").alias("_fp"))
-    bare = docs.where("doc_id is null")
+    keep = keep.join(several, F.col("_keep") == F.col("_several"), "left_anti")
+    rank = F.row_number().over(W.partitionBy("doc_id").orderBy(F.col("text").asc_nulls_last()))
+    one = docs.join(keep, F.col("doc_id") == F.col("_keep")).drop("_keep").withColumn("_rank", rank).where("_rank = 1").drop("_rank")
+    unclear = docs.where("doc_id is null").unionAll(docs.join(several, F.col("doc_id") == F.col("_several"), "left_semi"))
     schema = T.StructType([*docs.schema, T.StructField("_row_fp", T.LongType())])
     at = docs.columns.index("text")
 
@@ -129,6 +135,8 @@ def one_each(docs: DataFrame, of: DataFrame, fps: Callable[[pa.Array], np.ndarra
         for b in batches:
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(fps(b.column(at)))], schema.names)
 
-    rank = F.row_number().over(W.partitionBy("_fp").orderBy(F.col("text").asc_nulls_last()))
-    lone = bare.mapInArrow(tidy(mark), schema).join(unnamed, F.col("_row_fp") == F.col("_fp")).withColumn("_rank", rank).where("_rank = 1")
+    heads = of.select(F.col("fp").alias("_fp"), F.col("component_id").alias("_head"), F.col("root").alias("_root"))
+    rank = F.row_number().over(W.partitionBy("_root").orderBy(F.col("text").asc_nulls_last()))
+    met = unclear.mapInArrow(tidy(mark), schema).join(heads, (F.col("_row_fp") == F.col("_fp")) & F.col("doc_id").eqNullSafe(F.col("_head")))
+    lone = met.withColumn("_rank", rank).where("_rank = 1")
     return one.unionByName(lone.select(*docs.columns))

@@ -1,7 +1,8 @@
 """Substring near-duplicates by collinear chaining of shared k-mer seeds.
 
 1. Seeds: every text's winnowed word 5-mers (the least hash of every ``WINDOW`` consecutive ones), so
-   any run of ``K + WINDOW - 1`` common words holds a common seed.
+   any run of ``K + WINDOW - 1`` common words holds a common seed; and winnowed runs of ``LONG`` words,
+   whose holders have more than a stock phrase in common.
 2. Each seed hash finds its first holder (least doc_id); every other holder matches that one only, so
    a passage in m documents makes m - 1 matches a seed, never m^2.  The first holder comes from a
    grouped minimum, combined on the map side; the join back can be split on hot seeds.
@@ -9,11 +10,15 @@
    a match is found with a Fenwick tree of prefix maxima under linear gap costs, in O(n log n).
 4. Chains are aligned on the words of both passages: anchors extend over equal words, gaps of unequal
    length by a small edit-distance table, ends outward through a few differences.
-5. Aligned passages at least ``SIMILAR`` alike are united per document, whatever document holds
-   their first copy; those of at least ``MIN_WORDS`` words are duplicates.
+5. Aligned passages of ``MIN_PIECE`` words or more that are at least ``SIMILAR`` alike are united per
+   document, whatever document holds their first copy; those of ``MIN_WORDS`` words are duplicates.
+
+A passage that repeats itself within ``PERIOD`` words has no order to chain by.  There every run of
+``MIN_WORDS`` words is a seed of its own, and a match is a passage as it stands.
 
 Words are runs of bytes other than ASCII white space, compared with A-Z lowered.  Null and empty
-texts have no words.  Rows with a null doc_id take no part; rows of one doc_id are one document.
+texts have no words.  Rows with a null doc_id take no part.  Rows of one doc_id with one text are one
+document; with different texts each text is a document, later than those whose id is not repeated.
 """
 
 from __future__ import annotations
@@ -23,21 +28,35 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import zstandard
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .common import written
-from .textscan import Scan, slices, tidy
+from .textscan import Scan, keyed, mix, slices, tidy
 
 K = 5
-WINDOW = 12
+WINDOW = 8
+LONG, LONG_WINDOW = 16, 32
 MAX_GAP = 40
 GAP_COST = 0.05
-MIN_CHAIN = 16
+MIN_CHAIN = 10
+MIN_PIECE = 16
 MIN_WORDS = 50
+PERIOD = 16
 SIMILAR = 0.8
-MARGIN = K + WINDOW
+MARGIN = 50
+GRAIN = 64  # cut ranges begin and end at multiples of it, so that a document is asked for few different ones
+CHAINED, SPREAD, WHOLE = range(3)  # kinds of seeds, in the two lowest bits of their hashes
+
+
+def sliding(op: np.ufunc, x: np.ndarray, window: int) -> np.ndarray:
+    """``op`` (a minimum or maximum) over every ``window`` consecutive values, by doubling."""
+    size = 1
+    while 2 * size <= window:
+        x = op(x[:-size], x[size:])
+        size *= 2
+    return op(x[: len(x) - window + size], x[window - size :])
 
 
 def winnow(s: Scan, k: int = K, window: int = WINDOW) -> tuple[np.ndarray, np.ndarray]:
@@ -45,47 +64,99 @@ def winnow(s: Scan, k: int = K, window: int = WINDOW) -> tuple[np.ndarray, np.nd
     at, h = s.windows(s.word_hashes(lower=True), k)
     if not len(at):
         return at, h
-    doc = s.word_doc[at]
-    n = np.bincount(doc, minlength=s.n)
-    used = np.flatnonzero(n)
-    # documents laid out with window - 1 blanks after each, so that no window sees two documents
-    shift = np.cumsum(np.concatenate(([0], np.full(len(used) - 1, window - 1, np.int64))))
-    place = np.arange(len(at)) + np.repeat(shift, n[used])
+    n = np.bincount(s.word_doc[at], minlength=s.n)
+    n = n[n > 0]
+    # documents laid out with window - 1 blanks around each, so that no window sees two documents
+    blanks = window - 1
+    shift = blanks * np.arange(1, len(n) + 1)
+    place = np.arange(len(at)) + np.repeat(shift, n)
     laid = np.full(place[-1] + window, np.iinfo(np.uint64).max, np.uint64)
     laid[place] = h
-    back = np.zeros(len(laid), np.int64)
-    back[place] = np.arange(len(at))
-    first = np.cumsum(np.concatenate(([0], n[used][:-1]))) + shift
-    last = first + np.maximum(n[used] - window, 0)
-    begins = np.arange(int((last - first + 1).sum())) + np.repeat(first - np.concatenate(([0], np.cumsum(last - first + 1)[:-1])), last - first + 1)
-    view = np.lib.stride_tricks.sliding_window_view(laid, window)[begins]
-    chosen = np.unique(back[begins + view.argmin(1)])
+    least = np.zeros(len(laid) + blanks, np.uint64)  # of the window that ends at a place, where that is a window of k-mers
+    first = np.cumsum(n) - n + shift
+    uses = np.zeros(len(laid) + 1, np.int8)
+    uses[first] += 1
+    uses[first + np.maximum(n - window, 0) + 1] -= 1
+    begins = np.flatnonzero(np.cumsum(uses[:-1]))
+    least[begins + blanks] = sliding(np.minimum, laid, window)[begins]
+    # a k-mer is selected if some window that holds it has no lesser one
+    chosen = sliding(np.maximum, least, window)[place] == h
     return at[chosen], h[chosen]
 
 
+def fresh(s: Scan, at: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The selected k-mers that do not repeat one selected within the ``PERIOD`` words before."""
+    doc, again = s.word_doc[at], np.zeros(len(at), bool)
+    for lag in range(1, min(PERIOD + 1, len(at))):
+        again[lag:] |= (h[lag:] == h[:-lag]) & (doc[lag:] == doc[:-lag]) & (at[lag:] - at[:-lag] <= PERIOD)
+    return at[~again], h[~again]
+
+
+def cycles(s: Scan) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(first word, last word, hash): runs of ``MIN_WORDS`` words where the text repeats itself within ``PERIOD`` words.
+
+    Equal runs not over ``MIN_WORDS`` words apart cover a stretch of text; first and last are their first words.
+    """
+    none = np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0, np.uint64)
+    words = s.word_hashes(lower=True)
+    at, h = s.windows(words, K)
+    if len(words) < MIN_WORDS or not len(at):
+        return none
+    doc = s.word_doc[at]
+    near = np.zeros(len(at), bool)
+    for lag in range(1, min(PERIOD + 1, len(at))):
+        near[lag:] |= (h[lag:] == h[:-lag]) & (doc[lag:] == doc[:-lag])
+    again = np.zeros(len(words) + 1, np.int64)
+    again[at[near] + 1] = 1
+    again = np.cumsum(again)
+    n = len(words) - MIN_WORDS + 1
+    there = np.flatnonzero((s.word_doc[:n] == s.word_doc[MIN_WORDS - 1 :]) & (again[MIN_WORDS - K + 1 :][:n] - again[:n] >= (MIN_WORDS - K) // 2))
+    if not len(there):
+        return none
+    run = np.zeros(len(there), np.uint64)
+    for j in range(MIN_WORDS):
+        run = run * np.uint64(0x9E3779B97F4A7C15) + words[there + j]
+    run = mix(run)
+    order = np.argsort(keyed(run, s.word_doc[there]), kind="stable")
+    there, run, doc = there[order], run[order], s.word_doc[there[order]]
+    new = np.ones(len(there), bool)
+    new[1:] = (run[1:] != run[:-1]) | (doc[1:] != doc[:-1]) | (np.diff(there) > MIN_WORDS)
+    begins = np.flatnonzero(new)
+    return there[begins], there[np.append(begins[1:], len(there)) - 1], run[begins]
+
+
 def seeds(docs: DataFrame) -> DataFrame:
-    """(seed, doc, pos, first): winnowed seeds, their word position, and whether it is the text's first such."""
+    """(seed, doc, pos, first) of documents (doc, text): seeds, their place, and whether it is the text's first such.
+
+    ``pos`` is the word position, plus 2**32 times the words to the last run of a ``WHOLE`` seed's stretch.
+    """
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for lo, hi in slices(b.column(1)):
                 s = Scan(b.column(1).slice(lo, hi - lo))
-                at, h = winnow(s)
-                doc = s.word_doc[at]
                 begin = np.searchsorted(s.word_doc, np.arange(s.n), "left")
-                key = np.lexsort([at, h, doc])
+                short, long, whole = fresh(s, *winnow(s)), fresh(s, *winnow(s, LONG, LONG_WINDOW)), cycles(s)
+                at = np.concatenate([short[0], long[0], whole[0]])
+                kind = np.repeat(np.arange(3, dtype=np.uint64), [len(short[0]), len(long[0]), len(whole[0])])
+                h = mix(np.concatenate([short[1], long[1], whole[2]]) + kind) & ~np.uint64(3) | kind
+                doc = s.word_doc[at]
+                key = keyed(h, doc)
+                order = np.argsort(key, kind="stable")
                 new = np.ones(len(key), bool)
-                new[1:] = (h[key][1:] != h[key][:-1]) | (doc[key][1:] != doc[key][:-1])
+                new[1:] = key[order][1:] != key[order][:-1]
                 first = np.zeros(len(key), bool)
-                first[key[new]] = True
+                first[order[new]] = True
+                pos = at - begin[doc]
+                pos[len(pos) - len(whole[0]) :] += (whole[1] - whole[0]) << 32
                 ids = b.column(0).slice(lo, hi - lo).to_numpy(zero_copy_only=False).astype(np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(ids[doc]), pa.array((at - begin[doc]).astype(np.int32)), pa.array(first)], ["seed", "doc", "pos", "first"])
+                yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(ids[doc]), pa.array(pos), pa.array(first)], ["seed", "doc", "pos", "first"])
 
-    return docs.where("doc_id is not null").select(F.col("doc_id").cast("long"), "text").mapInArrow(tidy(rows), "seed long, doc long, pos int, first boolean")
+    return docs.select("doc", "text").mapInArrow(tidy(rows), "seed long, doc long, pos long, first boolean")
 
 
 def matches(found: DataFrame) -> DataFrame:
-    """(doc, pos, other, other_pos): each seed of a document beside the first document that holds it."""
+    """(kind, doc, pos, far, other, other_pos): each seed of a document beside the first document that holds it."""
     only = F.col("first")
     heads = (
         found.groupBy(F.col("seed").alias("_seed"))
@@ -95,7 +166,19 @@ def matches(found: DataFrame) -> DataFrame:
     )
     # written, so that both sides of the join are dealt by it alone and a hot seed's rows can be split
     heads = written(heads, "heads")
-    return found.join(heads, F.col("seed") == F.col("_seed")).where("doc > other").select("doc", "pos", "other", "other_pos")
+    met = found.join(heads, F.col("seed") == F.col("_seed")).where("doc > other")
+    word = F.lit((1 << 32) - 1)
+    return met.select(
+        F.col("seed").bitwiseAND(F.lit(3)).cast("int").alias("kind"), "doc", F.col("pos").bitwiseAND(word).cast("int").alias("pos"),
+        F.shiftright("pos", 32).cast("int").alias("far"), "other", F.col("other_pos").bitwiseAND(word).cast("int").alias("other_pos"),
+    )
+
+
+def anchors(matched: DataFrame) -> DataFrame:
+    """(doc, pos, other, other_pos) of 5-mers: a match of a long run is that of its first and last."""
+    steps = F.when(F.col("kind") == SPREAD, F.array(F.lit(0), F.lit(LONG - K))).otherwise(F.array(F.lit(0)))
+    each = matched.where(F.col("kind") != WHOLE).withColumn("i", F.explode(steps))
+    return each.select("doc", (F.col("pos") + F.col("i")).alias("pos"), "other", (F.col("other_pos") + F.col("i")).alias("other_pos"))
 
 
 class PrefixMax:
@@ -158,9 +241,9 @@ def chains(p: list[int], q: list[int], k: int = K, cost: float = GAP_COST, max_g
 def chained(matched: DataFrame, min_chain: int = MIN_CHAIN) -> DataFrame:
     """(doc, other, chain, anchors, other_anchors): chains that span ``min_chain`` words in both texts.
 
-    A document's matches are gathered: at most one a seed of its own, so the group is bounded by its text.
+    A document's matches are gathered: a few a seed of its own at most, so the group is bounded by its text.
     """
-    per_doc = matched.groupBy("doc").agg(F.array_sort(F.collect_list(F.struct("other", "pos", "other_pos"))).alias("m"))
+    per_doc = matched.groupBy("doc").agg(F.array_sort(F.collect_set(F.struct("other", "pos", "other_pos"))).alias("m"))
     schema = "doc long, other long, anchors array<int>, other_anchors array<int>"
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -252,21 +335,47 @@ def unpacked(column: pa.Array) -> pa.Array:
     return pa.array([None if t is None else unpack(t) for t in column.to_pylist()], pa.binary()).cast(pa.string())
 
 
+def identified(docs: DataFrame) -> tuple[DataFrame, DataFrame | None]:
+    """(rows with a key ``doc``, keys of repeated ids): one key for each doc_id, or for each text of an id that has several.
+
+    The key is the id itself but for those; then a written table has (doc, doc_id) of them, else there is none.
+    """
+    named = docs.where("doc_id is not null")
+    texts = named.groupBy("doc_id").agg(F.min(F.xxhash64("text")).alias("lo"), F.max(F.xxhash64("text")).alias("hi"))
+    several = written(texts.where("lo < hi").select(F.col("doc_id").alias("_several")), "several")
+    plain = F.col("doc_id").cast("long")
+    if several.isEmpty():
+        return docs.withColumn("_doc", plain), None
+    own = F.lit(1 << 62).bitwiseOR(F.xxhash64("doc_id", "text").bitwiseAND(F.lit((1 << 62) - 1)))
+    keyed_rows = docs.join(several, F.col("doc_id") == F.col("_several"), "left").withColumn("_doc", F.when(F.col("_several").isNull(), plain).otherwise(own)).drop("_several")
+    keyed_rows = written(keyed_rows, "identified")
+    return keyed_rows, written(keyed_rows.where(F.col("_doc") != plain).select(F.col("_doc").alias("_key"), "doc_id").distinct(), "keys")
+
+
 def passages(docs: DataFrame) -> DataFrame:
-    """(doc, other, lo, hi, other_lo, other_hi, similarity) in words: aligned chains that are alike.
+    """(doc, other, lo, hi, other_lo, other_hi, similarity) in words, of documents (doc, text): passages that are alike.
 
-    Each has ``MIN_CHAIN`` words or more; `other` is the first document (least id) that holds its seeds.
+    Each has ``MIN_PIECE`` words or more; `other` is the first document (least key) that holds its seeds.
     """
-    linked = written(chained(matches(seeds(docs))), "chains")
+    matched = written(matches(seeds(docs)), "matches")
+    linked = written(chained(anchors(matched)), "chains")
+
+    def down(c: Column) -> Column:
+        return F.greatest(F.lit(0), F.floor((c - MARGIN) / GRAIN) * GRAIN).cast("int")
+
+    def up(c: Column) -> Column:
+        return (F.ceil((c + K + MARGIN) / GRAIN) * GRAIN).cast("int")
+
     sides = linked.select(
         "doc", "other", "anchors", "other_anchors",
-        F.greatest(F.lit(0), F.element_at("anchors", 1) - MARGIN).alias("lo"), (F.element_at("anchors", -1) + K + MARGIN).alias("hi"),
-        F.greatest(F.lit(0), F.element_at("other_anchors", 1) - MARGIN).alias("other_lo"), (F.element_at("other_anchors", -1) + K + MARGIN).alias("other_hi"),
+        down(F.element_at("anchors", 1)).alias("lo"), up(F.element_at("anchors", -1)).alias("hi"),
+        down(F.element_at("other_anchors", 1)).alias("other_lo"), up(F.element_at("other_anchors", -1)).alias("other_hi"),
     )
-    asked = sides.select("doc", "lo", "hi").unionAll(sides.select("other", "other_lo", "other_hi")).distinct()
-    texts = packed(docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("_doc"), "text"))
-    pieces = _cut(asked.join(texts, F.col("doc") == F.col("_doc")).select("doc", "lo", "hi", "text"))
-    cut = written(pieces.groupBy("doc", "lo", "hi").agg(F.min("words").alias("words")), "pieces")  # one row even where an id repeats
+    asked = sides.select("doc", "lo", "hi").unionAll(sides.select("other", "other_lo", "other_hi"))
+    asked = asked.groupBy("doc").agg(F.collect_set(F.struct("lo", "hi")).alias("ranges"))  # a text meets its ranges once
+    texts = packed(docs.select(F.col("doc").alias("_doc"), "text"))
+    pieces = _cut(asked.join(texts, F.col("doc") == F.col("_doc")).select("doc", "ranges", "text"))
+    cut = written(pieces.groupBy("doc", "lo", "hi").agg(F.min("words").alias("words")), "pieces")  # one row even where a row repeats
     own = cut.select(F.col("doc").alias("_d"), F.col("lo").alias("_l"), F.col("hi").alias("_h"), F.col("words").alias("a"))
     far = cut.select(F.col("doc").alias("_od"), F.col("lo").alias("_ol"), F.col("hi").alias("_oh"), F.col("words").alias("b"))
     both = sides.join(own, (F.col("doc") == F.col("_d")) & (F.col("lo") == F.col("_l")) & (F.col("hi") == F.col("_h")))
@@ -278,30 +387,38 @@ def passages(docs: DataFrame) -> DataFrame:
             for doc, other, p, q, lo, olo, a, b in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 a, b = np.frombuffer(a, np.uint64).tolist(), np.frombuffer(b, np.uint64).tolist()
                 a0, a1, b0, b1, like = align(a, b, [x - lo for x in p], [x - olo for x in q])
-                if like >= SIMILAR and a1 - a0 >= MIN_CHAIN:
+                if like >= SIMILAR and a1 - a0 >= MIN_PIECE:
                     out.append((doc, other, a0 + lo, a1 + lo, b0 + olo, b1 + olo, like))
             cols = list(zip(*out, strict=True)) or [()] * 7
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds, strict=True)], names)
 
     names = ["doc", "other", "lo", "hi", "other_lo", "other_hi", "similarity"]
     kinds = [pa.int64(), pa.int64(), *[pa.int32()] * 4, pa.float64()]
-    return both.select("doc", "other", "anchors", "other_anchors", "lo", "other_lo", "a", "b").mapInArrow(tidy(rows), "doc long, other long, lo int, hi int, other_lo int, other_hi int, similarity double")
+    aligned = both.select("doc", "other", "anchors", "other_anchors", "lo", "other_lo", "a", "b").mapInArrow(tidy(rows), "doc long, other long, lo int, hi int, other_lo int, other_hi int, similarity double")
+    stretch = (F.col("pos") + F.col("far") + MIN_WORDS).cast("int").alias("hi")
+    whole = matched.where(F.col("kind") == WHOLE).select("doc", "other", F.col("pos").alias("lo"), stretch, F.col("other_pos").alias("other_lo"), (F.col("other_pos") + MIN_WORDS).cast("int").alias("other_hi"), F.lit(1.0).alias("similarity"))
+    return aligned.unionByName(whole)
 
 
 def _cut(rows_in: DataFrame) -> DataFrame:
-    """The requested words of a packed text as their hashes, eight bytes a word."""
+    """The requested words of packed texts (doc, ranges, text) as their hashes, eight bytes a word."""
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            lo, hi = b.column(1).to_numpy(), b.column(2).to_numpy()
-            texts = unpacked(b.column(3))
+            texts, ids, asked = unpacked(b.column(2)), b.column(0).to_pylist(), b.column(1).to_pylist()
             for x, y in slices(texts):
                 s = Scan(texts.slice(x, y - x))
                 h = s.word_hashes(lower=True)
-                begin = np.searchsorted(s.word_doc, np.arange(s.n + 1), "left")
-                words = [h[min(begin[i] + lo[x + i], begin[i + 1]) : min(begin[i] + hi[x + i], begin[i + 1])].tobytes() for i in range(s.n)]
-                part = b.slice(x, y - x)
-                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), part.column(2), pa.array(words, pa.binary())], ["doc", "lo", "hi", "words"])
+                begin = np.searchsorted(s.word_doc, np.arange(s.n + 1), "left").tolist()
+                doc, lo, hi, words = [], [], [], []
+                for i in range(x, y):
+                    first, end = begin[i - x], begin[i - x + 1]
+                    for r in asked[i]:
+                        doc.append(ids[i])
+                        lo.append(r["lo"])
+                        hi.append(r["hi"])
+                        words.append(h[min(first + r["lo"], end) : min(first + r["hi"], end)].tobytes())
+                yield pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(lo, pa.int32()), pa.array(hi, pa.int32()), pa.array(words, pa.binary())], ["doc", "lo", "hi", "words"])
 
     return rows_in.mapInArrow(tidy(rows), "doc long, lo int, hi int, words binary")
 
@@ -326,13 +443,19 @@ def duplicated_passages(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFram
 
     A passage counts if the united span that holds it has ``min_words`` words.
     """
-    found = written(passages(docs), "passages")
+    base, keys = identified(docs.select("doc_id", "text"))
+    found = written(passages(base.where("_doc is not null").select(F.col("_doc").alias("doc"), "text")), "passages")
     spans = united(found, min_words).select(F.col("doc").alias("_doc"), "spans")
     rows = found.join(spans, F.col("doc") == F.col("_doc")).where(F.expr("exists(spans, s -> s.lo <= lo and s.hi >= hi)"))
-    return rows.select(
+    kind = docs.schema["doc_id"].dataType
+    rows = rows.select(
         F.col("doc").alias("doc_id"), F.col("other").alias("first_doc_id"), F.col("lo").alias("from_word"), F.col("hi").alias("to_word"),
         F.col("other_lo").alias("first_from_word"), F.col("other_hi").alias("first_to_word"), "similarity",
     )
+    for c in ("doc_id", "first_doc_id") if keys is not None else ():
+        named = keys.select("_key", F.col("doc_id").cast("long").alias("_name"))
+        rows = rows.join(named, F.col(c) == F.col("_key"), "left").withColumn(c, F.coalesce("_name", c)).drop("_key", "_name")
+    return rows.withColumn("doc_id", F.col("doc_id").cast(kind)).withColumn("first_doc_id", F.col("first_doc_id").cast(kind))
 
 
 def without_passages(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
@@ -341,8 +464,10 @@ def without_passages(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     The first document that holds a passage keeps it.  What is left is joined by line feeds; ``n_chars``,
     where there is such a column, follows the new text.
     """
-    spans = united(written(passages(docs), "passages"), min_words).select(F.col("doc").alias("_doc"), F.col("spans").alias("_spans"))
-    joined = packed(docs).join(spans, F.col("doc_id").cast("long") == F.col("_doc"), "left")
+    base, _ = identified(docs)
+    found = written(passages(base.where("_doc is not null").select(F.col("_doc").alias("doc"), "text")), "passages")
+    spans = united(found, min_words).select(F.col("doc").alias("_of"), F.col("spans").alias("_spans"))
+    joined = packed(base).join(spans, F.col("_doc") == F.col("_of"), "left")
     names, at = list(docs.columns), docs.columns.index("text")
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

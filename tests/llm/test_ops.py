@@ -195,6 +195,49 @@ def test_near_duplicate_stage_equals_all_pairs_jaccard(spark):
     assert {r.doc_id for r in simhash.keep_one(docs).collect()} != got
 
 
+def jaccard_components(texts):
+    sets = [{tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} for w in (t.split() for t in texts)]
+    links = [(i, j) for i in range(len(sets)) for j in range(i) if len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j])]
+    return components_slow(links, range(len(texts)))
+
+
+def test_a_crowd_of_variants_equals_all_pairs(spark, monkeypatch):
+    rng = random.Random(8)
+    base = words(rng, 150)
+    texts = []
+    for n in range(260):  # one to six edits: some pairs just over 0.8, most under it
+        w = list(base)
+        for _ in range(rng.randrange(1, 7)):
+            w[rng.randrange(len(w))] = f"new{n}"
+        texts.append(" ".join(w))
+    want = jaccard_components(texts)
+    assert 20 < len(set(want.values())) < 250
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    for nodes, cells in ((24, 1 << 22), (500, 1000)):
+        monkeypatch.setattr(alike, "BLOCK_NODES", nodes)
+        monkeypatch.setattr(alike, "CELLS", cells)
+        assert {r.doc_id for r in alike.keep_one(docs).collect()} == set(want.values())
+
+
+def test_set_fingerprints_against_plain_counts():
+    texts = pa.array(["one two three four five six seven", None, "", "a b", "x y z " * 40_000, "u v w x y z"])
+    s = textscan.Scan(texts)
+    doc, h = alike.shingle_sets(s)
+    _, size = alike.node_ids(doc, h, s.n)
+    many = np.concatenate([h, np.random.default_rng(1).integers(0, 1 << 63, 300_000, dtype=np.uint64)])
+    got = alike.fingerprints(many, np.append(size, 300_000)).tolist()
+    lists = [h[doc == i].tolist() for i in range(s.n)] + [many[len(h) :].tolist()]
+    assert got == [sum(1 << i for i in range(64) if 2 * sum(x >> i & 1 for x in each) > len(each)) for each in lists]
+
+
+def test_one_row_of_each_component_where_ids_repeat(spark):
+    a, b, c = "alpha beta gamma delta epsilon zeta", "one two three four five six", "x y z u v w"
+    docs = spark.createDataFrame([(2, a), (2, b), (3, b), (3, b), (None, c), (None, c), (None, a), (4, ""), (4, None), (5, None)], "doc_id long, text string")
+    for keep in (simhash.keep_one, alike.keep_one):
+        got = sorted(rows(keep(docs)), key=str)
+        assert [x for x in got if x[1]] == sorted([(2, a), (2, b), (None, c)], key=str) and sum(x[0] == 4 for x in got) == 1 and len(got) == 4
+
+
 def test_components_of_a_long_path_and_a_hub(spark):
     edges = [(i, i + 1) for i in range(0, 200)] + [(1000, 1000 + i) for i in range(1, 150)] + [(5000, 5000)]
     got = dict(rows(components.components(spark.createDataFrame(edges, "a long, b long"))))
@@ -297,6 +340,51 @@ def test_planted_passages_are_found_and_cut(spark):
     assert mark in left[0] and not any(mark in (left[i] or "") for i in range(4, 40, 4)) and left[100] is None and left[101] == ""
 
 
+def test_passages_with_changes_cycles_and_scattered_first_holders(spark):
+    rng = random.Random(12)
+    docs, want = [], set()
+
+    def add(*parts):
+        docs.append((len(docs), " ".join(" ".join(p) for p in parts)))
+        return len(docs) - 1
+
+    def apart():
+        return words(rng, rng.randrange(20, 60))
+
+    changed = []
+    for _ in range(60):  # 60 words, 10 % of them changed
+        own = words(rng, 60)
+        at = set(rng.sample(range(60), 6))
+        add(apart(), own, apart())
+        changed.append(add(apart(), [f"zz{i}" if i in at else w for i, w in enumerate(own)], apart()))
+    for period in (1, 3, 8, 12, 16, 20):  # exact, but repeating itself
+        line = words(rng, period)
+        own = (line * 80)[:80]
+        add(apart(), own, apart())
+        want.add(add(apart(), own, apart()))
+    for _ in range(10):  # pieces of 15 words stand in six earlier documents, the whole in two later ones
+        own = words(rng, 60)
+        for i in range(0, 60, 9):
+            add(apart(), own[i : i + 15], apart())
+        add(apart(), own, apart())
+        want.add(add(apart(), own, apart()))
+    clean = {add(apart(), apart()) for _ in range(40)}
+    got = {r.doc_id for r in substring.duplicated_passages(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
+    assert want <= got and not clean & got
+    assert len(got & set(changed)) >= 0.9 * len(changed)
+
+
+def test_passages_where_ids_repeat(spark):
+    rng = random.Random(13)
+    s, a, b, c = words(rng, 80), words(rng, 40), words(rng, 40), words(rng, 90)
+    docs = [(1, a + s), (2, b + s), (2, c), (2, c), (None, s)]
+    df = spark.createDataFrame([(i, " ".join(w)) for i, w in docs], "doc_id long, text string")
+    got = [tuple(r)[:4] for r in substring.duplicated_passages(df).collect()]
+    assert got == [(2, 1, 40, 120)]
+    left = sorted(rows(substring.without_passages(df)), key=str)
+    assert left == sorted([(1, " ".join(a + s)), (2, " ".join(b)), (2, " ".join(c)), (2, " ".join(c)), (None, " ".join(s))], key=str)
+
+
 def test_chains_match_quadratic_dynamic_programme():
     rng = random.Random(2)
     for _ in range(30):
