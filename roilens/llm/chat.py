@@ -1,8 +1,9 @@
 """Chat formatting as relational work, in Spark expressions only.
 
-A conversation's turns are collected as structs and sorted; neighbours of one role are merged under
-one header; everything is concatenated from an array of segments.  Each segment carries its part of
-the loss mask (true on assistant texts, false on marks and other roles), so mask and text never part.
+A conversation's turns are collected as structs and sorted; runs of one role become blocks, whose texts
+are merged by aggregating the run's array under one header; blocks are concatenated.  The loss mask is
+a list of byte ranges of the formatted text, those of assistant texts: everything that is read back,
+text under the mask included, is cut out of the formatted text itself.
 
 Control strings inside texts and roles are escaped by a tilde after their first character, with any
 tildes that already stand there kept: "[INST]" becomes "[~INST]" and "[~INST]" becomes "[~~INST]",
@@ -47,31 +48,40 @@ def unescape(text: Column) -> Column:
 
 
 def format_chats(turns: DataFrame, template: Template = INST) -> DataFrame:
-    """(conv_id, segments, formatted): segments are structs of text and loss, formatted their texts joined."""
+    """(conv_id, formatted, loss_mask): loss_mask lists structs of from and to, byte offsets into ``formatted``."""
     t = template
     empty = F.lit("")
     turn = F.struct(F.col("turn"), F.coalesce("role", empty).alias("role"), F.coalesce("text", empty).alias("text"))
-    sorted_ = turns.groupBy("conv_id").agg(F.array_sort(F.collect_list(turn)).alias("turns"))
-    # each turn beside the one before it: a header only where the role changes
-    pairs = F.arrays_zip(F.col("turns").alias("now"), F.concat(F.array(F.lit(None).cast("struct<turn:bigint,role:string,text:string>")), F.slice("turns", 1, F.size("turns") - 1)).alias("before"))
-    sorted_ = sorted_.withColumn("pairs", pairs)
-
-    def mark_text(x: Column) -> Column:
-        now, before = x["now"], x["before"]
-        header = F.concat(F.lit(t.open), escape(now["role"]), F.lit(t.header))
-        return F.when(before.isNull(), header).when(before["role"] == now["role"], F.lit(t.join)).otherwise(F.concat(F.lit(t.close), header))
-
-    def both(x: Column) -> Column:
-        plain = F.struct(mark_text(x).alias("text"), F.lit(False).alias("loss"))
-        return F.array(plain, F.struct(escape(x["now"]["text"]).alias("text"), (x["now"]["role"] == "assistant").alias("loss")))
-
-    segments = F.concat(F.flatten(F.transform("pairs", both)), F.array(F.struct(F.lit(t.close).alias("text"), F.lit(False).alias("loss"))))
-    out = sorted_.select("conv_id", segments.alias("segments"))
-    return out.select("conv_id", "segments", F.array_join(F.col("segments.text"), "").alias("formatted"))
+    sorted_ = turns.groupBy("conv_id").agg(F.array_sort(F.collect_list(turn)).alias("turns")).withColumn("n", F.size("turns"))
+    begins = F.filter(F.sequence(F.lit(1), F.col("n")), lambda i: (i == 1) | (F.element_at("turns", i)["role"] != F.element_at("turns", F.greatest(i - 1, F.lit(1)))["role"]))
+    sorted_ = sorted_.withColumn("begins", begins)
+
+    def block(begin: Column, number: Column) -> Column:
+        """A run of one role: its mark, and the escaped texts with what stands before each."""
+        upto = F.coalesce(F.get("begins", number + 1), F.col("n") + 1)
+        role = F.element_at("turns", begin)["role"]
+        header = F.concat(F.when(number > 0, F.lit(t.close)).otherwise(empty), F.lit(t.open), escape(role), F.lit(t.header))
+        texts = F.transform(F.slice("turns", begin, upto - begin), lambda x: escape(x["text"]))
+        return F.struct(header.alias("header"), (role == "assistant").alias("loss"), texts.alias("texts"))
+
+    blocks = sorted_.select("conv_id", F.transform("begins", block).alias("blocks"))
+    merged = F.transform("blocks", lambda b: F.concat(b["header"], F.array_join(b["texts"], t.join)))
+    pieces = F.flatten(F.transform("blocks", lambda b: F.transform(b["texts"], lambda x, i: F.struct(
+        F.when(i == 0, F.octet_length(b["header"])).otherwise(F.lit(len(t.join.encode()))).cast("long").alias("before"), F.octet_length(x).cast("long").alias("size"), b["loss"].alias("loss")))))
+    out = blocks.select("conv_id", F.concat(F.array_join(merged, ""), F.lit(t.close)).alias("formatted"), pieces.alias("pieces"))
+    span = "array<struct<from:bigint,to:bigint>>"
+    start = F.struct(F.lit(0).cast("long").alias("at"), F.array().cast(span).alias("spans"))
+
+    def onward(acc: Column, x: Column) -> Column:
+        begin = acc["at"] + x["before"]
+        one = F.array(F.struct(begin.alias("from"), (begin + x["size"]).alias("to")))
+        return F.struct((begin + x["size"]).alias("at"), F.when(x["loss"], F.concat(acc["spans"], one)).otherwise(acc["spans"]).alias("spans"))
+
+    return out.select("conv_id", "formatted", F.aggregate("pieces", start, onward, lambda acc: acc["spans"]).alias("loss_mask"))
 
 
 def read_back(formatted: DataFrame, template: Template = INST) -> DataFrame:
-    """(conv_id, turns, loss_text): turns parsed from ``formatted`` as structs of role and text."""
+    """(conv_id, turns, loss_text, formatted_chars): turns parsed from ``formatted`` as structs of role and text, and the text under the mask."""
     t = template
     blocks = F.filter(F.split("formatted", _literal(t.close)), lambda x: x != "")
 
@@ -80,8 +90,11 @@ def read_back(formatted: DataFrame, template: Template = INST) -> DataFrame:
         role = unescape(F.substring(F.get(parts, F.lit(0)), len(t.open) + 1, 1 << 30))
         return F.transform(F.split(F.get(parts, F.lit(1)), _literal(t.join)), lambda x: F.struct(role.alias("role"), unescape(x).alias("text")))
 
-    loss = F.array_join(F.transform(F.filter("segments", lambda s: s["loss"]), lambda s: unescape(s["text"])), "")
-    return formatted.select("conv_id", F.flatten(F.transform(blocks, parse)).alias("turns"), loss.alias("loss_text"), F.length("formatted").cast("long").alias("formatted_chars"))
+    # of bytes, as a range of bytes is found without counting the characters before it
+    cut = F.transform("loss_mask", lambda m: unescape(F.substring(F.col("_bytes"), (m["from"] + 1).cast("int"), (m["to"] - m["from"]).cast("int")).cast("string")))
+    return formatted.withColumn("_bytes", F.col("formatted").cast("binary")).select(
+        "conv_id", F.flatten(F.transform(blocks, parse)).alias("turns"), F.array_join(cut, "").alias("loss_text"), F.length("formatted").cast("long").alias("formatted_chars")
+    )
 
 
 def _literal(mark: str) -> str:

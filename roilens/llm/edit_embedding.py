@@ -20,7 +20,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -184,6 +184,18 @@ def _cut_points(docs: DataFrame, parts: int) -> list[int]:
     return sorted(set(at or []))
 
 
+def _own_partition(spark: SparkSession, parts: list[int]) -> Column:
+    """A key by whose hash every value of ``part`` has a shuffle partition of its own, if there are as many as values."""
+    n = max(len(parts), 1)
+    number = F.col("id").cast("int")
+    # of some times as many numbers, the least that falls into each partition
+    least = spark.range(40 * n + 100).groupBy(F.pmod(F.hash(number), F.lit(n)).alias("p")).agg(F.min(number).alias("key")).collect()
+    keys = {r.p: r.key for r in least}
+    of = [keys.get(i, i) for i in range(n)]
+    rank = {p: i for i, p in enumerate(parts)}
+    return F.element_at(F.array(*(F.lit(of[rank[p]]) if p in rank else F.lit(0) for p in range(max(parts, default=0) + 1))), F.col("part") + 1)
+
+
 def edit_study(docs: DataFrame, parts: int | None = None) -> DataFrame:
     """Fingerprints of every text and of its edited text, and their likeness.
 
@@ -210,7 +222,7 @@ def edit_study(docs: DataFrame, parts: int | None = None) -> DataFrame:
     heads = spark.createDataFrame([(p, t) for p, t, _ in copies], "part int, top long")
     first = base.join(F.broadcast(heads), F.col("doc_id").eqNullSafe(F.col("top"))).groupBy("part", "doc_id").agg(F.min(F.coalesce("text", F.lit(""))).alias("text"))
     rows_in = ranged.select("part", "doc_id", "text", F.lit(0).alias("copy")).unionByName(first.select("part", "doc_id", "text", F.lit(1).alias("copy")))
-    dealt = rows_in.repartition(max(len(order), 1), "part").sortWithinPartitions("part", "copy", F.col("doc_id").desc_nulls_last(), F.coalesce("text", F.lit("")))
+    dealt = rows_in.repartition(max(len(order), 1), _own_partition(spark, [p for p, _ in order])).sortWithinPartitions("part", "copy", F.col("doc_id").desc_nulls_last(), F.coalesce("text", F.lit("")))
     schema = T.StructType(
         [base.schema["doc_id"], T.StructField("n_chars", T.LongType())]
         + [T.StructField(c, T.StringType()) for c in ("edited_sha256", "fingerprint", "edited_fingerprint")]

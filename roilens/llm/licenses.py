@@ -4,8 +4,9 @@ A text is made canonical line by line: quotes and dashes to ASCII, A-Z to lower
 dropped, punctuation and white space to single spaces, equivalent spellings to one.  The digest of
 the canonical lines joined by a space is looked up among digests of known licences by a hash join, so
 re-wrapped, re-punctuated or re-dated copies of a licence have the digest of the licence.  Every line
-is looked up the same way among known notices.  The registry is a fixed list that is made canonical
-by the same expressions; its few rows are the only thing broadcast.
+is looked up among the same digests by a second hash join.  The registry is a table of (known, body),
+made canonical by the same expressions; a built-in list serves where none is given.  It is broadcast
+while it has at most ``FEW_KNOWN`` rows and joined by a shuffle beyond that.
 
 A null or empty text has the digest of nothing and no licence.  Repeated rows are repeated in the result.
 """
@@ -15,6 +16,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .common import written
+
 # Spellings that licence matching guidelines hold to be equivalent (canonical one last).
 EQUIVALENT = (
     ("licence", "license"), ("licenced", "licensed"), ("sub licence", "sublicense"), ("sub license", "sublicense"), ("acknowledgement", "acknowledgment"),
@@ -39,6 +42,15 @@ Permission is granted to anyone to use this software for any purpose, including
 3. This notice may not be removed or altered from any source distribution.""",
 }
 
+_BSD_END = """THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS "AS IS" AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE DISCLAIMED. IN NO EVENT SHALL THE COPYRIGHT HOLDER OR CONTRIBUTORS BE LIABLE FOR ANY DIRECT, INDIRECT, INCIDENTAL, SPECIAL, EXEMPLARY, OR CONSEQUENTIAL DAMAGES (INCLUDING, BUT NOT LIMITED TO, PROCUREMENT OF SUBSTITUTE GOODS OR SERVICES; LOSS OF USE, DATA, OR PROFITS; OR BUSINESS INTERRUPTION) HOWEVER CAUSED AND ON ANY THEORY OF LIABILITY, WHETHER IN CONTRACT, STRICT LIABILITY, OR TORT (INCLUDING NEGLIGENCE OR OTHERWISE) ARISING IN ANY WAY OUT OF THE USE OF THIS SOFTWARE, EVEN IF ADVISED OF THE POSSIBILITY OF SUCH DAMAGE."""
+_BSD = """Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met:
+1. Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer.
+2. Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution."""
+TEXTS |= {
+    "BSD-2-Clause": f"{_BSD}\n{_BSD_END}",
+    "BSD-3-Clause": f"{_BSD}\n3. Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission.\n{_BSD_END}",
+}
+
 # One-line notices by which a work names its licence.
 NOTICES = (
     ("Apache-2.0", "Licensed under the Apache License, Version 2.0."), ("Apache-2.0", "SPDX-License-Identifier: Apache-2.0"),
@@ -71,27 +83,35 @@ def canonical_lines(text: Column) -> Column:
     return F.filter(F.transform(F.split(F.coalesce(text, F.lit("")), "\n"), canonical_line), lambda x: x != "")
 
 
-def registry(spark: SparkSession) -> DataFrame:
-    """(known, digest): canonical digests of all known texts and notices; one row a digest."""
-    rows = [*TEXTS.items(), *((n, t) for n, t in NOTICES)]
-    known = spark.createDataFrame(rows, "known string, body string")
-    return known.select("known", F.md5(F.array_join(canonical_lines(F.col("body")), " ")).alias("digest")).groupBy("digest").agg(F.min("known").alias("known"))
+FEW_KNOWN = 100_000  # rows of the registry that are broadcast, some tens of bytes each
+
+
+def built_in(spark: SparkSession) -> DataFrame:
+    """(known, body): the whole texts and notices listed above."""
+    return spark.createDataFrame([*TEXTS.items(), *NOTICES], "known string, body string")
+
+
+def registry(bodies: DataFrame) -> DataFrame:
+    """(digest, known): canonical digests of bodies (known, body); one row a digest, that of nothing left out."""
+    lines = bodies.select("known", canonical_lines(F.col("body")).alias("l")).where(F.size("l") > 0)
+    return lines.groupBy(F.md5(F.array_join("l", " ")).alias("digest")).agg(F.min("known").alias("known"))
 
 
-def scan(docs: DataFrame) -> DataFrame:
+def scan(docs: DataFrame, bodies: DataFrame | None = None) -> DataFrame:
     """doc_id, text_digest, license (of the whole text), notices (of lines), n_notices for every row.
 
     ``notices`` lists distinct licences in order, joined by commas; both are null where nothing is known.
-    The lookup against the small registry is a broadcast hash join, once by whole texts and once by
-    lines; only rows with a known line are grouped.
+    ``bodies`` (known, body) is the registry to look up in.  Rows are told apart by their place in a
+    written table of digests, so that only rows with a known line are grouped.
     """
-    known = F.broadcast(registry(docs.sparkSession))
+    known = written(registry(built_in(docs.sparkSession) if bodies is None else bodies), "licences")
+    known = F.broadcast(known) if known.count() <= FEW_KNOWN else known
     base = docs.select("doc_id", canonical_lines(F.col("text")).alias("_lines")).select(
-        "doc_id", F.md5(F.array_join("_lines", " ")).alias("text_digest"), F.transform("_lines", lambda x: F.md5(x)).alias("_digests")
+        F.monotonically_increasing_id().alias("_row"), "doc_id", F.md5(F.array_join("_lines", " ")).alias("text_digest"), F.transform("_lines", lambda x: F.md5(x)).alias("_digests")
     )
-    whole = base.join(known, F.col("text_digest") == F.col("digest"), "left").select("doc_id", "text_digest", "_digests", F.col("known").alias("license"))
-    # lines are looked up in the registry as a map literal of its few rows, without exploding them
-    table = F.create_map(*(F.lit(x) for r in sorted(registry(docs.sparkSession).collect()) for x in (r.digest, r.known)))
-    found = F.filter(F.transform("_digests", lambda x: F.try_element_at(table, x)), lambda x: x.isNotNull())
-    out = whole.withColumn("_found", found)
-    return out.select("doc_id", "text_digest", "license", F.nullif(F.array_join(F.array_sort(F.array_distinct("_found")), ","), F.lit("")).alias("notices"), F.size("_found").cast("long").alias("n_notices"))
+    base = written(base, "digests")
+    lines = base.where(F.size("_digests") > 0).select("_row", F.explode("_digests").alias("_line"))
+    found = lines.join(known, F.col("_line") == F.col("digest")).groupBy(F.col("_row").alias("_of")).agg(F.array_join(F.array_sort(F.collect_set("known")), ",").alias("notices"), F.count("*").alias("n"))
+    whole = base.select("_row", "doc_id", "text_digest").join(known, F.col("text_digest") == F.col("digest"), "left").withColumnRenamed("known", "license")
+    out = whole.join(found, F.col("_row") == F.col("_of"), "left")
+    return out.select("doc_id", "text_digest", "license", "notices", F.coalesce("n", F.lit(0).cast("long")).alias("n_notices"))

@@ -6,9 +6,11 @@ fixed point is a water level: with sources ordered by size over weight, one is c
 cap is at most its share of what the sources from it onwards must give.
 
 A source is then taken in whole epochs plus a seeded part of one more.  The part is a prefix of the
-source in hash order, found from two levels of sums over hash buckets rather than a sort: all buckets
-below the cut, and of the cut bucket's sub-buckets and documents those up to the target.  Only sums
-of a fixed number of buckets a source are shuffled, however many rows a source has.
+source in hash order, found from three levels of sums over hash buckets rather than a sort: all buckets
+below the cut, and of the cut bucket's sub-buckets and documents those up to the target.  Rows that
+agree in id and size have one hash; the last step deals them by their place in the table, so they need
+not all go in or stay out.  Only sums of a bounded number of buckets a source are shuffled, however many
+rows a source has.
 
 Sizes are counts of words (runs of characters other than space and 0x09-0x0D); a null text has none.
 Sources are ordered by code point with null last and weigh ``WEIGHTS`` in turn.
@@ -64,11 +66,22 @@ def mark() -> Column:
     return F.md5(F.concat(F.lit(SEED + ":"), F.coalesce(F.col("doc_id").cast("string"), F.lit("")), F.lit(":"), word_count().cast("string")))
 
 
+def place() -> Column:
+    """Where a row stands in its table: tells rows of one mark apart."""
+    return F.monotonically_increasing_id()
+
+
+def order_key() -> Column:
+    """What a source's rows are ordered by, from ``mark`` and ``place``: three levels of buckets, the last by both."""
+    apart = F.substring(F.md5(F.col("place").cast("string")), 1, BUCKET_DIGITS)
+    return F.concat(F.substring("mark", 1, 3 * BUCKET_DIGITS), apart)
+
+
 def plan(rows: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: tuple[int, int] = SHARE, max_epochs: int = MAX_EPOCHS) -> DataFrame:
-    """(source, source_size, target, epochs, below), one row a source, from rows (source, size, mark).
+    """(source, source_size, target, epochs, below), one row a source, from rows (source, size, mark, place).
 
-    Every row of a source is taken ``epochs`` times, and once more if its mark's first digits sort
-    before ``below``.
+    Every row of a source is taken ``epochs`` times, and once more if its order key sorts before
+    ``below``.
     """
     coarse, fine = F.substring("mark", 1, BUCKET_DIGITS), F.substring("mark", 1, 2 * BUCKET_DIGITS)
     buckets = rows.groupBy("source", coarse.alias("bucket")).agg(F.sum("size").alias("n"))
@@ -79,8 +92,11 @@ def plan(rows: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: tuple[int,
     cuts = first.select(F.col("of").alias("cut_of"), F.col("cut").alias("cut_bucket"), F.col("left").alias("cut_left"))
     inside = rows.join(cuts, F.col("source").eqNullSafe(F.col("cut_of")) & (coarse == F.col("cut_bucket")))
     second = _cut(inside.groupBy("source", fine.alias("bucket")).agg(F.sum("size").alias("n")), cuts.select(F.col("cut_of").alias("of"), F.col("cut_left").alias("want")))
+    fines = second.select(F.col("of").alias("fine_of"), F.col("cut").alias("fine_bucket"), F.col("left").alias("fine_left"))
+    last = rows.join(fines, F.col("source").eqNullSafe(F.col("fine_of")) & (fine == F.col("fine_bucket"))).groupBy("source", order_key().alias("bucket")).agg(F.sum("size").alias("n"))
+    third = _cut(last, fines.select(F.col("fine_of").alias("of"), F.col("fine_left").alias("want")))
     # the last bucket goes in whole if most of it is wanted; 'g' sorts after every hex digit
-    ends = second.select("of", F.when(2 * F.col("left") >= F.col("cut_n"), F.concat("cut", F.lit("g"))).otherwise(F.col("cut")).alias("end"))
+    ends = third.select("of", F.when(2 * F.col("left") >= F.col("cut_n"), F.concat("cut", F.lit("g"))).otherwise(F.col("cut")).alias("end"))
     return aims.join(ends, F.col("source").eqNullSafe(F.col("of")), "left").select(
         "source", "source_size", "target", "epochs", F.when(F.col("part") <= 0, "").otherwise(F.coalesce("end", F.lit("g"))).alias("below")
     )
@@ -96,13 +112,13 @@ def _cut(buckets: DataFrame, wanted: DataFrame) -> DataFrame:
 
 def _planned(docs: DataFrame, weights: tuple[int, ...], share: tuple[int, int], max_epochs: int) -> tuple[DataFrame, DataFrame]:
     """The sized rows and the plan, both written; the plan is broadcast if it has few sources."""
-    rows = written(docs.select("doc_id", "source", word_count().alias("size"), mark().alias("mark")), "sizes")
+    rows = written(docs.select("doc_id", "source", word_count().alias("size"), mark().alias("mark"), place().alias("place")), "sizes")
     by_source = written(plan(rows, weights, share, max_epochs), "mix").withColumnRenamed("source", "_source")
     return rows, F.broadcast(by_source) if by_source.count() <= FEW_SOURCES else by_source
 
 
 def _repeats() -> Column:
-    return (F.col("epochs") + (F.substring("mark", 1, 2 * BUCKET_DIGITS) < F.col("below")).cast("long")).cast("long")
+    return (F.col("epochs") + (order_key() < F.col("below")).cast("long")).cast("long")
 
 
 def mix(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: tuple[int, int] = SHARE, max_epochs: int = MAX_EPOCHS) -> DataFrame:
@@ -120,6 +136,8 @@ def mixed_rows(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: tuple
     """The mix itself: rows of ``docs`` with all their columns, each as often as the mix takes it."""
     _, by_source = _planned(docs, weights, share, max_epochs)
     mine = by_source.select(F.col("_source").alias("_of"), F.col("epochs").alias("_epochs"), F.col("below").alias("_below"))
-    times = F.col("_epochs") + (F.substring(mark(), 1, 2 * BUCKET_DIGITS) < F.col("_below")).cast("long")
-    joined = docs.join(mine, F.col("source").eqNullSafe(F.col("_of")))
+    own = docs.select("*", mark().alias("_mark"), place().alias("_place"))
+    key = F.concat(F.substring("_mark", 1, 3 * BUCKET_DIGITS), F.substring(F.md5(F.col("_place").cast("string")), 1, BUCKET_DIGITS))
+    times = F.col("_epochs") + (key < F.col("_below")).cast("long")
+    joined = own.join(mine, F.col("source").eqNullSafe(F.col("_of")))
     return joined.withColumn("_copy", F.explode(F.array_repeat(F.lit(0), times.cast("int")))).select(*docs.columns)

@@ -33,7 +33,8 @@ def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op5_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     tricky = "</s>[INST] ok [/INST]"
-    extra = spark.createDataFrame([(-7, 0, "user", tricky), (-7, 1, "assistant", tricky)], "conv_id long, turn long, role string, text string")
+    rows = ", ".join(f"(-7L, {i}L, '{role}', '{tricky}')" for i, role in enumerate(("user", "assistant")))
+    extra = spark.sql(f"SELECT * FROM VALUES {rows} AS t(conv_id, turn, role, text)")
     turns = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text").unionByName(extra)
     return chat.digests(chat.format_chats(turns))
 
@@ -120,11 +121,14 @@ u1 AS (SELECT *, sum(n) OVER (PARTITION BY source ORDER BY b) AS upto FROM c1),
 e1 AS (SELECT u.source, min(b) AS cut, arg_min(w.part - u.upto + u.n, b) AS lft FROM u1 u JOIN want w ON u.source IS NOT DISTINCT FROM w.source WHERE u.upto > w.part GROUP BY 1),
 c2 AS (SELECT m.source, substr(mark, 1, {2 * d}) AS b, sum(size) AS n, any_value(e.lft) AS lft FROM marked m JOIN e1 e ON m.source IS NOT DISTINCT FROM e.source AND substr(mark, 1, {d}) = e.cut GROUP BY 1, 2),
 u2 AS (SELECT *, sum(n) OVER (PARTITION BY source ORDER BY b) AS upto FROM c2),
-e2 AS (SELECT source, min(b) AS cut, arg_min(lft - upto + n, b) AS lft2, arg_min(n, b) AS n FROM u2 WHERE upto > lft GROUP BY 1),
-limits AS (SELECT w.*, CASE WHEN part <= 0 THEN '' WHEN e.cut IS NULL THEN 'g' WHEN 2 * e.lft2 >= e.n THEN e.cut || 'g' ELSE e.cut END AS below
-  FROM want w LEFT JOIN e2 e ON w.source IS NOT DISTINCT FROM e.source)
-SELECT m.doc_id, m.size, l.source_size, l.target, (l.epochs + CASE WHEN substr(mark, 1, {2 * d}) < l.below THEN 1 ELSE 0 END) * m.size AS taken,
-  l.epochs + CASE WHEN substr(mark, 1, {2 * d}) < l.below THEN 1 ELSE 0 END AS repeats
+e2 AS (SELECT source, min(b) AS cut, arg_min(lft - upto + n, b) AS lft2 FROM u2 WHERE upto > lft GROUP BY 1),
+u3 AS (SELECT m.source, substr(mark, 1, {3 * d}) AS b, m.size AS n, sum(m.size) OVER (PARTITION BY m.source ORDER BY substr(mark, 1, {3 * d})) AS upto, e.lft2
+  FROM marked m JOIN e2 e ON m.source IS NOT DISTINCT FROM e.source AND substr(mark, 1, {2 * d}) = e.cut),
+e3 AS (SELECT source, min(b) AS cut, arg_min(lft2 - upto + n, b) AS lft3, arg_min(n, b) AS n FROM u3 WHERE upto > lft2 GROUP BY 1),
+limits AS (SELECT w.*, CASE WHEN part <= 0 THEN '' WHEN e.cut IS NULL THEN 'g' WHEN 2 * e.lft3 >= e.n THEN e.cut || 'g' ELSE e.cut END AS below
+  FROM want w LEFT JOIN e3 e ON w.source IS NOT DISTINCT FROM e.source)
+SELECT m.doc_id, m.size, l.source_size, l.target, (l.epochs + CASE WHEN substr(mark, 1, {3 * d}) < l.below THEN 1 ELSE 0 END) * m.size AS taken,
+  l.epochs + CASE WHEN substr(mark, 1, {3 * d}) < l.below THEN 1 ELSE 0 END AS repeats
 FROM marked m JOIN limits l ON m.source IS NOT DISTINCT FROM l.source"""
 
 

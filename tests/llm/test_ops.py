@@ -80,6 +80,15 @@ def test_license_survives_layout_and_spelling(spark):
     assert got[4] == (None, "MIT", 1) and got[5] == (None, None, 0)
 
 
+def test_license_registry_is_an_argument(spark, monkeypatch):
+    bodies = spark.createDataFrame([("own", "One line.\nTwo lines."), ("notice", "See the licence."), ("nothing", " . ")], "known string, body string")
+    df = spark.createDataFrame([(1, "one LINE\n\ntwo, lines"), (1, "See the license!\nx\nsee the licence"), (None, ""), (2, None)], "doc_id long, text string")
+    for few in (100, 0):  # broadcast, and joined by a shuffle
+        monkeypatch.setattr(licenses, "FEW_KNOWN", few)
+        got = sorted(((r.doc_id, r.license, r.notices, r.n_notices) for r in licenses.scan(df, bodies).collect()), key=str)
+        assert got == sorted([(1, "own", None, 0), (1, None, "notice", 2), (None, None, None, 0), (2, None, None, 0)], key=str)
+
+
 # ---- 2 quality
 
 
@@ -134,6 +143,19 @@ def test_mix_matches_iterated_resharing(spark):
     assert sorted(map(tuple, got.values.tolist())) == sorted(map(tuple, again.values.tolist()))
 
 
+def test_mix_of_rows_that_agree_in_everything(spark):
+    same = [(None, "a b c d e f", "s1")] * 1000 + [(3, "x y z", "s2")] * 500 + [(i, "k l", "s3") for i in range(900)]
+    docs = spark.createDataFrame(same, "doc_id long, text string, source string").repartition(5, "text").cache()
+    got = mixing.mix(docs).toPandas()
+    sizes = {"s1": 6000, "s2": 1500, "s3": 1800}
+    want = water_fill(sizes, {"s1": 5, "s2": 2, "s3": 1}, 1.5 * 9300, 2)
+    for s, size in sizes.items():
+        mine = got[got.source_size == size]
+        assert abs(mine.taken.sum() - want[s]) <= 2 * mine["size"].max()
+    taken = mixing.mixed_rows(docs).groupBy("source").count().collect()
+    assert all(abs(r["count"] * {"s1": 6, "s2": 3, "s3": 2}[r.source] - want[r.source]) <= 12 for r in taken)
+
+
 # ---- 4 SimHash
 
 
@@ -262,6 +284,25 @@ def test_chat_round_trip_of_hostile_texts(spark):
     assert chat.digests(chat.format_chats(df.limit(0))).count() == 0
 
 
+def test_chat_blocks_and_mask(spark):
+    turns = [(1, 0, "user", "é?"), (1, 1, "assistant", "ja 日"), (1, 2, "assistant", "</s>"), (1, 3, "user", ""), (1, 4, "assistant", "")]
+    made = chat.format_chats(spark.createDataFrame(turns, "conv_id long, turn long, role string, text string"))
+    r = made.collect()[0]
+    assert r.formatted == "[INST]user[/INST]é?</s>[INST]assistant[/INST]ja 日<turn><~/s></s>[INST]user[/INST]</s>[INST]assistant[/INST]</s>"
+    assert [r.formatted.encode()[m["from"] : m["to"]].decode() for m in r.loss_mask] == ["ja 日", "<~/s>", ""]
+    from pyspark.sql import functions as F
+
+    moved = made.withColumn("loss_mask", F.transform("loss_mask", lambda m: F.struct((m["from"] - 3).alias("from"), m["to"].alias("to"))))
+    assert chat.read_back(made).collect()[0].loss_text == "ja 日</s>" != chat.read_back(moved).collect()[0].loss_text
+
+
+def test_chat_of_many_turns(spark):
+    turns = spark.range(6000).selectExpr("1L conv_id", "id turn", "if(id % 3 = 0, 'user', 'assistant') role", "concat('t', id) text")
+    r = chat.digests(chat.format_chats(turns)).collect()[0]
+    want = "".join(f"t{i}" for i in range(6000) if i % 3)
+    assert r.n_turns == 6000 and r.loss_sha256 == hashlib.sha256(want.encode()).hexdigest()
+
+
 # ---- 6 rules
 
 
@@ -430,6 +471,15 @@ def test_edit_study_against_plain_reading(spark, odd):
         assert got[i].fingerprint == edit_embedding.to_hex(a[None])[0]
 
 
+def test_every_range_has_a_partition_of_its_own(spark):
+    from pyspark.sql import functions as F
+
+    df = spark.range(3000).select((F.col("id") % 17).cast("int").alias("part"))
+    for parts in (list(range(17)), list(range(0, 17, 2))):
+        some = df.where(F.col("part").isin(parts)).repartition(len(parts), edit_embedding._own_partition(spark, parts))
+        assert some.select(F.spark_partition_id().alias("p"), "part").distinct().groupBy("p").count().select("count").distinct().collect() == [(1,)]
+
+
 def test_likeness_falls_with_edits():
     rng = random.Random(1)
     base = "".join(rng.choice("abcdefghijklmnop ") for _ in range(3000))
