@@ -24,6 +24,8 @@ def shared_dir(spark: SparkSession) -> str:
     ctx = spark.sparkContext
     named = ctx.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
     if named is None:
+        if not ctx.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         named = "file://" + tempfile.mkdtemp(prefix="roilens-shared-")
     if ctx.getCheckpointDir() is None:
         ctx.setCheckpointDir(named)

@@ -27,8 +27,9 @@ from pyspark.sql import types as T
 from pyspark.sql.window import Window as W
 
 from .common import written
-from .textscan import tidy
 from .components import components
+from .substring import packed, with_texts
+from .textscan import tidy
 
 RADIUS = 2
 SHINGLE = 3
@@ -118,15 +119,13 @@ def keep_one(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
 def one_each(docs: DataFrame, marked: DataFrame, of: DataFrame, fps: Callable[[pa.Array], np.ndarray]) -> DataFrame:
     """``keep_one`` for the classes ``of`` (fp, component_id, root) of ``marked`` (doc_id, fp).
 
-    ``fps`` gives the fp of each text again, which only rows without an id and rows of ids with several
-    fps need.
+    ``fps`` gives the fp of each text again, which only rows without an id and rows of repeated ids need.
     """
-    several = marked.where("doc_id is not null").groupBy("doc_id").agg(F.min("fp").alias("lo"), F.max("fp").alias("hi")).where("lo < hi")
+    several = marked.where("doc_id is not null").groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1")
     several = written(several.select(F.col("doc_id").alias("_several")), "several")
     keep = of.where("component_id is not null").select(F.col("component_id").alias("_keep")).distinct()
     keep = keep.join(several, F.col("_keep") == F.col("_several"), "left_anti")
-    rank = F.row_number().over(W.partitionBy("doc_id").orderBy(F.col("text").asc_nulls_last()))
-    one = docs.join(keep, F.col("doc_id") == F.col("_keep")).drop("_keep").withColumn("_rank", rank).where("_rank = 1").drop("_rank")
+    one = with_texts(packed(docs).join(keep, F.col("doc_id") == F.col("_keep"), "left_semi"), docs.schema)
     unclear = docs.where("doc_id is null").unionAll(docs.join(several, F.col("doc_id") == F.col("_several"), "left_semi"))
     schema = T.StructType([*docs.schema, T.StructField("_row_fp", T.LongType())])
     at = docs.columns.index("text")

@@ -335,6 +335,17 @@ def unpacked(column: pa.Array) -> pa.Array:
     return pa.array([None if t is None else unpack(t) for t in column.to_pylist()], pa.binary()).cast(pa.string())
 
 
+def with_texts(small: DataFrame, schema: T.StructType) -> DataFrame:
+    """The table that ``packed`` made ``small``."""
+    names, at = list(small.columns), small.columns.index("text")
+
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([unpacked(c) if i == at else c for i, c in enumerate(b.columns)], names)
+
+    return small.mapInArrow(tidy(rows), schema)
+
+
 def identified(docs: DataFrame) -> tuple[DataFrame, DataFrame | None]:
     """(rows with a key ``doc``, keys of repeated ids): one key for each doc_id, or for each text of an id that has several.
 
