@@ -1,7 +1,7 @@
 """Convex hulls of clusters: pruning by extremes, two scans, and hulls that merge.
 
-The distributed form takes hulls of partial point sets on the map side and the hull of those hulls
-after the shuffle, which is the hull of all points: what is shuffled is bounded by hull vertices.
+Hulls of partial point sets are taken batch by batch, and the hull of those hulls after a shuffle is
+the hull of all points: only vertices take part in that shuffle.
 """
 
 from __future__ import annotations
@@ -14,6 +14,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..geo import kernels, polygon
+from ..storage import stored
 
 KEY = ("session_id", "seg", "cluster_id")
 
@@ -22,7 +23,8 @@ def prune(points: DataFrame, directions: int = 8) -> DataFrame:
     """Points that can still be hull vertices: those not strictly inside the polygon of extremes.
 
     ``directions`` 4 takes the least and greatest x and y; 8 also those of x + y and x - y; 0 keeps all.
-    The extremes are one grouped aggregate of a fixed number of points a cluster.
+    The extremes are one grouped aggregate of a fixed number of points a cluster.  ``points`` is read
+    twice, so it should be a table, not a plan that clusters again.
     """
     clustered = points.where("cluster_id is not null")
     if not directions:
@@ -41,7 +43,7 @@ def prune(points: DataFrame, directions: int = 8) -> DataFrame:
 
 
 def _hull_rows(df: DataFrame, method: str) -> DataFrame:
-    """One hull of each run of a cluster's points in a batch: a map-side combine."""
+    """One hull of each run of a cluster's points in a batch: few vertices go on to the last shuffle."""
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -65,6 +67,7 @@ def convex_hull(points: DataFrame, method: str = "chain", directions: int = 8) -
 
     Clusters of one pixel, two, or pixels in a line have area 0 and are kept.
     """
+    points = stored(points)
     kept = prune(points, directions)
     counts = points.where("cluster_id is not null").groupBy(*KEY).agg(F.count("*").alias("n")).withColumn("seg", F.col("seg").cast("int"))
     return with_measures(merge(_hull_rows(kept, method), method)).join(counts, list(KEY))

@@ -14,24 +14,26 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
 
 from ..geo import kernels, polygon
+from ..storage import stored
 from .components import components
 
 
 def _clipped(pairs: DataFrame) -> DataFrame:
-    """pairs (session_id, src, a, b) with ``poly`` = a clipped by b; empty ones dropped."""
+    """pairs (session_id, src, segs, a, b) with ``poly`` = a clipped by b; empty ones dropped."""
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             polys, keep = [], []
-            for i, (a, b) in enumerate(zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)):
+            for i, (a, b) in enumerate(zip(batch.column(3).to_pylist(), batch.column(4).to_pylist(), strict=True)):
                 out = kernels.clip([(v["x"], v["y"]) for v in a], [(v["x"], v["y"]) for v in b])
                 if out:
                     keep.append(i)
                     polys.append([{"x": x, "y": y} for x, y in out])
             at = pa.array(keep, pa.int64())
-            yield pa.RecordBatch.from_arrays([batch.column(0).take(at), batch.column(1).take(at), pa.array(polys, pa.list_(pa.struct([("x", pa.float64()), ("y", pa.float64())])))], ["session_id", "src", "poly"])
+            yield pa.RecordBatch.from_arrays([*(batch.column(c).take(at) for c in range(3)), pa.array(polys, pa.list_(pa.struct([("x", pa.float64()), ("y", pa.float64())])))], ["session_id", "src", "segs", "poly"])
 
-    return pairs.select("session_id", "src", "a", "b").mapInArrow(rows, f"session_id long, src array<long>, poly {polygon.POLYGON}")
+    at = pairs.select("session_id", "src", F.col("segs").cast("array<int>").alias("segs"), "a", "b")
+    return at.mapInArrow(rows, f"session_id long, src array<long>, segs array<int>, poly {polygon.POLYGON}")
 
 
 def candidate_pairs(polys: DataFrame, pairs: str = "all") -> DataFrame:
@@ -48,22 +50,24 @@ def candidate_pairs(polys: DataFrame, pairs: str = "all") -> DataFrame:
 
 
 def rois(polys: DataFrame, pairs: str = "all", min_support: int = 2) -> DataFrame:
-    """(session_id, roi_id, poly, area, bbox, src): intersections of ``min_support`` polygons.
+    """(session_id, roi_id, poly, area, bbox, src): intersections of ``min_support`` polygons, read more than once.
 
     1 takes the polygons themselves; 2 is pairwise; s >= 3 extends tuples by polygons of larger id
     and other segments.  roi_id numbers a session's regions by their sources.
     """
+    polys = stored(polys, "polygons")
     solid = polys.where("area > 1e-9")
     if min_support == 1:
         found = solid.select("session_id", F.array("cluster_id").alias("src"), "poly")
     else:
-        found = _clipped(candidate_pairs(polys, "cross_segment" if min_support > 2 else pairs))
+        met = candidate_pairs(polys, "cross_segment" if min_support > 2 else pairs)
+        found = _clipped(met.withColumn("segs", F.array("sa", "sb")))
         for _ in range(min_support - 2):
-            more = solid.select("session_id", F.col("cluster_id").alias("c"), F.col("poly").alias("b"), F.col("bbox").alias("bb"))
+            more = solid.select("session_id", F.col("cluster_id").alias("c"), F.col("seg").alias("s"), F.col("poly").alias("b"), F.col("bbox").alias("bb"))
             f = found.withColumn("fb", polygon.bbox(F.col("poly"))).withColumnRenamed("poly", "a")
             boxes = (F.col("fb.x0") < F.col("bb.x1")) & (F.col("bb.x0") < F.col("fb.x1")) & (F.col("fb.y0") < F.col("bb.y1")) & (F.col("bb.y0") < F.col("fb.y1"))
-            met = f.join(more, "session_id").where((F.col("c") > F.element_at("src", -1)) & boxes & ~polygon.apart(F.col("a"), F.col("b")))
-            found = _clipped(met.select("session_id", F.concat("src", F.array("c")).alias("src"), "a", "b"))
+            met = f.join(more, "session_id").where((F.col("c") > F.element_at("src", -1)) & ~F.array_contains("segs", F.col("s")) & boxes & ~polygon.apart(F.col("a"), F.col("b")))
+            found = _clipped(met.select("session_id", F.concat("src", F.array("c")).alias("src"), F.concat("segs", F.array("s")).alias("segs"), "a", "b"))
     out = found.withColumn("area", polygon.area(F.col("poly"))).withColumn("bbox", polygon.bbox(F.col("poly")))
     number = F.row_number().over(W.partitionBy("session_id").orderBy("src"))
     return out.withColumn("roi_id", number).select("session_id", "roi_id", "poly", "area", "bbox", "src")

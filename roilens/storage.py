@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+import weakref
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -18,6 +19,8 @@ def shared_dir(spark: SparkSession) -> str:
     ctx = spark.sparkContext
     if ctx.getCheckpointDir() is None:
         named = spark.conf.get("spark.checkpoint.dir", None)
+        if named is None and not ctx.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         ctx.setCheckpointDir(named or "file://" + tempfile.mkdtemp(prefix="roilens-shared-"))
     return ctx.getCheckpointDir()
 
@@ -27,4 +30,14 @@ def written(df: DataFrame, label: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    _tables.add(out)
+    return out
+
+
+_tables: weakref.WeakSet[DataFrame] = weakref.WeakSet()
+
+
+def stored(df: DataFrame, label: str = "table") -> DataFrame:
+    """``df`` itself if ``written`` returned it, else ``df`` written: for plans that read it more than once."""
+    return df if df in _tables else written(df, label)

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..geo import polygon, quadtree
+from ..storage import stored
 
 
 def match(rois: DataFrame, pois: DataFrame, leaves: DataFrame | None = None, boundary: bool = False, root: quadtree.Root = quadtree.Root()) -> DataFrame:
@@ -20,7 +21,7 @@ def match(rois: DataFrame, pois: DataFrame, leaves: DataFrame | None = None, bou
         box = (F.col("mx") >= F.col("_b.x0")) & (F.col("mx") <= F.col("_b.x1")) & (F.col("my") >= F.col("_b.y0")) & (F.col("my") <= F.col("_b.y1"))
         met = pois.select("poi_id", "mx", "my").join(r, box)
         return met.where(polygon.contains(F.col("poly"), F.col("mx"), F.col("my"), boundary)).select("session_id", "roi_id", "poi_id")
-    met = candidates(rois, pois, leaves, root)
+    met = candidates(stored(rois, "rois"), pois, leaves, root)
     return met.where(F.col("inside") | polygon.contains(F.col("poly"), F.col("mx"), F.col("my"), boundary)).select("session_id", "roi_id", "poi_id")
 
 
