@@ -7,6 +7,8 @@ The common tables are listed once, in order; a query takes those up to the last
 
 from __future__ import annotations
 
+import re
+
 from .relational.ops import SQL as OPS_SQL
 
 _AX, _AY = "[-500, -250, 0, 250, 500]", "[-200, 150, -100, 200, 0]"
@@ -58,6 +60,17 @@ TABLES: list[tuple[str, str]] = [
     ("roi", """roi AS MATERIALIZED (SELECT a.session_id, (row_number() OVER (PARTITION BY a.session_id ORDER BY a.cluster_id, b.cluster_id))::INT AS roi_id, a.cluster_id AS src_a, b.cluster_id AS src_b, a.seg AS seg_a, b.seg AS seg_b
   FROM hullm a JOIN hullm b ON a.session_id = b.session_id AND a.cluster_id < b.cluster_id WHERE a.area > 0 AND b.area > 0
   AND NOT EXISTS (SELECT 1 FROM parted p WHERE p.session_id = a.session_id AND ((p.a = a.cluster_id AND p.b = b.cluster_id) OR (p.a = b.cluster_id AND p.b = a.cluster_id))))"""),
+    ("corner", """corner AS MATERIALIZED (SELECT DISTINCT r.session_id, r.roi_id, round(v.x, 9) AS x, round(v.y, 9) AS y FROM roi r JOIN (
+    SELECT o.session_id, e.cluster_id AS of, o.cluster_id AS within, e.ax::DOUBLE AS x, e.ay::DOUBLE AS y FROM edge e JOIN edge o ON o.session_id = e.session_id AND o.cluster_id <> e.cluster_id
+    GROUP BY ALL HAVING bool_and((o.bx - o.ax) * (e.ay - o.ay) - (o.ey - o.ay) * (e.ax - o.ax) >= 0)) v
+    ON v.session_id = r.session_id AND ((v.of = r.src_a AND v.within = r.src_b) OR (v.of = r.src_b AND v.within = r.src_a))
+  UNION SELECT session_id, roi_id, round(ax + t * dx, 9), round(ay + t * dy, 9) FROM (
+    SELECT r.session_id, r.roi_id, e.ax, e.ay, e.bx - e.ax AS dx, e.ey - e.ay AS dy, (e.bx - e.ax) * (f.ey - f.ay) - (e.ey - e.ay) * (f.bx - f.ax) AS det,
+      ((f.ax - e.ax) * (f.ey - f.ay) - (f.ay - e.ay) * (f.bx - f.ax)) / nullif(det, 0)::DOUBLE AS t, ((f.ax - e.ax) * (e.ey - e.ay) - (f.ay - e.ay) * (e.bx - e.ax)) / nullif(det, 0)::DOUBLE AS u
+    FROM roi r JOIN edge e ON e.session_id = r.session_id AND e.cluster_id = r.src_a JOIN edge f ON f.session_id = r.session_id AND f.cluster_id = r.src_b) WHERE t BETWEEN 0 AND 1 AND u BETWEEN 0 AND 1)"""),
+    ("ring", """ring AS (SELECT *, coalesce(lead(x) OVER v, first_value(x) OVER v) AS nx, coalesce(lead(y) OVER v, first_value(y) OVER v) AS ny FROM (
+    SELECT *, atan2(y - avg(y) OVER g, x - avg(x) OVER g) AS angle FROM corner WINDOW g AS (PARTITION BY session_id, roi_id)) WINDOW v AS (PARTITION BY session_id, roi_id ORDER BY angle))"""),
+    ("region", """region AS MATERIALIZED (SELECT session_id, roi_id, sum(x * ny - nx * y) / 2 AS area, sum((x + nx) * (x * ny - nx * y)) / (3 * sum(x * ny - nx * y)) AS cx, sum((y + ny) * (x * ny - nx * y)) / (3 * sum(x * ny - nx * y)) AS cy FROM ring GROUP BY ALL)"""),
     ("poi", f"""poi AS MATERIALIZED (SELECT key AS poi_id, {_PLACE}, p_brand AS brand, p_type AS type, ((p_size - 1) // 10)::VARCHAR AS size_decade, split_part(p_name, ' ', 1) AS colour, split_part(p_name, ' ', 2) AS noun
   FROM (SELECT *, p_partkey AS key FROM part))"""),
     ("facet", """facet AS MATERIALIZED (SELECT poi_id, 'brand' AS attr, brand AS val FROM poi UNION ALL SELECT poi_id, 'type', type FROM poi UNION ALL SELECT poi_id, 'size_decade', size_decade FROM poi
@@ -81,7 +94,7 @@ TABLES: list[tuple[str, str]] = [
 ]
 _NEEDS = {
     "m": "", "ms": "", "md": "", "k": "m", "ks": "ms", "kd": "md", "seg": "k", "near": "seg", "core": "near", "reach": "core near", "named": "reach", "clus": "named near seg", "px": "clus", "edge": "px",
-    "hullm": "edge", "parted": "edge hullm", "roi": "hullm parted", "poi": "", "facet": "poi", "inhull": "edge poi", "match": "roi inhull", "inc": "match facet", "fb": "inc", "cells": "facet", "z": "fb cells",
+    "hullm": "edge", "parted": "edge hullm", "roi": "hullm parted", "corner": "roi edge", "ring": "corner", "region": "ring", "poi": "", "facet": "poi", "inhull": "edge poi", "match": "roi inhull", "inc": "match facet", "fb": "inc", "cells": "facet", "z": "fb cells",
     "w": "fb z", "norm": "w z", "rel": "match facet w norm", "vec": "match facet", "pec": "vec w norm", "rnd": "match", "clk": "", "track": "m",
 }
 
@@ -148,6 +161,11 @@ code AS MATERIALIZED (SELECT (SELECT sum((((cx >> i) & 1) << (2 * i)) + (((cy >>
 lv AS MATERIALIZED (SELECT d AS depth, code >> (2 * (11 - d)) AS code, count(*) AS n FROM code, range(12) t(d) GROUP BY ALL),
 leaf AS (SELECT a.depth::INT AS depth, a.code, a.n FROM lv a LEFT JOIN lv b ON b.depth = a.depth - 1 AND b.code = a.code >> 2 WHERE (a.n <= 64 OR a.depth = 11) AND (a.depth = 0 OR b.n > 64))"""
 
+def _sides(sql: str) -> str:
+    """``side(ax, ay, bx, by, x, y)`` written out: whether (x, y) lies left of the edge."""
+    return re.sub(r"side\((\w+), (\w+), (\w+), (\w+), (\w+), (\w+)\)", r"((\3 - \1) * (\6 - \2) - (\4 - \2) * (\5 - \1) > 0)", sql)
+
+
 ORACLES: dict[str, str] = {
     "q_project_roundtrip": _with("m", f"SELECT event_id, round(y / 10000.0::DOUBLE + 48.86::DOUBLE, 6) AS lat, round(x / 10000.0::DOUBLE / {_COS} + 2.3::DOUBLE, 6) AS lon, round(x::DOUBLE, 3) AS bx, round(y::DOUBLE, 3) AS by FROM m"),
     "q_recentre": _with("m", "SELECT event_id, round(y / 10000.0::DOUBLE + 48 + 0.5 * i, 6) AS lat, round(x / 10000.0::DOUBLE / cos(radians(48 + 0.5 * i)) + 2 + i, 6) AS lon FROM (SELECT *, least(2, t_ms // 10000) AS i FROM m)"),
@@ -173,6 +191,24 @@ kept AS (SELECT session_id, arg_min(event_id, t_ms) AS event_id, min(t_ms) AS t_
     "q_density_surface": _with("k", "SELECT session_id, floor(x / 50)::BIGINT AS gx, floor(y / 50)::BIGINT AS gy, count(*) AS n FROM k GROUP BY ALL"),
     "q_dbscan_roles": _with("clus", "SELECT session_id, seg, count(*) FILTER (role = 'core') AS cores, count(*) FILTER (role = 'border') AS borders, count(*) FILTER (role = 'noise') AS noise, count(DISTINCT cluster_id) AS clusters FROM clus GROUP BY ALL"),
     "q_dbscan_clusters": _with("clus", "SELECT session_id, seg, event_id, cluster_id, role FROM clus"),
+    "q_dbscan_distributed": _with("clus", "SELECT session_id, seg, event_id, cluster_id, role FROM clus"),
+    "q_dbscan_temporal": _with("clus", "SELECT session_id, seg, event_id, cluster_id, role FROM clus").replace("< 900)", "< 900 AND abs(a.t_ms - b.t_ms) <= 2000)"),
+    "q_hull_angular": _with("hullm", """SELECT session_id, cluster_id, round(area::DOUBLE, 6) AS area FROM hullm
+  UNION ALL SELECT session_id, cluster_id, 0.0::DOUBLE FROM px GROUP BY session_id, seg, cluster_id HAVING count(*) = 1"""),
+    "q_hull_prune": _with("clus", """SELECT session_id, seg, cluster_id, count(*) AS "left" FROM clus JOIN far USING (session_id, seg, cluster_id) WHERE NOT (
+    (wx, wy) <> (ex, ey) AND (side(wx, wy, sx, sy, x, y) OR (wx, wy) = (sx, sy)) AND (side(sx, sy, ex, ey, x, y) OR (sx, sy) = (ex, ey)) AND (side(ex, ey, nx, ny, x, y) OR (ex, ey) = (nx, ny)) AND (side(nx, ny, wx, wy, x, y) OR (nx, ny) = (wx, wy)))
+  GROUP BY ALL""", """far AS MATERIALIZED (SELECT session_id, seg, cluster_id, min(x) AS wx, arg_min(y, x * 100000 - y) AS wy, arg_min(x, y * 100000 + x) AS sx, min(y) AS sy,
+  max(x) AS ex, arg_min(y, y - x * 100000) AS ey, arg_min(x, -x - y * 100000) AS nx, max(y) AS ny FROM clus WHERE cluster_id IS NOT NULL GROUP BY ALL)"""),
+    "q_roi_area": _with("region", "SELECT session_id, roi_id, round(area, 4) AS area FROM region"),
+    "q_roi_printed_stretch": _with("region", "SELECT session_id, roi_id, round(area, 4) AS area FROM region"),
+    "q_representativeness": _with("region", "SELECT a.session_id, round(coalesce(sum(sqrt(pow(a.cx - b.cx, 2) + pow(a.cy - b.cy, 2))), 0), 4) AS representativeness FROM region a LEFT JOIN region b ON a.session_id = b.session_id AND a.roi_id < b.roi_id GROUP BY ALL"),
+    "q_nearest_k": _with("region match poi", """SELECT session_id, roi_id, rank, poi_id FROM (SELECT m.*, row_number() OVER (PARTITION BY m.session_id, m.roi_id ORDER BY round(sqrt(pow(mx - cx, 2) + pow(my - cy, 2)), 6), m.poi_id) AS rank
+  FROM match m JOIN region USING (session_id, roi_id) JOIN poi p ON p.poi_id = m.poi_id) WHERE rank <= 5"""),
+    "q_replace_poi": _with("poi", """SELECT noun, old_id, new_id FROM (SELECT o.noun, o.poi_id AS old_id, r.poi_id AS new_id, row_number() OVER (PARTITION BY o.poi_id ORDER BY (o.brand = r.brand)::INT + (o.type = r.type)::INT + (o.size_decade = r.size_decade)::INT + (o.colour = r.colour)::INT DESC, r.poi_id) AS n
+  FROM plan o JOIN there r ON r.noun = o.noun WHERE r.poi_id NOT IN (SELECT poi_id FROM plan)) WHERE n = 1""", """there AS MATERIALIZED (SELECT poi.*, p_retailprice AS price FROM poi JOIN part ON p_partkey = poi_id WHERE mx BETWEEN -320 AND -180 AND my BETWEEN 80 AND 220),
+plan AS MATERIALIZED (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY noun ORDER BY price, poi_id) AS n FROM there) WHERE n = 1)"""),
+    "q_known_facet": _with("poi", """SELECT kind AS roi_kind, round(printed, 6) AS printed, round(1 - printed, 6) AS intent FROM (SELECT exp(10) AS e, count(DISTINCT size_decade) - 1 AS others, sqrt(e * e + others) AS norm FROM poi),
+  LATERAL (VALUES ('known', e / norm), ('mixed', (e + others) / (norm * sqrt(others + 1)))) v(kind, printed)"""),
     "q_reachable": _with("near", "SELECT session_id, seg, a, b FROM near WHERE a < b"),
     "q_hull_vertices": _with("edge", """SELECT session_id, seg, cluster_id, ax::DOUBLE AS x, ay::DOUBLE AS y FROM edge
   UNION ALL SELECT session_id, seg, cluster_id, any_value(x)::DOUBLE, any_value(y)::DOUBLE FROM px GROUP BY session_id, seg, cluster_id HAVING count(*) = 1"""),
@@ -236,4 +272,4 @@ WHERE least(a.x1, b.x1) > greatest(a.x0, b.x0) AND least(a.y1, b.y1) > greatest(
 
 
 def oracle_sql() -> dict[str, str]:
-    return ORACLES | OPS_SQL
+    return {name: _sides(sql) for name, sql in ORACLES.items()} | OPS_SQL
