@@ -250,7 +250,7 @@ plan AS MATERIALIZED (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY n
   FROM match a JOIN match b USING (session_id, roi_id) JOIN poi p ON p.poi_id = a.poi_id JOIN poi q ON q.poi_id = b.poi_id GROUP BY ALL"""),
     "q_thinning_ratio": _with("m k", "SELECT a.session_id, a.raw, b.kept, round(b.kept / a.raw, 6) AS ratio FROM (SELECT session_id, count(*) AS raw FROM m GROUP BY 1) a JOIN (SELECT session_id, count(*) AS kept FROM k GROUP BY 1) b USING (session_id)"),
     "q_click_only": _with("clk facet cells", """SELECT session_id, rank, poi_id, round(relevance, 6) AS relevance FROM (SELECT *, row_number() OVER (PARTITION BY session_id ORDER BY round(relevance, 9) DESC, poi_id) AS rank FROM scored) WHERE rank <= 5""",
-        """cf AS MATERIALIZED (SELECT c.session_id, f.attr, f.val, count(*) * 0.05::DOUBLE AS raw FROM clk c JOIN facet f USING (poi_id) WHERE c.session_id < 20 GROUP BY ALL),
+        """cf AS MATERIALIZED (SELECT c.session_id, f.attr, f.val, count(*) * 0.05::DOUBLE AS raw FROM clk c JOIN facet f USING (poi_id) GROUP BY ALL),
 cz AS MATERIALIZED (SELECT session_id, sum(exp(raw)) + any_value(f) - count(*) AS z, any_value(f) - count(*) AS rest FROM cf, cells GROUP BY session_id),
 cn AS MATERIALIZED (SELECT session_id, sqrt(sum(pow(exp(raw) / z, 2)) + any_value(rest) / pow(any_value(z), 2)) AS norm FROM cf JOIN cz USING (session_id) GROUP BY session_id),
 scored AS (SELECT z.session_id, f.poi_id, sum(exp(coalesce(c.raw, 0)) / z.z) / (any_value(n.norm) * sqrt(5)) AS relevance FROM cz z JOIN cn n USING (session_id) CROSS JOIN facet f
