@@ -4,7 +4,8 @@ Every stage is ``f(spark, docs, sf_dir) -> DataFrame``; its result is written as
 as the next stage's documents.  All but the last return the columns of documents, extra ones included.
 
 1. quality classifier: documents scored below the threshold go
-2. near-duplicates, five-word shingles at least 0.8 alike: one document of each group stays
+2. SimHash near-duplicates of five-word shingles, by bands beyond the balls' radius, all verified at a
+   similarity of 0.8: one document of each group stays
 3. substring deduplication: passages that repeat an earlier document's are cut from texts
 4. mixing: rows as often as their source's target asks
 5. byte-level BPE: token ids beside the columns of documents
