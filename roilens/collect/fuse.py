@@ -13,7 +13,7 @@ CORE = ("session_id", "event_id", "t_ms", "x", "y", "signal")
 def fuse(signals: dict[str, tuple[DataFrame, float]]) -> DataFrame:
     """Union of signals with a weight each; event ids stay distinct by a stride per signal.
 
-    Downstream, a point counts by its weight where density is weighed.
+    Clustering counts a point by its weight towards ``min_pts``.
     """
     n = len(signals)
     parts = [

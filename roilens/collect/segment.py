@@ -80,6 +80,11 @@ def g_from_density(mean_per_leaf: float) -> int:
     return int(min(12, max(2, round(mean_per_leaf**0.5))))
 
 
+def g_from_leaves(leaves: DataFrame) -> int:
+    """``g_from_density`` of a quadtree's leaves; the least number where there is none."""
+    return g_from_density(leaves.agg(F.avg("n")).first()[0] or 0.0)
+
+
 def summary(segmented: DataFrame) -> DataFrame:
     """(session_id, seg, t_start, t_end, n)."""
     return segmented.groupBy("session_id", "seg").agg(F.min("t_ms").alias("t_start"), F.max("t_ms").alias("t_end"), F.count("*").alias("n"))

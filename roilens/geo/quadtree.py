@@ -24,6 +24,17 @@ class Root:
     side: float = 2048.0
     bits: int = 11
 
+    @classmethod
+    def around(cls, pois: DataFrame, x: str = "mx", y: str = "my") -> Root:
+        """The default square, doubled about its centre until it holds all points; finest cells keep their size."""
+        r = pois.agg(F.min(x).alias("x0"), F.max(x).alias("x1"), F.min(y).alias("y0"), F.max(y).alias("y1")).first()
+        root = cls()
+        while r.x0 is not None and (min(r.x0, r.y0) < root.x0 or max(r.x1, r.y1) >= root.x0 + root.side):
+            root = cls(2 * root.x0, 2 * root.y0, 2 * root.side, root.bits + 1)
+            if root.bits > 31:
+                raise ValueError("points lie too far out for a code of 62 bits")
+        return root
+
     def cell(self, v: Column, origin: float) -> Column:
         scale = 2**self.bits / self.side
         return F.least(F.greatest(F.floor((v - F.lit(origin)) * F.lit(scale)), F.lit(0)), F.lit(2**self.bits - 1)).cast("long")
@@ -74,42 +85,57 @@ def member(pois: DataFrame, leaves: DataFrame, root: Root = Root(), x: str = "mx
     return up.join(key, (F.col("_d") == F.col("depth")) & (F.col("_c") == F.col("code"))).drop("_d", "_c", "_fine")
 
 
-def cover(rois: DataFrame, leaves: DataFrame, poly: str = "poly") -> DataFrame:
+def cover(rois: DataFrame, leaves: DataFrame, poly: str = "poly", root: Root = Root()) -> DataFrame:
     """(session_id, roi_id, depth, code, inside): leaves that meet a polygon's interior or edge.
 
     The bounding boxes decide first; ``inside`` (all corners strictly within) lets a match skip the
-    exact test.  The leaves, bounded by points over capacity, are the smaller side.
+    exact test.
     """
     box = rois.withColumn("_b", polygon.bbox(F.col(poly)))
     square = F.array(
         *(F.struct((F.col("x0") + F.lit(dx) * F.col("size")).alias("x"), (F.col("y0") + F.lit(dy) * F.col("size")).alias("y")) for dx, dy in ((0.0, 0.0), (1.0, 0.0), (1.0, 1.0), (0.0, 1.0)))
     )
-    lv = leaves.withColumn("_sq", square)
     near = (F.col("x0") <= F.col("_b.x1")) & (F.col("x0") + F.col("size") >= F.col("_b.x0")) & (F.col("y0") <= F.col("_b.y1")) & (F.col("y0") + F.col("size") >= F.col("_b.y0"))
-    met = _range_join(box, lv, near).where(~polygon.apart(F.col(poly), F.col("_sq")))
+    keys = ["_deep", "_d", "_c"]
+    met = _box_cells(box, root).join(_leaf_cells(leaves), keys).where(near).withColumn("_sq", square)
+    met = met.where(~polygon.apart(F.col(poly), F.col("_sq")))
     inside = F.forall("_sq", lambda v: polygon.contains(F.col(poly), v["x"], v["y"]))
     return met.select("session_id", "roi_id", "depth", "code", inside.alias("inside"))
 
 
-COARSE = 256.0
+def _shifted(code: str, levels: str) -> Column:
+    return F.expr(f"shiftright({code}, cast(2 * ({levels}) as int))")
 
 
-def _range_join(box: DataFrame, leaves: DataFrame, near: Column) -> DataFrame:
-    """Pairs of boxes that touch, through an equi-join on coarse grid cells.
+def _box_cells(box: DataFrame, root: Root) -> DataFrame:
+    """Boxes dealt to cell codes (_deep, _d, _c) as fine as the boxes are small.
 
-    Both sides are dealt into all coarse cells they touch; a pair is taken in the cell that holds the
-    lower corner of its overlap, so that it comes once.
+    A box touches at most three by three cells of the level whose cells are no smaller than it.  For
+    leaves at that level or above it has those cells' ancestors, each once; for deeper ones the cells.
     """
-
-    def dealt(df: DataFrame, x0: Column, x1: Column, y0: Column, y1: Column, tag: str) -> DataFrame:
-        gx = F.explode(F.sequence(F.floor(x0 / COARSE), F.floor(x1 / COARSE)))
-        out = df.withColumn(f"_gx{tag}", gx)
-        return out.withColumn(f"_gy{tag}", F.explode(F.sequence(F.floor(y0 / COARSE), F.floor(y1 / COARSE))))
-
-    left = dealt(box, F.col("_b.x0"), F.col("_b.x1"), F.col("_b.y0"), F.col("_b.y1"), "l")
-    right = dealt(leaves, F.col("x0"), F.col("x0") + F.col("size"), F.col("y0"), F.col("y0") + F.col("size"), "r")
-    once = (F.floor(F.greatest("x0", "_b.x0") / COARSE) == F.col("_gxl")) & (F.floor(F.greatest("y0", "_b.y0") / COARSE) == F.col("_gyl"))
-    return left.join(right, (F.col("_gxl") == F.col("_gxr")) & (F.col("_gyl") == F.col("_gyr")) & near & once)
+    span = F.greatest(F.col("_b.x1") - F.col("_b.x0"), F.col("_b.y1") - F.col("_b.y0"), F.lit(root.side / 2**root.bits))
+    out = box.withColumn("_l", F.greatest(F.least(F.floor(F.log2(F.lit(root.side) / span)), F.lit(root.bits)), F.lit(0)).cast("int"))
+    scale = F.pow(F.lit(2.0), F.col("_l")) / F.lit(root.side)
+    top = F.expr("shiftleft(1L, _l) - 1")
+
+    def within(c: Column) -> Column:
+        return F.least(F.greatest(c.cast("long"), F.lit(0).cast("long")), top)
+
+    for axis, low in (("x", root.x0), ("y", root.y0)):
+        first = within(F.ceil((F.col(f"_b.{axis}0") - F.lit(low)) * scale) - 1)
+        last = within(F.floor((F.col(f"_b.{axis}1") - F.lit(low)) * scale))
+        out = out.withColumn(f"_f{axis}", first).withColumn(f"_c{axis}", F.explode(F.sequence(first, F.greatest(first, last))))
+    out = out.withColumn("_i", F.explode(F.sequence(F.lit(0), F.col("_l") + 1))).withColumn("_d", F.least("_i", "_l")).withColumn("_deep", F.col("_i") > F.col("_l"))
+    for axis in "xy":  # of cells with one ancestor the first stands for it
+        out = out.where(F.col(f"_c{axis}") == F.greatest(F.col(f"_f{axis}"), F.expr(f"shiftleft(shiftright(_c{axis}, _l - _d), _l - _d)")))
+    out = out.withColumn("_own", morton(F.col("_cx"), F.col("_cy"), root.bits)).withColumn("_c", _shifted("_own", "_l - _d"))
+    return out.select(*box.columns, "_deep", "_d", "_c")
+
+
+def _leaf_cells(leaves: DataFrame) -> DataFrame:
+    """Leaves under their own code and, as deeper ones, under all their ancestors'."""
+    up = leaves.withColumn("_d", F.explode(F.sequence(F.lit(0), F.col("depth").cast("int"))))
+    return up.withColumn("_deep", F.col("_d") < F.col("depth")).withColumn("_c", _shifted("code", "depth - _d"))
 
 
 def save(pois: DataFrame, leaves: DataFrame, path: str, root: Root = Root(), prefix_depth: int = 3) -> None:

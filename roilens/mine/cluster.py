@@ -95,17 +95,18 @@ def _local(points: DataFrame, p: Params) -> DataFrame:
         seg = table["seg"].to_numpy()
         cluster, role = np.full(len(seg), -1, np.int64), np.zeros(len(seg), np.int8)
         x, y, e, t = (table[c].to_numpy() for c in ("x", "y", "event_id", "t_ms"))
+        mass = table["weight"].to_numpy() if "weight" in table.column_names else np.ones(len(seg))
         for s in np.unique(seg):
             at = np.flatnonzero(seg == s)
             # pixels once, with weights, unless time separates equal pixels
             if p.eps_t is None and p.count_self and p.delta_mean is None:
-                pixel, first, back, w = np.unique(np.column_stack([x[at], y[at]]), axis=0, return_index=True, return_inverse=True, return_counts=True)
+                pixel, first, back = np.unique(np.column_stack([x[at], y[at]]), axis=0, return_index=True, return_inverse=True)
                 least = np.full(len(pixel), np.iinfo(np.int64).max)
                 np.minimum.at(least, back.ravel(), e[at])
-                c, r = dbscan_arrays(pixel[:, 0], pixel[:, 1], least, p.radius, p.min_pts, p.strict, True, weight=w.astype(float))
+                c, r = dbscan_arrays(pixel[:, 0], pixel[:, 1], least, p.radius, p.min_pts, p.strict, True, weight=np.bincount(back.ravel(), mass[at]))
                 cluster[at], role[at] = c[back.ravel()], r[back.ravel()]
             else:
-                cluster[at], role[at] = dbscan_arrays(x[at], y[at], e[at], p.radius, p.min_pts, p.strict, p.count_self, t[at], p.eps_t, delta_mean=p.delta_mean)
+                cluster[at], role[at] = dbscan_arrays(x[at], y[at], e[at], p.radius, p.min_pts, p.strict, p.count_self, t[at], p.eps_t, mass[at], p.delta_mean)
         out = table.append_column("cluster_id", pa.array(cluster, pa.int64(), mask=cluster < 0))
         return out.append_column("role", pa.array(ROLES[role]))
 
@@ -123,8 +124,9 @@ def distributed(points: DataFrame, p: Params) -> DataFrame:
     cells around one can hold neighbours.  Pixels are folded into weights before any join.
     """
     key = ["session_id", "seg"]
+    mass = F.sum("weight") if "weight" in points.columns else F.count("*")
     side = p.radius / math.sqrt(2) * (1 - 1e-9)
-    pixels = written(_cells(points.groupBy(*key, "x", "y").agg(F.count("*").alias("w"), F.min("event_id").alias("e")), side), "pixels")
+    pixels = written(_cells(points.groupBy(*key, "x", "y").agg(mass.alias("w"), F.min("event_id").alias("e")), side), "pixels")
     around = [(i, j) for i in range(-2, 3) for j in range(-2, 3) if abs(i) + abs(j) < 4]
     offsets = F.array(*(F.struct(F.lit(i).cast("long").alias("i"), F.lit(j).cast("long").alias("j")) for i, j in around))
 
@@ -155,6 +157,8 @@ def distributed(points: DataFrame, p: Params) -> DataFrame:
 def dbscan(points: DataFrame, params: Params = Params()) -> DataFrame:
     """points (session_id, seg, event_id, t_ms, x, y, ...) with ``cluster_id`` and ``role``.
 
+    Where there is a column ``weight`` (fused signals), a point counts by it towards ``min_pts``.
+
     The router counts each session's distinct pixels; sessions over ``local_cap`` take the distributed
     way.  Temporal options are local only, as they need single points.
     """

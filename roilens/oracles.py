@@ -272,4 +272,6 @@ WHERE least(a.x1, b.x1) > greatest(a.x0, b.x0) AND least(a.y1, b.y1) > greatest(
 
 
 def oracle_sql() -> dict[str, str]:
-    return {name: _sides(sql) for name, sql in ORACLES.items()} | OPS_SQL
+    from .oracles_highlights import HIGHLIGHTS  # it builds on the tables of this module
+
+    return HIGHLIGHTS | {name: _sides(sql) for name, sql in ORACLES.items()} | OPS_SQL

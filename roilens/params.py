@@ -32,7 +32,7 @@ class Params:
     eps_ms: int = 100
     thinning: str = "grid"
     strategy: str = "fixed"
-    g: int | None = 3
+    g: int | str | None = 3  # "auto": from the density of points on the map
     length_ms: int | None = None
     horizon_ms: int = 30_000
     keep_open: bool = True
@@ -86,6 +86,8 @@ class Params:
                 raise ValueError(f"{name} must be one of {allowed}, not {getattr(self, name)!r}")
         if self.eps_ms <= 0 or self.radius <= 0 or self.min_pts < 1 or self.k < 0 or self.min_support < 1:
             raise ValueError("eps_ms and radius must be positive, min_pts and min_support at least 1, k not negative")
+        if not (self.g is None or self.g == "auto" or isinstance(self.g, int)):
+            raise ValueError("g must be a number, 'auto' or None")
         if self.prune_directions not in (0, 4, 8):
             raise ValueError("prune_directions must be 0, 4 or 8")
 

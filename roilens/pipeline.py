@@ -34,13 +34,13 @@ def collect(moves: DataFrame, params: Params = Params()) -> DataFrame:
     return segment.segment(thin.thin(moves, params.thinning, params.eps_ms), params)
 
 
-def suggest(rois: DataFrame, pois: DataFrame, params: Params = Params(), before: DataFrame | None = None, leaves: DataFrame | None = None, approach: str = "greedy") -> tuple[DataFrame, ...]:
+def suggest(rois: DataFrame, pois: DataFrame, params: Params = Params(), before: DataFrame | None = None, leaves: DataFrame | None = None, approach: str = "greedy", root: quadtree.Root = quadtree.Root()) -> tuple[DataFrame, ...]:
     """(matched, feedback, k_primes, ranked, highlights) of regions."""
     p = params
     attrs = facets.attributes(pois)
     facet_rows = written(facets.facets(pois), "facets")
     n_cells = facets.dictionary(facet_rows).count()
-    matched = written(match.match(rois, pois, leaves, p.boundary), "matched")
+    matched = written(match.match(rois, pois, leaves, p.boundary, root), "matched")
     per_roi = p.update == "sequential"
     keys = ("session_id", "roi_id") if per_roi else ("session_id",)
     if p.softmax == "state":
@@ -74,11 +74,14 @@ def suggest(rois: DataFrame, pois: DataFrame, params: Params = Params(), before:
 def shot(moves: DataFrame, pois: DataFrame, params: Params = Params(), before: DataFrame | None = None, approach: str = "greedy") -> Shot:
     """One pass of collecting, mining and suggesting."""
     p = params
+    root = quadtree.Root.around(pois)
+    leaves = written(quadtree.build(pois, p.capacity, p.max_depth + root.bits - quadtree.Root.bits, root), "leaves") if p.use_index or p.g == "auto" else None
+    if p.g == "auto":
+        p = p.but(g=segment.g_from_leaves(leaves))
     kept = written(thin.thin(moves, p.thinning, p.eps_ms), "kept")
     segmented = written(segment.segment(kept, p), "segmented")
     rois = written(intersect.discover(segmented, p, before), "rois")
-    leaves = written(quadtree.build(pois, p.capacity, p.max_depth), "leaves") if p.use_index else None
-    matched, raw, k_primes, ranked, found = suggest(rois, pois, p, before, leaves, approach)
+    matched, raw, k_primes, ranked, found = suggest(rois, pois, p, before, leaves if p.use_index else None, approach, root)
     return Shot(kept, segmented, rois, matched, raw, k_primes, ranked, found)
 
 

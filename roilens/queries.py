@@ -96,6 +96,12 @@ def q_seg_fixed_length(s, d):
     return segment.summary(segment.segment(_kept(s, d), Params(g=None, length_ms=7000)))
 
 
+@query
+def q_seg_auto(s, d):
+    """As many segments as the density of points on the map suggests."""
+    return segment.summary(segment.segment(_kept(s, d), Params(g=segment.g_from_leaves(quadtree.build(facets.carrier(s, d))))))
+
+
 @query
 def q_seg_closed_only(s, d):
     return segment.summary(segment.segment(_kept(s, d), Params(keep_open=False)))
@@ -524,7 +530,7 @@ def q_prune_ratio(s, d):
 
 @query
 def q_peculiarity_report(s, d):
-    return measures.peculiarity_report(_shot(s, d).k_primes)
+    return measures.peculiarity_report(_shot(s, d).k_primes).select("rois", *_six("p10", "p50", "p90", "mean_k"), "min_k", "max_k")
 
 
 @query
@@ -683,7 +689,7 @@ for _name in workloads.SWEEPS:
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The flagship: one shot with printed peculiarity at k = 5."""
-    return pipeline.single_shot(spark, sf_dir)
+    return pipeline.single_shot(spark, sf_dir).withColumn("relevance", F.round("relevance", 6))
 
 
 def queries() -> dict[str, Query]:

@@ -58,7 +58,7 @@ def swap_scan(
             else:
                 gain = sum(similarity(items[i], items[c]) - similarity(items[i], items[at]) for i in rest)
             if gain > 1e-12:
-                gains.append((gain, -pos))
+                gains.append((round(gain, 9), -pos))
                 if swap == "first":
                     break
         if gains:

@@ -26,8 +26,11 @@ def match(rois: DataFrame, pois: DataFrame, leaves: DataFrame | None = None, bou
 
 
 def candidates(rois: DataFrame, pois: DataFrame, leaves: DataFrame, root: quadtree.Root = quadtree.Root()) -> DataFrame:
-    """POIs of the leaves that a region meets, with the flag ``inside``; the polygon rides along once a cell."""
-    cells = quadtree.cover(rois, leaves).join(rois.select("session_id", "roi_id", "poly"), ["session_id", "roi_id"])
+    """POIs of the leaves that a region meets, with the flag ``inside``; the polygon rides along once a cell.
+
+    ``root`` must hold all points, as that of ``Root.around`` does.
+    """
+    cells = quadtree.cover(rois, leaves, root=root).join(rois.select("session_id", "roi_id", "poly"), ["session_id", "roi_id"])
     at = pois.select("poi_id", "mx", "my", "depth", "code") if "depth" in pois.columns else quadtree.member(pois.select("poi_id", "mx", "my"), leaves, root)
     return at.join(cells, ["depth", "code"]).select("session_id", "roi_id", "poi_id", "mx", "my", "poly", "inside")
 
