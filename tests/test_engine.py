@@ -221,6 +221,51 @@ def test_quadtree_and_matching(spark):
         assert set(map(tuple, match.match(rois, pois, quadtree.build(pois, cap)).collect())) == scan
 
 
+def test_quadtree_of_points_outside_the_default_square(spark):
+    rng = random.Random(15)
+    pois = spark.createDataFrame([(i, rng.randrange(-5000, 900), rng.randrange(1500, 3000)) for i in range(400)] + [(400, -1024, 2048)], "poi_id long, mx long, my long")
+    root = quadtree.Root.around(pois)
+    assert (root.x0, root.side, root.bits) == (-8192.0, 16384.0, 14) and quadtree.Root.around(pois.limit(0)) == quadtree.Root()
+    shapes = [kernels.hull_chain([(rng.randrange(-5000, 900), rng.randrange(1500, 3000)) for _ in range(n)]) for n in (3, 4, 9, 9)]
+    shapes += [[(-1100, 2000), (-1000, 2000), (-1000, 2100), (-1100, 2100)], [(9000, 9000), (9100, 9000), (9100, 9100)], [(-9000, -9000), (9000, -9000), (9000, 9000), (-9000, 9000)]]
+    rois = spark.createDataFrame([(0, i, [(float(x), float(y)) for x, y in p]) for i, p in enumerate(shapes)], f"session_id long, roi_id int, poly {polygon.POLYGON}")
+    scan = sorted(map(tuple, match.match(rois, pois).collect()))
+    for cap in (4, 50, 1000):
+        leaves = quadtree.build(pois, cap, 14, root)
+        assert sorted(map(tuple, match.match(rois, pois, leaves, root=root).collect())) == scan
+        cover = quadtree.cover(rois, leaves, root=root).select("roi_id", "depth", "code").collect()
+        assert len(set(cover)) == len(cover)
+    assert len({r[1] for r in scan}) >= 4
+
+
+def test_weights_and_density_of_points_count(spark, sf):
+    df = spark.createDataFrame([(0, 1, i, i, x, 0, w) for i, (x, w) in enumerate(((0, 1.0), (5, 3.0), (9, 0.5), (50, 4.5), (90, 4.0)))], "session_id long, seg int, event_id long, t_ms long, x long, y long, weight double")
+    p = Params(radius=10.0, min_pts=4)
+    want = {0: "core", 1: "core", 2: "core", 3: "core", 4: "core"}
+    assert {r.event_id: r.role for r in cluster.dbscan(df, p).collect()} == want == {r.event_id: r.role for r in cluster.distributed(df, p).collect()}
+    assert {r.role for r in cluster.dbscan(df.drop("weight"), p).collect()} == {"noise"}
+    assert {r.event_id for r in cluster.dbscan(df, p.but(eps_t=1)).where("role = 'core'").collect()} == {0, 1, 3, 4}
+    leaves = spark.createDataFrame([(9,), (9,)], "n long")
+    assert segment.g_from_leaves(leaves) == 3 and segment.g_from_leaves(leaves.limit(0)) == 2
+    with pytest.raises(ValueError):
+        Params(g="other")
+
+
+def test_highlights_equal_their_sql(spark, sf):
+    import duckdb
+
+    con = duckdb.connect()
+    for t in ("events", "part"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
+    for name in ("single_shot", "q_greedy_best"):
+        got = queries.queries()[name](spark, sf)
+        want = con.execute(oracles.oracle_sql()[name])
+        names = [c[0] for c in want.description]
+        assert sorted(names) == sorted(got.columns)
+        rows = [tuple(r) for r in got.select(*names).collect()]
+        assert rows and sorted(rows) == sorted(want.fetchall())
+
+
 def test_quadtree_saves_and_loads(spark, tmp_path):
     pois = spark.createDataFrame([(i, i * 37 % 1600 - 800, i * 91 % 900 - 450) for i in range(300)], "poi_id long, mx long, my long")
     leaves = quadtree.build(pois, 20)
