@@ -18,22 +18,21 @@ from ..suggest import facets, feedback, fuzzy, match, peculiarity, relevance, se
 from . import measures
 
 
-def single_shot_runs(spark: SparkSession, sf_dir: str, params: Params = Params(), runs: int = 5) -> DataFrame:
-    """(component, mean_ms, fluid_share): time of each component over several runs, and the share within 500 ms."""
+def single_shot_runs(spark: SparkSession, sf_dir: str, params: Params = Params(), runs: int = 3) -> DataFrame:
+    """(component, mean_ms, fluid_share, peak_bytes): time of each component over several runs, the share within 500 ms, memory."""
     pois = facets.carrier(spark, sf_dir)
     leaves = written(quadtree.build(pois, params.capacity, params.max_depth), "leaves")
     seg = written(pipeline.collect(sources.moves(spark, sf_dir), params), "segmented")
     rois = written(intersect.discover(seg, params), "rois")
-    times = measures.timed(
-        spark,
-        {
-            "collect": lambda: pipeline.collect(sources.moves(spark, sf_dir), params),
-            "mine": lambda: intersect.discover(seg, params),
-            "suggest": lambda: pipeline.suggest(rois, pois, params, None, leaves)[-1],
-        },
-        runs,
-    )
-    return times.groupBy(F.col("stage").alias("component")).agg(F.avg("ms").alias("mean_ms"), F.avg((F.col("ms") <= 500).cast("double")).alias("fluid_share"))
+    components = {
+        "collect": lambda: pipeline.collect(sources.moves(spark, sf_dir), params),
+        "mine": lambda: intersect.discover(seg, params),
+        "suggest": lambda: pipeline.suggest(rois, pois, params, None, leaves)[-1],
+    }
+    times = measures.timed(spark, components, runs)
+    mean = times.groupBy("stage").agg(F.avg("ms").alias("mean_ms"))
+    fluid = measures.fluidity(times).withColumnRenamed("share", "fluid_share")
+    return mean.join(fluid, "stage").join(measures.memory(spark, components), "stage").withColumnRenamed("stage", "component")
 
 
 def hidden(moves: DataFrame, pois: DataFrame, least: float = 0.3) -> DataFrame:
@@ -279,13 +278,32 @@ def index_scale(spark: SparkSession, sf_dir: str, params: Params = Params(stretc
     return measures.selectivity(match.candidates(rois, pois, leaves), pois.count(), rois.count())
 
 
-def multi_shot(spark: SparkSession, sf_dir: str, params: Params = Params(), rounds: int = 4) -> DataFrame:
-    """(round, confidence, peculiarity, k_prime, highlights): weeks of events as rounds that carry the feedback."""
+def index_against_scan(spark: SparkSession, sf_dir: str, params: Params = Params(stretch="none")) -> DataFrame:
+    """(way, met, matches): POIs that meet a region, and those inside, through the index and by the scan of all."""
+    pois = written(facets.carrier(spark, sf_dir, "lineitem").select("poi_id", "mx", "my"), "scale-pois")
+    leaves = written(quadtree.build(pois, params.capacity, params.max_depth), "leaves")
+    rois = written(intersect.discover(pipeline.collect(sources.moves(spark, sf_dir), params), params), "rois")
+    met = {"index": match.candidates(rois, pois, leaves).agg(F.count("*").alias("met")), "scan": spark.range(1).select(F.lit(pois.count() * rois.count()).alias("met"))}
+    found = {"index": match.match(rois, pois, leaves), "scan": match.match(rois, pois)}
+    return reduce(DataFrame.unionByName, [met[way].join(found[way].agg(F.count("*").alias("matches"))).select(F.lit(way).alias("way"), "met", "matches") for way in met])
+
+
+def _weeks(spark: SparkSession, sf_dir: str, params: Params, rounds: int, freeze_after: int | None = None) -> tuple[DataFrame, list[pipeline.Shot]]:
+    """Weeks of events as rounds."""
     moves = written(sources.moves(spark, sf_dir), "moves")
     week = params.horizon_ms // rounds
     by_round = [moves.where((F.col("t_ms") >= i * week) & (F.col("t_ms") < (i + 1) * week)).withColumn("t_ms", F.col("t_ms") - i * week) for i in range(rounds)]
-    pois = written(facets.carrier(spark, sf_dir), "pois")
-    _, shots = pipeline.iterate(spark, by_round, pois, params.but(horizon_ms=week))
+    return pipeline.iterate(spark, by_round, written(facets.carrier(spark, sf_dir), "pois"), params.but(horizon_ms=week), freeze_after)
+
+
+def static_preferences(spark: SparkSession, sf_dir: str, params: Params = Params(), rounds: int = 2, freeze_after: int = 1) -> DataFrame:
+    """Highlights by round where preferences are learnt at the start and then stay as they are."""
+    return _weeks(spark, sf_dir, params, rounds, freeze_after)[0]
+
+
+def multi_shot(spark: SparkSession, sf_dir: str, params: Params = Params(), rounds: int = 4) -> DataFrame:
+    """(round, confidence, peculiarity, k_prime, highlights): weeks of events as rounds that carry the feedback."""
+    _, shots = _weeks(spark, sf_dir, params, rounds)
     out = []
     for i, s in enumerate(shots, 1):
         conf = personalize.session_confidence(s.feedback, i, params.xi).agg(F.avg("confidence").alias("confidence"))

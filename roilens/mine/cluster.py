@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..params import Params
-from ..storage import written
+from ..storage import stored, written
 from .components import components
 
 BLOCK = 1024
@@ -195,6 +195,18 @@ def reachable(points: DataFrame, params: Params = Params()) -> DataFrame:
     return left.join(right, ["session_id", "seg", "cx", "cy"]).where((F.col("a") < F.col("b")) & ok).select("session_id", "seg", "a", "b")
 
 
+def linked(points: DataFrame, params: Params = Params()) -> DataFrame:
+    """(event_id, root): core points and the least core point that a chain of core points leads to."""
+    p = params
+    pairs = stored(reachable(points, p), "reachable")
+    ends = pairs.select(F.col("a").alias("event_id")).unionAll(pairs.select(F.col("b").alias("event_id"))).groupBy("event_id").agg(F.count("*").alias("near"))
+    core = points.select("event_id").join(ends, "event_id", "left").where(F.coalesce("near", F.lit(0)) + int(p.count_self) >= p.min_pts).select("event_id")
+    core = stored(core, "cores")
+    edges = pairs.select("a", "b").join(core.select(F.col("event_id").alias("a")), "a").join(core.select(F.col("event_id").alias("b")), "b").select("a", "b")
+    roots = components(edges).select(F.col("node").alias("event_id"), "root")
+    return core.join(roots, "event_id", "left").select("event_id", F.coalesce("root", "event_id").alias("root"))
+
+
 def density_surface(moves: DataFrame, side: int = 50) -> DataFrame:
     """(session_id, gx, gy, n): moves per square of the screen, interest as density."""
     return moves.groupBy("session_id", F.floor(F.col("x") / side).alias("gx"), F.floor(F.col("y") / side).alias("gy")).agg(F.count("*").alias("n"))

@@ -167,6 +167,10 @@ def _sides(sql: str) -> str:
 
 
 ORACLES: dict[str, str] = {
+    "q_signal_kinds": _with("m", "SELECT signal, count(*) AS n, sum(x + dx)::BIGINT AS sx, sum(y + CASE WHEN signal = 'scroll' THEN t_ms % 50 ELSE dy END)::BIGINT AS sy FROM m, (VALUES ('hover', 0, 0), ('gaze', 0, 1), ('scroll', 0, 0), ('pinch', 0, 0), ('zoom', 0, 0), ('voice', 0, 0), ('detail', 2, -2)) kind(signal, dx, dy) GROUP BY signal"),
+    "q_eps_profile": _with("m", "SELECT profile, count(DISTINCT (session_id, t_ms // eps)) AS kept FROM m, (VALUES ('novice', 250), ('regular', 100), ('expert', 50), ('delivery', 50), ('tourism', 100), ('transportation', 100)) p(profile, eps) GROUP BY profile"),
+    "q_reachable_chains": _with("named", "SELECT e AS event_id, cluster_id AS root FROM named"),
+    "q_stretch_report": _with("hullm", "SELECT DISTINCT session_id, round((session_id % 5) / 4.0::DOUBLE, 6) AS confidence, round(1 + (session_id % 5) / 4.0::DOUBLE, 6) AS ratio FROM hullm WHERE area > 0"),
     "q_project_roundtrip": _with("m", f"SELECT event_id, round(y / 10000.0::DOUBLE + 48.86::DOUBLE, 6) AS lat, round(x / 10000.0::DOUBLE / {_COS} + 2.3::DOUBLE, 6) AS lon, round(x::DOUBLE, 3) AS bx, round(y::DOUBLE, 3) AS by FROM m"),
     "q_recentre": _with("m", "SELECT event_id, round(y / 10000.0::DOUBLE + 48 + 0.5 * i, 6) AS lat, round(x / 10000.0::DOUBLE / cos(radians(48 + 0.5 * i)) + 2 + i, 6) AS lon FROM (SELECT *, least(2, t_ms // 10000) AS i FROM m)"),
     "q_thin_grid": _with("k", "SELECT * FROM k"),
@@ -236,6 +240,7 @@ plan AS MATERIALIZED (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY n
     "q_relevance": _with("rel", "SELECT session_id, roi_id, poi_id, round(relevance, 6) AS relevance FROM rel"),
     "q_peculiarity_printed": _with("pec", "SELECT session_id, roi_id, round(printed, 6) AS printed FROM pec"),
     "q_peculiarity_intent": _with("pec", "SELECT session_id, roi_id, round(1 - printed, 6) AS intent FROM pec"),
+    "q_roi_alignment": _with("pec", "SELECT session_id, roi_id, round(printed, 6) AS alignment FROM pec"),
     "q_kprime": _with("pec", "SELECT session_id, roi_id, floor(5 * printed + 1e-9)::INT AS k_prime FROM pec"),
     "q_greedy_seed": _with("rel pec", """SELECT r.session_id, r.roi_id, rank, poi_id FROM (SELECT *, row_number() OVER (PARTITION BY session_id, roi_id ORDER BY round(relevance, 9) DESC, poi_id) AS rank FROM rel) r
   JOIN pec p ON p.session_id = r.session_id AND p.roi_id = r.roi_id WHERE rank <= floor(5 * printed + 1e-9)"""),
@@ -244,6 +249,9 @@ plan AS MATERIALIZED (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY n
   SELECT a.session_id, a.roi_id, avg(1 - ((p.brand = q.brand)::INT + (p.type = q.type)::INT + (p.size_decade = q.size_decade)::INT + (p.colour = q.colour)::INT + (p.noun = q.noun)::INT) / 5.0::DOUBLE) AS diversity
   FROM rnd a JOIN rnd b ON a.session_id = b.session_id AND a.roi_id = b.roi_id AND a.poi_id < b.poi_id JOIN poi p ON p.poi_id = a.poi_id JOIN poi q ON q.poi_id = b.poi_id GROUP BY ALL) d USING (session_id, roi_id)"""),
     "q_precision": _with("rnd clk", "SELECT r.session_id, round(avg(CASE WHEN c.poi_id IS NULL THEN 0.0 ELSE 1.0 END::DOUBLE), 6) AS precision FROM rnd r LEFT JOIN (SELECT DISTINCT * FROM clk) c ON c.session_id = r.session_id AND c.poi_id = r.poi_id GROUP BY ALL"),
+    "q_accumulated": _with("rnd clk", """SELECT session_id, round, round(p, 6) AS precision, round(avg(p) OVER v, 6) AS running_mean, round(sum(p) OVER v, 6) AS running_sum FROM (
+  SELECT r.session_id, r.roi_id AS round, avg(CASE WHEN c.poi_id IS NULL THEN 0.0 ELSE 1.0 END::DOUBLE) AS p FROM rnd r LEFT JOIN (SELECT DISTINCT * FROM clk) c ON c.session_id = r.session_id AND c.poi_id = r.poi_id GROUP BY ALL)
+  WINDOW v AS (PARTITION BY session_id ORDER BY round ROWS UNBOUNDED PRECEDING)"""),
     "q_hit_ratio": _with("rnd clk", "SELECT round(avg(h::DOUBLE), 6) AS hit_ratio FROM (SELECT r.session_id, max(CASE WHEN c.poi_id IS NULL THEN 0 ELSE 1 END) AS h FROM rnd r LEFT JOIN (SELECT DISTINCT * FROM clk) c ON c.session_id = r.session_id AND c.poi_id = r.poi_id GROUP BY ALL)"),
     "q_coverage": _with("rnd roi", "SELECT r.session_id, round(avg((h.roi_id IS NOT NULL)::INT::DOUBLE), 6) AS coverage FROM roi r LEFT JOIN (SELECT DISTINCT session_id, roi_id FROM rnd) h USING (session_id, roi_id) GROUP BY ALL"),
     "q_cohesiveness": _with("match facet", """SELECT session_id, roi_id, round(avg(((p.brand = q.brand)::INT + (p.type = q.type)::INT + (p.size_decade = q.size_decade)::INT + (p.colour = q.colour)::INT + (p.noun = q.noun)::INT) / 5.0::DOUBLE), 6) AS cohesiveness

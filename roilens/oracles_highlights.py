@@ -101,6 +101,12 @@ def _eps_row(eps: int) -> str:
 _SPREAD = "coalesce(avg(sqrt(pow(a.cx - b.cx, 2) + pow(a.cy - b.cy, 2))) / sqrt(3370000), 0)"
 _ALL_MOVES = ((_kept("k", "m"), _kept("k", "m", 1)),)
 _CUSTOMER = {"segment": "c_mktsegment", "nation": "c_nationkey", "c_acctbal_bin": "least(greatest(floor((c_acctbal::DOUBLE + 1000) / 1100), 0), 9)::BIGINT"}
+_PLACED = {
+    "supplier": ("supplier", "s_suppkey", {"nation": "s_nationkey", "s_acctbal_bin": "least(greatest(floor((s_acctbal::DOUBLE + 1000) / 1100), 0), 9)::BIGINT"}),
+    "orders": ("orders", "o_orderkey", {"status": "o_orderstatus", "priority": "o_orderpriority"}),
+    "pages": ("pages", "page_id", {"host": "split_part(split_part(url, '//', 2), '/', 1)"}),
+    "benchmark": ("benchmark", "item_id", {"length": "length(text) // 50"}),
+}
 _DOCUMENTS = {"lang": "lang", "source": "source", "length": "least(9, n_chars // 1000)"}
 
 HIGHLIGHTS: dict[str, str] = {
@@ -125,6 +131,7 @@ HIGHLIGHTS: dict[str, str] = {
         edits=(("p_partkey AS key FROM part", "p_partkey AS key FROM part WHERE p_partkey < 1500"), ("AS rn FROM m)", "AS rn FROM m WHERE true_spot = 0 AND NOT true_noise)")),
     ),
     "q_generic_customer": _greedy(attrs=tuple(_CUSTOMER), edits=_carrier("customer", "c_custkey", _CUSTOMER)),
+    "q_greedy_stops": _greedy("SELECT DISTINCT session_id, roi_id, k_prime, scanned, stop_reason FROM found"),
     "q_perception": _greedy(
         "SELECT f.session_id, round(avg(l.quality), 6) AS perception FROM found f JOIN labels l ON l.doc_id = f.poi_id GROUP BY f.session_id",
         attrs=tuple(_DOCUMENTS), edits=_carrier("documents", "doc_id", _DOCUMENTS),
@@ -145,4 +152,4 @@ tour AS (SELECT session_id, 1 AS step, poi_id, 0.0::DOUBLE AS leg, mx, my, [poi_
 auto AS (SELECT least(12, greatest(2, round(sqrt(avg(n)))))::BIGINT AS g FROM leaf),
 split AS (SELECT *, dense_rank() OVER (PARTITION BY session_id ORDER BY least(g - 1, t_ms * g // 30000))::INT AS seg FROM k, auto)"""),
     "q_eps_sweep": " UNION ALL ".join(_eps_row(eps) for eps in (1, 10, 50, 100, 250, 1000)),
-} | {f"q_sweep{'' if name == 'k' else '_' + name}": _sweep(name) for name in SWEEPS if name != "weights"}
+} | {f"q_sweep{'' if name == 'k' else '_' + name}": _sweep(name) for name in SWEEPS if name != "weights"} | {f"q_generic_{name}": _greedy(attrs=tuple(attrs), edits=_carrier(of, key, attrs)) for name, (of, key, attrs) in _PLACED.items()}

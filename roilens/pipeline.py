@@ -34,16 +34,24 @@ def collect(moves: DataFrame, params: Params = Params()) -> DataFrame:
     return segment.segment(thin.thin(moves, params.thinning, params.eps_ms), params)
 
 
-def suggest(rois: DataFrame, pois: DataFrame, params: Params = Params(), before: DataFrame | None = None, leaves: DataFrame | None = None, approach: str = "greedy", root: quadtree.Root = quadtree.Root()) -> tuple[DataFrame, ...]:
-    """(matched, feedback, k_primes, ranked, highlights) of regions."""
+def _known(rois: DataFrame, facet_rows: DataFrame, before: DataFrame | None) -> DataFrame:
+    """(session_id, attr, val, raw): what was learnt before, with an untouched cell for sessions that learnt nothing."""
+    zero = rois.select("session_id").distinct().join(facets.dictionary(facet_rows).limit(1)).select("session_id", "attr", "val", F.lit(0.0).alias("raw"))
+    return zero if before is None else feedback.total(zero.unionByName(before.select("session_id", "attr", "val", "raw")))
+
+
+def suggest(rois: DataFrame, pois: DataFrame, params: Params = Params(), before: DataFrame | None = None, leaves: DataFrame | None = None, approach: str = "greedy", root: quadtree.Root = quadtree.Root(), learn: bool = True) -> tuple[DataFrame, ...]:
+    """(matched, feedback, k_primes, ranked, highlights) of regions; without ``learn`` these regions teach nothing."""
     p = params
     attrs = facets.attributes(pois)
     facet_rows = written(facets.facets(pois), "facets")
     n_cells = facets.dictionary(facet_rows).count()
     matched = written(match.match(rois, pois, leaves, p.boundary, root), "matched")
-    per_roi = p.update == "sequential"
+    per_roi = learn and p.update == "sequential"
     keys = ("session_id", "roi_id") if per_roi else ("session_id",)
-    if p.softmax == "state":
+    if not learn:
+        vector = _known(rois, facet_rows, before)
+    elif p.softmax == "state":
         vector = feedback.sequential_state(matched, facet_rows, facets.dictionary(facet_rows), p.delta, p.per)
         per_roi, keys = True, ("session_id", "roi_id")
     elif per_roi:
@@ -54,11 +62,7 @@ def suggest(rois: DataFrame, pois: DataFrame, params: Params = Params(), before:
     scored = written(relevance.relevance(matched, facet_rows, weights, len(attrs), per_roi), "scored")
     pec_weights, pec_per_roi = weights, per_roi
     if p.peculiar_on == "before":
-        old = before if before is not None else vector.limit(0)
-        sessions = rois.select("session_id").distinct()
-        zero = sessions.join(facets.dictionary(facet_rows).limit(1)).select("session_id", "attr", "val", F.lit(0.0).alias("raw"))
-        seen = feedback.total(zero.unionByName(old.select("session_id", "attr", "val", "raw")))
-        pec_weights, pec_per_roi = feedback.softmax(seen, n_cells), False
+        pec_weights, pec_per_roi = feedback.softmax(_known(rois, facet_rows, before), n_cells), False
     pec = peculiarity.score(facets.roi_vector(matched, facet_rows), pec_weights, pec_per_roi)
     value = F.col("intent") if p.peculiarity == "intent" else F.col("printed")
     k_primes = written(pec.withColumn("peculiarity", value).withColumn("k_prime", peculiarity.k_prime(value, p.k, p.peculiarity).cast("int")), "k-primes")
@@ -67,12 +71,16 @@ def suggest(rois: DataFrame, pois: DataFrame, params: Params = Params(), before:
         found = greedy.highlight(ranked, pois, k_primes, attrs, p)
     else:
         found = fuzzy.highlight(rois, matched, scored, pois, k_primes, attrs, p)
-    raw = feedback.batch(matched, facet_rows, p.delta, p.per, before)
+    raw = feedback.batch(matched, facet_rows, p.delta, p.per, before) if learn else _known(rois, facet_rows, before)
     return matched, written(raw, "feedback"), k_primes, ranked, written(found, "highlights")
 
 
-def shot(moves: DataFrame, pois: DataFrame, params: Params = Params(), before: DataFrame | None = None, approach: str = "greedy") -> Shot:
-    """One pass of collecting, mining and suggesting."""
+def shot(moves: DataFrame, pois: DataFrame, params: Params = Params(), before: DataFrame | None = None, approach: str = "greedy", learn: bool = True, relearn: bool = False) -> Shot:
+    """One pass of collecting, mining and suggesting.
+
+    Without ``learn`` the feedback stays what it was before.  With ``relearn`` the moves hold all that
+    ``before`` was learnt from: it only stretches regions, and the feedback starts anew.
+    """
     p = params
     root = quadtree.Root.around(pois)
     leaves = written(quadtree.build(pois, p.capacity, p.max_depth + root.bits - quadtree.Root.bits, root), "leaves") if p.use_index or p.g == "auto" else None
@@ -81,7 +89,7 @@ def shot(moves: DataFrame, pois: DataFrame, params: Params = Params(), before: D
     kept = written(thin.thin(moves, p.thinning, p.eps_ms), "kept")
     segmented = written(segment.segment(kept, p), "segmented")
     rois = written(intersect.discover(segmented, p, before), "rois")
-    matched, raw, k_primes, ranked, found = suggest(rois, pois, p, before, leaves if p.use_index else None, approach, root)
+    matched, raw, k_primes, ranked, found = suggest(rois, pois, p, None if relearn else before, leaves if p.use_index else None, approach, root, learn)
     return Shot(kept, segmented, rois, matched, raw, k_primes, ranked, found)
 
 
@@ -93,12 +101,14 @@ def single_shot(spark: SparkSession, sf_dir: str, params: Params = Params(), app
 def iterate(spark: SparkSession, moves_by_round: list[DataFrame], pois: DataFrame, params: Params = Params(), freeze_after: int | None = None, approach: str = "greedy") -> tuple[DataFrame, list[Shot]]:
     """(highlights of all rounds with ``round``, the shots): feedback and the round number carry over.
 
-    All sessions go through a round together.  ``freeze_after`` stops learning after that round.
+    All sessions go through a round together.  ``freeze_after`` stops learning after that round,
+    inside rounds too.
     """
     before, shots, out = None, [], None
     for i, moves in enumerate(moves_by_round, 1):
-        s = shot(moves, pois, params.but(rounds_done=i), before, approach)
-        if freeze_after is None or i <= freeze_after:
+        learns = freeze_after is None or i <= freeze_after
+        s = shot(moves, pois, params.but(rounds_done=i), before, approach, learns)
+        if learns:
             # sessions without matches in this round keep what they had
             before = s.feedback if before is None else written(before.join(s.feedback.select("session_id", "attr", "val"), ["session_id", "attr", "val"], "left_anti").unionByName(s.feedback), "carried")
         shots.append(s)

@@ -16,7 +16,7 @@ from .collect import features, fuse, segment, sources, thin
 from .eval import baselines, measures, workloads
 from .geo import polygon, projection, quadtree
 from .mine import cluster, hull, intersect, personalize
-from .params import Params
+from .params import PROFILE_EPS, Params
 from .relational.ops import OPS
 from .storage import written
 from .streaming import ops as _streaming_ops  # noqa: F401  (registers its entries)
@@ -142,6 +142,31 @@ def q_signal_fusion(s, d):
     return fuse.fuse({"hover": (sources.moves(s, d), 1.0), "voice": (sources.voice(s, d), 3.0)}).groupBy("signal").agg(F.count("*").alias("n"), F.sum("weight").alias("weight"))
 
 
+@query
+def q_signal_kinds(s, d):
+    """Every kind of signal as moves, by its registered mapping; the kinds' columns are made from pointer moves."""
+    raw = sources.moves(s, d).select(
+        "session_id", "event_id", "t_ms", "x", "y", F.col("x").alias("gaze_x"), (F.col("y") + 1).alias("gaze_y"), (F.col("t_ms") % 50).alias("delta_y"), (F.col("x") - 3).alias("x1"), (F.col("x") + 3).alias("x2"),
+        (F.col("y") - 5).alias("y1"), (F.col("y") + 5).alias("y2"), F.col("x").alias("centre_x"), F.col("y").alias("centre_y"), (F.col("x") + 2).alias("item_x"), (F.col("y") - 2).alias("item_y"),
+    )
+    out = None
+    for kind in sorted(sources.SIGNALS):
+        m = sources.from_signal(raw, kind)
+        out = m if out is None else out.unionByName(m)
+    return out.groupBy("signal").agg(F.count("*").alias("n"), F.sum("x").alias("sx"), F.sum("y").alias("sy"))
+
+
+@query
+def q_eps_profile(s, d):
+    """Moves kept at the sampling gap of each user's profile."""
+    m = sources.moves(s, d)
+    out = None
+    for profile in PROFILE_EPS:
+        kept = thin.grid(m, Params.eps_for(profile)).agg(F.count("*").alias("kept")).select(F.lit(profile).alias("profile"), "kept")
+        out = kept if out is None else out.unionByName(kept)
+    return out
+
+
 @query
 def q_density_surface(s, d):
     return cluster.density_surface(_kept(s, d))
@@ -196,6 +221,11 @@ def q_reachable(s, d):
     return cluster.reachable(_segmented(s, d))
 
 
+@query
+def q_reachable_chains(s, d):
+    return cluster.linked(_segmented(s, d), TIGHT)
+
+
 @query
 def q_hull_prune(s, d):
     return hull.prune(_clustered(s, d), 4).groupBy("session_id", "seg", "cluster_id").agg(F.count("*").alias("left"))
@@ -237,6 +267,12 @@ def q_stretch_area_intent(s, d):
     return _stretched(s, d, "intent")
 
 
+@query
+def q_stretch_report(s, d):
+    polys = _hulls(s, d).withColumn("confidence", (F.col("session_id") % 5) / F.lit(4.0))
+    return measures.stretch_report(personalize.stretch(polys)).select("session_id", *_six("confidence", "ratio"))
+
+
 @query
 def q_roi_pairs(s, d):
     return _rois(s, d).select("session_id", "roi_id", F.col("src")[0].alias("src_a"), F.col("src")[1].alias("src_b"))
@@ -408,6 +444,12 @@ def q_peculiarity_intent(s, d):
     return peculiarity.score(facets.roi_vector(m, f), w, False).select("session_id", "roi_id", *_six("intent"))
 
 
+@query
+def q_roi_alignment(s, d):
+    m, _, f, w = _weights(s, d)
+    return measures.roi_alignment(facets.roi_vector(m, f), w, False).select("session_id", "roi_id", *_six("alignment"))
+
+
 @query
 def q_kprime(s, d):
     m, _, f, w = _weights(s, d)
@@ -459,6 +501,19 @@ def q_fuzzy_cmeans(s, d):
     return _rounded(_shot(s, d, Params(fuzzy="cmeans"), "fuzzy").highlights)
 
 
+@query
+def q_fuzzy_rest(s, d):
+    """How many rounds the centroids took to rest, their last shift and the last objective."""
+    h = _shot(s, d, Params(), "fuzzy").highlights
+    return h.select("session_id", "iterations", *_six("shift", "objective")).distinct()
+
+
+@query
+def q_greedy_stops(s, d):
+    """How many points the swap scan of a region looked at, and why it stopped."""
+    return _shot(s, d).highlights.select("session_id", "roi_id", "k_prime", "scanned", "stop_reason").distinct()
+
+
 @query
 def q_sequence(s, d):
     return sequence.sequence(_shot(s, d).highlights, facets.carrier(s, d)).select("session_id", "step", "poi_id", *_six("leg"))
@@ -501,6 +556,23 @@ def q_hit_ratio(s, d):
     return measures.hit_ratio(_random(s, d)[3], _click_truth(s, d)).select(*_six("hit_ratio"))
 
 
+@query
+def q_accumulated(s, d):
+    """Precision of a session's regions in their order, with its running mean and sum."""
+    by_region = _random(s, d)[3].withColumn("round", F.col("roi_id"))
+    q = measures.accumulated(measures.precision(by_region, _click_truth(s, d)), "precision")
+    return q.select("session_id", "round", *_six("precision", "running_mean", "running_sum"))
+
+
+@query
+def q_objective(s, d):
+    """The weighted sum that fuzzy highlights aim at, for highlights that another engine can also derive."""
+    m, p, f, w = _weights(s, d)
+    n = len(facets.attributes(p))
+    h = baselines.random_k(m).join(relevance.relevance(m, f, w, n, False), ["session_id", "roi_id", "poi_id"])
+    return measures.objective(h, fuzzy.cohesiveness(m, f, n), fuzzy.representativeness(_rois(s, d))).select("session_id", F.round("objective", 4).alias("objective"))
+
+
 @query
 def q_coverage(s, d):
     return measures.coverage(_random(s, d)[3], _rois(s, d)).select("session_id", *_six("coverage"))
@@ -560,6 +632,11 @@ def q_greedy_vs_fuzzy(s, d):
     return baselines.compare(_shot(s, d).highlights, _shot(s, d, Params(), "fuzzy").highlights)
 
 
+@query
+def q_base_static(s, d):
+    return workloads.static_preferences(s, d).select("round", "session_id", "roi_id", "rank", "poi_id", *_six("relevance"))
+
+
 def _baseline(name: str) -> Query:
     def run(s, d):
         return _rounded(baselines.run(s, d, name))
@@ -575,6 +652,11 @@ for _name in baselines.SETTINGS:
 # ---- workloads
 
 
+@query
+def q_single_shot_runs(s, d):
+    return workloads.single_shot_runs(s, d)
+
+
 @query
 def q_scenario(s, d):
     return workloads.scenario(s, d).select("session_id", "n", *_six("near_share"))
@@ -645,6 +727,11 @@ def q_index_scale(s, d):
     return workloads.index_scale(s, d).select("candidates", "exact_tests", *_six("of_scan", "of_candidates"))
 
 
+@query
+def q_index_against_scan(s, d):
+    return workloads.index_against_scan(s, d)
+
+
 @query
 def q_perception(s, d):
     return workloads.perception(s, d).select("session_id", *_six("perception"))
@@ -675,6 +762,18 @@ def q_generic_voice(s, d):
     return _rounded(workloads.generic(s, d, "part", "voice", Params(min_pts=3)))
 
 
+def _generic(name: str) -> Query:
+    def run(s, d):
+        return _rounded(workloads.generic(s, d, name))
+
+    run.__name__ = f"q_generic_{name}"
+    return query(run)
+
+
+for _name in ("supplier", "orders", "embeddings", "pages", "benchmark"):
+    _generic(_name)
+
+
 def _sweep(name: str, suffix: str) -> Query:
     def run(s, d):
         return workloads.sweep(s, d, (name,)).select("parameter", "value", "rois", "highlights", *_six("relevance", "diversity"))

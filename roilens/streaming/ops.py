@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from ..collect import sources
+from ..params import Params
 from ..relational.ops import OPS, op  # noqa: F401  (entries register there)
 from ..storage import table
 from . import run
@@ -52,3 +54,11 @@ def op_stream_state(s, d):
 def op_stream_late(s, d):
     """Cells of the clock grid that are closed when the stream ends; later rows would be dropped."""
     return run.drain(run.thinned(run.source(s, d)), "append", "thinned")
+
+
+@op()
+def op_stream_hulls(s, d):
+    """Hulls of the clusters of segments that are closed when the stream ends."""
+    places = sources.moves(s, d).select("event_id", "x", "y")
+    found = run.drain(run.closed_hulls(run.source(s, d).join(places, "event_id"), "12 hours", params=Params(min_pts=3, radius=60.0)), "append", "hulls")
+    return found.select("session_id", "first_us", "last_us", "cluster_id", "n", F.size("poly").alias("vertices"), F.round("area", 6).alias("area"))

@@ -1,4 +1,4 @@
-"""The collecting stage as Structured Streaming, and a loop that mines and suggests per micro-batch.
+"""The collecting stage as Structured Streaming, hulls of closed segments, and a loop that mines and suggests per micro-batch.
 
 Event time is the carrier's timestamp taken as UTC.  Results are compared with batch runs up to the
 watermark: in append mode a window comes out once the watermark passes its end.
@@ -9,12 +9,18 @@ from __future__ import annotations
 import uuid
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+from pyspark.sql.window import Window as W
 
 from ..collect.sources import micros_since_2024
+from ..geo import kernels, polygon
+from ..mine import cluster
+from ..params import Params
 from ..storage import shared_dir
 
 SCHEMA = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
@@ -33,28 +39,28 @@ def timed(raw: DataFrame) -> DataFrame:
     return raw.select("event_id", F.expr("user_id div 8").alias("session_id"), "user_id", at.alias("at"), "event_type", "value")
 
 
-def drain(stream: DataFrame, mode: str = "append", label: str = "stream") -> DataFrame:
+def drain(stream: DataFrame, mode: str = "append", label: str = "stream", seen: dict | None = None) -> DataFrame:
     """Run a stream over all there is now into Parquet in the shared folder; returns what came out.
 
     In complete mode the last batch is the result; in update mode all emitted versions are kept with
-    their ``batch``.
+    their ``batch``.  ``seen`` gets the number of rows that came after the watermark (``late``).
     """
     spark = stream.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/{label}-{uuid.uuid4().hex}"
 
+    came = []
+
     def put(df: DataFrame, batch: int) -> None:
         out = df.withColumn("batch", F.lit(batch)) if mode == "update" else df
         out.write.mode("overwrite" if mode == "complete" else "append").parquet(f"{path}/out")
+        came.append(batch)
 
     query = stream.writeStream.outputMode(mode).foreachBatch(put).option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start()
     query.awaitTermination()
+    if seen is not None:
+        seen["late"] = sum(int(op["numRowsDroppedByWatermark"]) for p in query.recentProgress for op in p["stateOperators"])
     schema = stream.schema.add("batch", "int") if mode == "update" else stream.schema
-    try:
-        return spark.read.schema(schema).parquet(f"{path}/out")
-    except Exception:  # no batch came out: an empty result
-        return spark.createDataFrame([], schema)
-
-
+    return spark.read.schema(schema).parquet(f"{path}/out") if came else spark.createDataFrame([], schema)
 
 
 def tumbling(stream: DataFrame, length: str = "1 day") -> DataFrame:
@@ -124,20 +130,63 @@ def drift_segments(stream: DataFrame, width: int = 8, threshold: float = 1.0, la
     return rows.groupBy("session_id").applyInPandasWithState(step, out, state, "append", GroupStateTimeout.NoTimeout)
 
 
-def run(spark: SparkSession, stream_moves: DataFrame, pois: DataFrame, params, on_round, checkpoint: str) -> None:
+def closed_hulls(stream: DataFrame, gap: str = "6 hours", late: str = "1 hour", params: Params = Params()) -> DataFrame:
+    """(session_id, first_us, last_us, cluster_id, n, poly, area): hulls of the clusters of every closed segment.
+
+    A segment ends with a silence of ``gap``; it comes out once the watermark has passed that silence, so
+    the state holds open segments only.  Rows need session_id, event_id, at, x, y.  The same plan runs on a
+    table, where all segments are closed.
+    """
+    p = params
+    point = F.struct("event_id", F.unix_micros("at").alias("us"), F.col("x").cast("double").alias("x"), F.col("y").cast("double").alias("y"))
+    segments = stream.withWatermark("at", late).groupBy("session_id", F.session_window("at", gap).alias("w")).agg(F.collect_list(point).alias("points"))
+    vertex = pa.struct([("x", pa.float64()), ("y", pa.float64())])
+    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.list_(vertex)]
+    names = ["session_id", "first_us", "last_us", "cluster_id", "n", "poly"]
+
+    def hulls(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            out = []
+            for session, points in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                e, us = (np.array([q[c] for q in points], np.int64) for c in ("event_id", "us"))
+                x, y = (np.array([q[c] for q in points], float) for c in ("x", "y"))
+                name, _ = cluster.dbscan_arrays(x, y, e, p.radius, p.min_pts, p.strict, p.count_self)
+                for c in np.unique(name[name >= 0]).tolist():
+                    at = np.flatnonzero(name == c)
+                    ring = kernels.hull_chain(list(zip(x[at].tolist(), y[at].tolist(), strict=True)))
+                    out.append((session, int(us.min()), int(us.max()), c, len(at), [{"x": vx, "y": vy} for vx, vy in ring]))
+            cols = list(zip(*out, strict=True)) or [()] * len(names)
+            yield pa.RecordBatch.from_arrays([pa.array(v, k) for v, k in zip(cols, kinds, strict=True)], names)
+
+    found = segments.select("session_id", "points").mapInArrow(hulls, f"session_id long, first_us long, last_us long, cluster_id long, n long, poly {polygon.POLYGON}")
+    return found.withColumn("area", polygon.area(F.col("poly")))
+
+
+def run(spark: SparkSession, stream_moves: DataFrame, pois: DataFrame, params: Params, on_round, store: str) -> None:
     """Per micro-batch of moves (session_id, event_id, t_ms, x, y, signal): append to the trail, then mine and suggest.
 
-    Feedback is carried between rounds as a table in the shared folder; ``on_round(batch, shot)`` gets each result.
+    Everything that outlives a batch is a table under ``store``, a folder that executors share, keyed by
+    batch: ``moves``, and the ``feedback`` of the sessions a batch touched.  A batch overwrites its own part
+    only and reads earlier parts, so one that is tried again, or comes after a restart, gives the same.
+    Sessions that the batch touched are mined over their whole trail; a region that recurs over batches is
+    found, and feedback is learnt anew from the trail, so it counts nothing twice.  What earlier batches
+    taught stretches the regions.  ``on_round(batch, shot)`` gets each result.
     """
     from .. import pipeline
-    from ..storage import written
-    from ..suggest import feedback
 
-    carried: dict[str, DataFrame | None] = {"feedback": None}
+    root = store.rstrip("/")
 
     def put(df: DataFrame, batch: int) -> None:
-        shot = pipeline.shot(written(df, "moves"), pois, params.but(rounds_done=batch + 1), carried["feedback"])
-        carried["feedback"] = shot.feedback if carried["feedback"] is None else written(feedback.total(carried["feedback"].join(shot.feedback.select("session_id", "attr", "val"), ["session_id", "attr", "val"], "left_anti").unionByName(shot.feedback)), "carried")
+        df.write.mode("overwrite").parquet(f"{root}/moves/batch={batch}")
+        trail = spark.read.parquet(f"{root}/moves").where(F.col("batch") <= batch)
+        touched = trail.where(F.col("batch") == batch).select("session_id").distinct()
+        known = None
+        if batch:
+            earlier = spark.read.parquet(f"{root}/feedback").where(F.col("batch") < batch)
+            newest = F.max("batch").over(W.partitionBy("session_id"))
+            known = earlier.withColumn("_newest", newest).where("batch = _newest").drop("batch", "_newest")
+        shot = pipeline.shot(trail.join(touched, "session_id", "left_semi").drop("batch"), pois, params.but(rounds_done=batch + 1), known, relearn=True)
+        shot.feedback.write.mode("overwrite").parquet(f"{root}/feedback/batch={batch}")
         on_round(batch, shot)
 
-    stream_moves.writeStream.foreachBatch(put).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+    stream_moves.writeStream.foreachBatch(put).option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start().awaitTermination()

@@ -17,7 +17,7 @@ from ..geo import polygon
 from ..params import Params
 from ..storage import written
 
-SCHEMA = "session_id long, roi_id int, rank int, poi_id long, relevance double, membership double, score double, k_prime int, iterations int, shift double"
+SCHEMA = "session_id long, roi_id int, rank int, poi_id long, relevance double, membership double, score double, k_prime int, iterations int, shift double, objective double"
 
 
 def memberships_of(d: np.ndarray, m: float = 2.0) -> np.ndarray:
@@ -73,19 +73,26 @@ def highlight(rois: DataFrame, matched: DataFrame, scored: DataFrame, pois: Data
     """The k' points of largest membership of every region, found for a session's regions together.
 
     ``scored`` holds (session_id, poi_id, relevance).  Points that several regions match count once.
+    A session's regions come to the kernel beside its points, not on each of them.  ``objective`` is
+    that of the last iteration.
     """
     prm = params
     centre = rois.select("session_id", "roi_id", polygon.centroid(F.col("poly")).alias("c")).join(k_primes.select("session_id", "roi_id", "k_prime"), ["session_id", "roi_id"])
-    regions = centre.groupBy("session_id").agg(F.array_sort(F.collect_list(F.struct("roi_id", "c", "k_prime"))).alias("regions"))
+    regions = centre.select("session_id", F.col("roi_id").cast("int").alias("roi_id"), F.col("c.x").alias("cx"), F.col("c.y").alias("cy"), F.col("k_prime").cast("int").alias("k_prime"))
     of = matched.groupBy("session_id", "poi_id").agg(F.array_sort(F.collect_set("roi_id")).alias("rois"))
     rel = scored.groupBy("session_id", "poi_id").agg(F.max("relevance").alias("relevance"))
-    points = of.join(rel, ["session_id", "poi_id"]).join(pois.select("poi_id", "mx", "my", F.array(*attrs).alias("a")), "poi_id").join(regions, "session_id")
+    points = of.join(rel, ["session_id", "poi_id"]).join(pois.select("poi_id", "mx", "my", F.array(*attrs).alias("a")), "poi_id")
 
-    def kernel(table: pa.Table) -> pa.Table:
+    kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.float64(), pa.float64(), pa.float64(), pa.int32(), pa.int32(), pa.float64(), pa.float64())
+    names = ("session_id", "roi_id", "rank", "poi_id", "relevance", "membership", "score", "k_prime", "iterations", "shift", "objective")
+
+    def kernel(table: pa.Table, beside: pa.Table) -> pa.Table:
+        if not table.num_rows or not beside.num_rows:
+            return pa.table([pa.array([], kd) for kd in kinds], list(names))
         t = table.sort_by([("poi_id", "ascending")]).to_pylist()
-        regs = t[0]["regions"]
+        regs = beside.sort_by([("roi_id", "ascending")]).to_pylist()
         ids = [r["roi_id"] for r in regs]
-        c = np.array([[r["c"]["x"], r["c"]["y"]] for r in regs], float)
+        c = np.array([[r["cx"], r["cy"]] for r in regs], float)
         k = np.array([r["k_prime"] for r in regs])
         p = np.array([[r["mx"], r["my"]] for r in t], float)
         rl = np.array([r["relevance"] for r in t])
@@ -98,18 +105,17 @@ def highlight(rois: DataFrame, matched: DataFrame, scored: DataFrame, pois: Data
                     for n, v in enumerate(a):
                         counts[n][v] = counts[n].get(v, 0) + 1
                 coh[i] = [sum(counts[n].get(v, 0) for n, v in enumerate(r["a"])) / (len(counts) * len(inside)) for r in t]
-        _, u, s, it, shift, _ = refine(c, p, rl, coh, k, prm)
+        _, u, s, it, shift, trace = refine(c, p, rl, coh, k, prm)
+        last = trace[-1] if trace else 0.0
         out = []
         poi = np.array([r["poi_id"] for r in t])
         for i, roi in enumerate(ids):
             order = np.lexsort([poi, -np.round(s[i], 9), -np.round(u[i], 9)])[: k[i]]
-            out += [(t[0]["session_id"], roi, n, int(poi[j]), float(rl[j]), float(u[i, j]), float(s[i, j]), int(k[i]), it, shift) for n, j in enumerate(order, 1)]
-        kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.float64(), pa.float64(), pa.float64(), pa.int32(), pa.int32(), pa.float64())
-        names = ("session_id", "roi_id", "rank", "poi_id", "relevance", "membership", "score", "k_prime", "iterations", "shift")
+            out += [(t[0]["session_id"], roi, n, int(poi[j]), float(rl[j]), float(u[i, j]), float(s[i, j]), int(k[i]), it, shift, last) for n, j in enumerate(order, 1)]
         cols = list(zip(*out, strict=True)) or [()] * len(names)
         return pa.table([pa.array(x, kd) for x, kd in zip(cols, kinds, strict=True)], list(names))
 
-    return points.groupBy("session_id").applyInArrow(kernel, SCHEMA)
+    return points.groupBy("session_id").cogroup(regions.groupBy("session_id")).applyInArrow(kernel, SCHEMA)
 
 
 def memberships(points: DataFrame, centroids: DataFrame, m: float = 2.0) -> DataFrame:

@@ -404,3 +404,108 @@ def test_streams_equal_batch_for_closed_windows(spark, sf):
     closed = run.drain(run.thinned(run.source(spark, sf)), "append", "thin").collect()
     batch = {r.event_id for r in thin.grid(queries.sources.moves(spark, sf)).collect()}
     assert closed and {r.event_id for r in closed} <= batch and len(closed) > 0.9 * len(batch)
+
+
+def _spread(spark, path, rows, schema, files):
+    """rows written as ``files`` Parquet files, in order, which a stream reads one a batch."""
+    import os
+    import time
+
+    step = -(-len(rows) // files)
+    for i in range(files):
+        part = f"{path}/{i}.parquet"
+        spark.createDataFrame(rows[i * step : (i + 1) * step], schema).toPandas().to_parquet(part, coerce_timestamps="us")
+        stamp = time.time() - 1000 + i
+        os.utime(part, (stamp, stamp))
+
+
+def test_stream_hulls_equal_batch_and_late_rows_are_counted(spark, tmp_path):
+    import datetime as dt
+
+    from roilens.streaming import run
+
+    rng, t0 = random.Random(5), dt.datetime(2024, 1, 1)
+    rows = []
+    for session in (1, 2):
+        for segment in range(3):
+            for i in range(30):
+                at = t0 + dt.timedelta(hours=12 * segment, minutes=2 * i + session)
+                rows.append((session, len(rows), at, 200 * (i % 2) + rng.randrange(40), rng.randrange(40)))
+    rows.sort(key=lambda r: r[2])
+    rows.append((9, 1000, t0 + dt.timedelta(days=9), 0, 0))  # drives the watermark past all segments
+    late = (1, 1001, t0 + dt.timedelta(hours=3), 5, 5)
+    schema = "session_id long, event_id long, at timestamp, x long, y long"
+    _spread(spark, tmp_path, rows, schema, 4)
+    spark.createDataFrame([late], schema).toPandas().to_parquet(f"{tmp_path}/zz.parquet", coerce_timestamps="us")
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).option("pathGlobFilter", "*.parquet").parquet(str(tmp_path))
+    seen = {}
+    p = Params(min_pts=3)
+    got = {tuple(r) for r in run.drain(run.closed_hulls(stream, params=p), "append", "hulls", seen).select("session_id", "first_us", "cluster_id", "n", "area").collect()}
+    batch = spark.createDataFrame(rows, schema)
+    want = {tuple(r) for r in run.closed_hulls(batch, params=p).select("session_id", "first_us", "cluster_id", "n", "area").collect()}
+    assert got == want and len({(r[0], r[1]) for r in got}) == 6
+    assert seen["late"] >= 1
+
+
+def test_streamed_rounds_equal_one_shot_and_survive_restarts(spark, sf, tmp_path):
+    import shutil
+
+    from roilens.streaming import run
+
+    columns = ["session_id", "event_id", "t_ms", "x", "y", "signal"]
+    moves = queries.sources.moves(spark, sf).select(*columns)
+    pois = facets.carrier(spark, sf)
+    p = Params(stretch="none")
+    rows = sorted(map(tuple, moves.collect()), key=lambda r: r[2])
+    schema = "session_id long, event_id long, t_ms long, x long, y long, signal string"
+    src, store = tmp_path / "in", tmp_path / "store"
+    src.mkdir()
+    _spread(spark, src, rows, schema, 2)
+    hidden = tmp_path / "later.parquet"
+    shutil.move(src / "1.parquet", hidden)
+    latest = {}
+
+    def on_round(batch, shot):
+        by = {}
+        for r in shot.highlights.collect():
+            by.setdefault(r.session_id, set()).add((r.roi_id, r.rank, r.poi_id))
+        for r in shot.kept.select("session_id").distinct().collect():
+            latest[r.session_id] = by.get(r.session_id, set())
+
+    def go():
+        stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(str(src))
+        run.run(spark, stream, pois, p, on_round, f"file://{store}")
+
+    go()
+    shutil.move(hidden, src / "1.parquet")
+    go()  # another query over the same store: a restart
+    want = {}
+    for r in pipeline.shot(moves, pois, p).highlights.collect():
+        want.setdefault(r.session_id, set()).add((r.roi_id, r.rank, r.poi_id))
+    assert want and {s: h for s, h in latest.items() if h} == want
+
+
+def test_frozen_preferences_learn_nothing(spark, sf):
+    m, pois = queries.sources.moves(spark, sf), facets.carrier(spark, sf)
+    _, shots = pipeline.iterate(spark, [m.where("t_ms < 15000"), m.where("t_ms >= 15000")], pois, Params(horizon_ms=15000, stretch="none"), freeze_after=1)
+    first = {(r.session_id, r.attr, r.val): r.raw for r in shots[0].feedback.collect()}
+    then = {(r.session_id, r.attr, r.val): r.raw for r in shots[1].feedback.where("raw > 0").collect()}
+    assert then and all(first[k] == pytest.approx(v) for k, v in then.items())
+
+
+def test_greedy_against_the_best_subset():
+    import itertools
+
+    def spread(group):
+        pairs = list(itertools.combinations(group, 2))
+        return sum(1 - sum(x == y for x, y in zip(a, b, strict=True)) / len(a) for a, b in pairs) / len(pairs)
+
+    rng, share = random.Random(2), []
+    for _ in range(40):
+        items = [tuple(rng.randrange(4) for _ in range(3)) for _ in range(9)]
+        best = max(spread(c) for c in itertools.combinations(items, 3))
+        chosen, *_ = greedy.swap_scan(items, 3, 0.0, "intent", "best", "mean", None, None)
+        got = spread([items[i] for i in chosen])
+        assert got <= best + 1e-12
+        share.append(got / best)
+    assert sum(share) / len(share) > 0.85
