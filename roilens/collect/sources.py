@@ -76,11 +76,11 @@ def tracks(spark: SparkSession, sf_dir: str) -> DataFrame:
     return e.join(m, F.col("_id") == F.col("event_id")).select("track_id", "event_id", "t_ms", "x", "y", "alt")
 
 
-def voice(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Turns of conversations as voice commands about a place: one more kind of signal."""
+def voice(spark: SparkSession, sf_dir: str, per_session: int = 8, apart_ms: int = 150) -> DataFrame:
+    """Turns of conversations as voice commands about a place: so many conversations a session, that far apart."""
     c = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", F.length("text").alias("n"))
     said = c.where("role = 'user'").select(
-        F.expr("conv_id div 8").alias("session_id"), (F.col("conv_id") * 1000 + F.col("turn")).alias("event_id"), (F.col("turn") * 3000 + F.col("conv_id") % 8 * 150).alias("t_ms"), "n", "conv_id", "turn"
+        F.expr(f"conv_id div {per_session}").alias("session_id"), (F.col("conv_id") * 1000 + F.col("turn")).alias("event_id"), (F.col("turn") * 3000 + F.col("conv_id") % per_session * apart_ms).alias("t_ms"), "n", "conv_id", "turn"
     )
     spot = F.col("n") % 5
     return said.select("session_id", "event_id", "t_ms", (at_index(ANCHOR_X, spot) + F.col("turn") * 5).alias("x"), (at_index(ANCHOR_Y, spot) + F.col("conv_id") % 7 * 4).alias("y"), F.lit("voice").alias("signal"))

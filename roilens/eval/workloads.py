@@ -266,7 +266,7 @@ def preliminary_query(spark: SparkSession, sf_dir: str, params: Params = Params(
 
 def generic(spark: SparkSession, sf_dir: str, carrier: str = "customer", signal: str = "hover", params: Params = Params()) -> DataFrame:
     """The same pipeline on another POI set or another kind of signal."""
-    moves = sources.voice(spark, sf_dir) if signal == "voice" else sources.moves(spark, sf_dir)
+    moves = sources.voice(spark, sf_dir, 64, 40) if signal == "voice" else sources.moves(spark, sf_dir)
     return pipeline.shot(moves, facets.carrier(spark, sf_dir, carrier), params).highlights
 
 
@@ -289,11 +289,11 @@ def index_against_scan(spark: SparkSession, sf_dir: str, params: Params = Params
 
 
 def _weeks(spark: SparkSession, sf_dir: str, params: Params, rounds: int, freeze_after: int | None = None) -> tuple[DataFrame, list[pipeline.Shot]]:
-    """Weeks of events as rounds."""
-    moves = written(sources.moves(spark, sf_dir), "moves")
+    """Weeks of events as rounds, sessions of 32 users; a week takes the time of a session, so that thinning leaves enough of it."""
+    moves = written(sources.moves(spark, sf_dir, users_per_session=32), "moves")
     week = params.horizon_ms // rounds
-    by_round = [moves.where((F.col("t_ms") >= i * week) & (F.col("t_ms") < (i + 1) * week)).withColumn("t_ms", F.col("t_ms") - i * week) for i in range(rounds)]
-    return pipeline.iterate(spark, by_round, written(facets.carrier(spark, sf_dir), "pois"), params.but(horizon_ms=week), freeze_after)
+    by_round = [moves.where((F.col("t_ms") >= i * week) & (F.col("t_ms") < (i + 1) * week)).withColumn("t_ms", (F.col("t_ms") - i * week) * rounds) for i in range(rounds)]
+    return pipeline.iterate(spark, by_round, written(facets.carrier(spark, sf_dir), "pois"), params, freeze_after)
 
 
 def static_preferences(spark: SparkSession, sf_dir: str, params: Params = Params(), rounds: int = 2, freeze_after: int = 1) -> DataFrame:

@@ -60,5 +60,5 @@ def op_stream_late(s, d):
 def op_stream_hulls(s, d):
     """Hulls of the clusters of segments that are closed when the stream ends."""
     places = sources.moves(s, d).select("event_id", "x", "y")
-    found = run.drain(run.closed_hulls(run.source(s, d).join(places, "event_id"), "12 hours", params=Params(min_pts=3, radius=60.0)), "append", "hulls")
+    found = run.drain(run.closed_hulls(run.source(s, d).join(places, "event_id"), "3 hours", params=Params(min_pts=3, radius=60.0)), "append", "hulls")
     return found.select("session_id", "first_us", "last_us", "cluster_id", "n", F.size("poly").alias("vertices"), F.round("area", 6).alias("area"))
