@@ -187,7 +187,7 @@ def _stars(held: DataFrame) -> DataFrame:
     return held.join(least, F.col("key") == F.col("_key")).where("node > a").select("a", F.col("node").alias("b"))
 
 
-def _blocks(held: DataFrame) -> DataFrame:
+def blocks(held: DataFrame) -> DataFrame:
     """(block, node): blocks in which any two mates of buckets with several components meet.
 
     A bucket's nodes are dealt into about equal parts, and two parts make a block; blocks of the same
@@ -252,8 +252,8 @@ def classes(docs: DataFrame, at_least: float = SIMILAR) -> tuple[DataFrame, Data
     sets = written(_sets(docs, marked.select("doc_id", "node"), wanted), "shingles")
     roots = written(components(_verified(pairs, sets, at_least)).withColumnRenamed("node", "_node"), "roots")
     comp = F.coalesce("root", "node")
-    blocks = written(_blocks(held.join(roots, F.col("node") == F.col("_node"), "left").select("key", "node", "size", comp.alias("comp"))), "blocks")
-    more = written(components(_compared(blocks, sets, roots, at_least)).select(F.col("node").alias("_root"), F.col("root").alias("_top")), "roots")
+    met = written(blocks(held.join(roots, F.col("node") == F.col("_node"), "left").select("key", "node", "size", comp.alias("comp"))), "blocks")
+    more = written(components(_compared(met, sets, roots, at_least)).select(F.col("node").alias("_root"), F.col("root").alias("_top")), "roots")
     rooted = nodes.select("node", "first_id").join(roots, F.col("node") == F.col("_node"), "left").select("node", "first_id", comp.alias("_comp"))
     rooted = rooted.join(more, F.col("_comp") == F.col("_root"), "left").select(F.col("node").alias("fp"), "first_id", F.coalesce("_top", "_comp").alias("root"))
     ids = rooted.groupBy(F.col("root").alias("of")).agg(F.min("first_id").alias("component_id"))

@@ -24,8 +24,10 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .alike import blocks
 from .common import written
 from .components import components
+from .textscan import slices
 
 SLOTS = 128
 BANDS, BAND_SLOTS = 32, 6
@@ -126,7 +128,9 @@ def fingerprints(docs: DataFrame) -> DataFrame:
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(to_hex(embed([t or "" for t in b.column(1).to_pylist()])), pa.string())], schema.names)
+            for lo, hi in slices(b.column(1)):
+                texts = [t or "" for t in b.column(1).slice(lo, hi - lo).to_pylist()]
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(lo, hi - lo), pa.array(to_hex(embed(texts)), pa.string())], schema.names)
 
     return base.mapInArrow(rows, schema)
 
@@ -154,8 +158,9 @@ def near_links(marked: DataFrame, at_least: float = 0.8) -> DataFrame:
     """(a, b, likeness): verified links that connect all alike fingerprints of ``marked`` that share a band.
 
     Equal fingerprints are folded first.  In every bucket members meet the least one, which joins most
-    groups in m - 1 candidates; bucket mates that are then still in different components all meet each
-    other.  So two alike fingerprints that share a bucket are never left unconnected.
+    groups in m - 1 candidates.  Mates in buckets that then still hold several components all meet, in
+    blocks of bounded size; only links become rows, one for two components of a block.  So two alike
+    fingerprints that share a bucket are never left unconnected.
     """
     fps = marked.select("fingerprint").distinct()
     banded = written(_bands(fps), "bands")
@@ -168,14 +173,46 @@ def near_links(marked: DataFrame, at_least: float = 0.8) -> DataFrame:
     roots = components(first.select("a", "b"))
     held = banded.join(roots, F.col("fingerprint") == F.col("node"), "left").select("band", "key", "fingerprint", F.coalesce("root", "fingerprint").alias("comp"))
     held = written(held, "bands")
-    mixed = held.groupBy("band", "key").agg(F.min("comp").alias("_lo"), F.max("comp").alias("_hi")).where("_lo < _hi").select("band", "key")
-    left = written(held.join(mixed, ["band", "key"], "left_semi"), "bands")
-    right = left.select("band", "key", F.col("fingerprint").alias("fingerprint2"), F.col("comp").alias("comp2"))
-    met = left.join(right, ["band", "key"]).where("comp < comp2")
-    second = alike(met.select(F.least("fingerprint", "fingerprint2").alias("a"), F.greatest("fingerprint", "fingerprint2").alias("b")))
+    keyed = held.select(F.concat_ws(":", "band", "key").alias("key"), F.col("fingerprint").alias("node"), F.lit(SLOTS).cast("long").alias("size"), "comp")
+    of = held.select(F.col("fingerprint").alias("_f"), "comp").distinct()
+    met = written(blocks(keyed), "blocks").join(of, F.col("node") == F.col("_f")).select("block", "node", "comp")
+
+    def links(group: pa.Table) -> pa.Table:
+        return block_links(group.column("node").to_pylist(), group.column("comp").to_pylist(), at_least)
+
+    second = written(met.groupBy("block").applyInArrow(links, "a string, b string, likeness double"), "near-links")
     return first.unionAll(second).distinct()
 
 
+def block_links(marks: list[str], comps: list[str], at_least: float) -> pa.Table:
+    """(a, b, likeness): for two components that have alike members among these fingerprints, one such pair."""
+    _, comp = np.unique(np.array(comps), return_inverse=True)
+    digits = np.frombuffer("".join(marks).encode(), np.uint8).reshape(len(marks), SLOTS)
+    found: dict[tuple[int, int], tuple[str, str, float]] = {}
+    for i in range(1, len(marks)):
+        others = np.flatnonzero(comp[:i] != comp[i])
+        like = (digits[others] == digits[i]).sum(1) / SLOTS
+        for j in others[like >= at_least].tolist():
+            pair = (min(comp[i], comp[j]), max(comp[i], comp[j]))
+            if pair not in found:
+                found[pair] = (min(marks[i], marks[j]), max(marks[i], marks[j]), float((digits[i] == digits[j]).sum() / SLOTS))
+    cols = list(zip(*found.values(), strict=True)) or [()] * 3
+    return pa.table([pa.array(c, k) for c, k in zip(cols, (pa.string(), pa.string(), pa.float64()), strict=True)], ["a", "b", "likeness"])
+
+
+def near_groups(docs: DataFrame, at_least: float = 0.8) -> DataFrame:
+    """(doc_id, fingerprint, component_id) of every row: components of texts whose fingerprints are alike.
+
+    component_id is the least doc_id reachable, null where no text of the component has one.  Null texts
+    are empty ones; empty texts are like each other.
+    """
+    marked = written(fingerprints(docs), "marked")
+    roots = components(near_links(marked, at_least).select("a", "b"))
+    rooted = marked.join(roots, F.col("fingerprint") == F.col("node"), "left").select("doc_id", "fingerprint", F.coalesce("root", "fingerprint").alias("root"))
+    ids = rooted.groupBy(F.col("root").alias("of")).agg(F.min("doc_id").alias("component_id"))
+    return rooted.join(ids, F.col("root") == F.col("of")).select("doc_id", "fingerprint", "component_id")
+
+
 def _cut_points(docs: DataFrame, parts: int) -> list[int]:
     """At most ``parts - 1`` ids that part the documents about evenly."""
     if parts < 2:

@@ -56,6 +56,11 @@ def op9_edit_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
     return edit_embedding.edit_study(table(spark, sf_dir, "documents"))
 
 
+def near_edit_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The edit fingerprints' banding and verification over all documents."""
+    return edit_embedding.near_groups(table(spark, sf_dir, "documents"))
+
+
 def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     return toxicity.score(docs, toxicity.fit(spark, docs, table(spark, sf_dir, "labels")))
@@ -72,7 +77,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         op1_license_scan, op2_quality_classifier, op3_mix_sources, op4_simhash, op5_chat_format,
         op6_quality_rules, op7_byte_bpe, op8_substring_dedup, op9_edit_fingerprint, op10_toxicity,
     )
-    return {f.__name__: f for f in named} | {"pipeline": pipeline}
+    return {f.__name__: f for f in named} | {"near_edit_groups": near_edit_groups, "pipeline": pipeline}
 
 
 def _sql(text: str) -> str:

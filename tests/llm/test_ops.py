@@ -532,6 +532,18 @@ def test_near_links_in_crowded_buckets_equal_all_bucket_mates(spark):
     assert len({components_slow(got, range(len(marks)))[i] for i in chain}) == 1
 
 
+def test_near_edit_groups_hold_every_row(spark):
+    rng = random.Random(4)
+    base = "".join(rng.choice("abcdefgh ") for _ in range(3000))
+    rows = [(7, base), (3, base[:2990] + "zz"), (9, base), (None, base), (5, "other " * 300), (1, None), (2, "")]
+    got = edit_embedding.near_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    of = {r.doc_id: r.component_id for r in got}
+    assert len(got) == len(rows)
+    assert of == {7: 3, 3: 3, 9: 3, None: 3, 5: 5, 1: 1, 2: 1}
+    empty = spark.createDataFrame([], "doc_id long, text string")
+    assert edit_embedding.near_groups(empty).count() == 0
+
+
 def test_toxicity_held_out_and_sentences(spark):
     got = registry.op10_toxicity(spark, "/root/testdata/sf0.1").toPandas()
     m = got.merge(spark.read.parquet("/root/testdata/sf0.1/labels.parquet").toPandas(), on="doc_id")
