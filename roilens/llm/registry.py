@@ -77,7 +77,12 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         op1_license_scan, op2_quality_classifier, op3_mix_sources, op4_simhash, op5_chat_format,
         op6_quality_rules, op7_byte_bpe, op8_substring_dedup, op9_edit_fingerprint, op10_toxicity,
     )
-    return {f.__name__: f for f in named} | {"near_edit_groups": near_edit_groups, "pipeline": pipeline}
+    return {f.__name__: f for f in named} | {"pipeline": pipeline}
+
+
+def others() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    """Queries of parts of the operators that the eleven do not run."""
+    return {"near_edit_groups": near_edit_groups}
 
 
 def _sql(text: str) -> str:
