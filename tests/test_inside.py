@@ -55,7 +55,7 @@ def test_first_and_best_points_of_regions(parts):
     assert rows(inside.best(r, p, facets.attributes(p), w, k, False).select(*at)) == rows(want.select(*at))
 
 
-@pytest.mark.parametrize("name", ["q_kprime", "q_greedy_seed", "q_cohesiveness", "q_feedback_batch", "q_feedback_clicks", "q_feedback_decay", "q_feedback_explain", "q_feedback_per_value", "q_feedback_sequential", "q_feedback_state"])
+@pytest.mark.parametrize("name", ["q_kprime", "q_greedy_seed", "q_cohesiveness", "q_feedback_batch", "q_feedback_clicks", "q_feedback_decay", "q_feedback_explain", "q_feedback_per_value", "q_feedback_sequential", "q_feedback_state", "q_coverage", "q_diversity", "q_hit_ratio", "q_accumulated"])
 def test_queries_list_no_match(spark, sf, name, monkeypatch):
     def listed(*_):
         raise AssertionError("a row for each match")
