@@ -55,6 +55,19 @@ def test_first_and_best_points_of_regions(parts):
     assert rows(inside.best(r, p, facets.attributes(p), w, k, False).select(*at)) == rows(want.select(*at))
 
 
+@pytest.mark.parametrize("params", [Params(), Params(softmax="state", peculiarity="plain"), Params(max_scan=1, update="batch", swap="best"), Params(threshold=0.0, diversity="min", boundary=True)])
+def test_greedy_shot_lists_no_match(spark, sf, params, monkeypatch):
+    moves, pois = sources.moves(spark, sf), facets.carrier(spark, sf)
+    listed = pipeline.shot(moves, pois, params, listed=True)
+    labels = []
+    monkeypatch.setattr(pipeline, "written", lambda df, label: labels.append(label) or written(df, label))
+    s = pipeline.shot(moves, pois, params)
+    assert not {"matched", "scored", "ranked", "facets"} & set(labels)
+    for a, b, value in ((s.highlights, listed.highlights, "relevance"), (s.feedback, listed.feedback, "raw"), (s.k_primes, listed.k_primes, "printed")):
+        keep = [F.round(c, 6).alias(c) if c == value else F.col(c) for c in b.columns if c not in ("intent", "peculiarity")]
+        assert rows(a.select(*keep)) == rows(b.select(*keep))
+
+
 @pytest.mark.parametrize("name", ["q_kprime", "q_greedy_seed", "q_cohesiveness", "q_feedback_batch", "q_feedback_clicks", "q_feedback_decay", "q_feedback_explain", "q_feedback_per_value", "q_feedback_sequential", "q_feedback_state", "q_coverage", "q_diversity", "q_hit_ratio", "q_accumulated"])
 def test_queries_list_no_match(spark, sf, name, monkeypatch):
     def listed(*_):
