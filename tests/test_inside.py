@@ -75,3 +75,8 @@ def test_queries_list_no_match(spark, sf, name, monkeypatch):
 
     monkeypatch.setattr(match, "match", listed)
     assert queries.QUERIES[name](spark, sf).columns
+
+
+def test_out_of_sight_parts_meet_squares_of_moves(spark, sf):
+    plan = OPS["op_anti_outofsight"](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    assert "collect_list" in plan and "exists(" in plan
