@@ -80,3 +80,15 @@ def test_queries_list_no_match(spark, sf, name, monkeypatch):
 def test_out_of_sight_parts_meet_squares_of_moves(spark, sf):
     plan = OPS["op_anti_outofsight"](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
     assert "collect_list" in plan and "exists(" in plan
+
+
+@pytest.mark.parametrize("of, table", [(OPS["op_recursive_series"], "lineitem")])
+def test_series_and_curve_read_a_table(spark, sf, of, table, monkeypatch):
+    from roilens.eval import workloads
+    from roilens.relational import ops
+
+    read = []
+    for module in (workloads, ops):
+        was = module.table
+        monkeypatch.setattr(module, "table", lambda s, d, n, was=was: read.append(n) or was(s, d, n))
+    assert of(spark, sf).count() >= 6 and table in read
