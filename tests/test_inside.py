@@ -68,7 +68,7 @@ def test_greedy_shot_lists_no_match(spark, sf, params, monkeypatch):
         assert rows(a.select(*keep)) == rows(b.select(*keep))
 
 
-@pytest.mark.parametrize("name", ["q_kprime", "q_greedy_seed", "q_cohesiveness", "q_feedback_batch", "q_feedback_clicks", "q_feedback_decay", "q_feedback_explain", "q_feedback_per_value", "q_feedback_sequential", "q_feedback_state", "q_coverage", "q_diversity", "q_hit_ratio", "q_accumulated"])
+@pytest.mark.parametrize("name", ["q_feedback_batch", "q_feedback_clicks", "q_feedback_decay", "q_feedback_explain", "q_feedback_per_value", "q_feedback_sequential", "q_feedback_state", "q_kprime", "q_greedy_seed", "q_cohesiveness", "q_coverage", "q_diversity", "q_hit_ratio", "q_accumulated"])
 def test_queries_list_no_match(spark, sf, name, monkeypatch):
     def listed(*_):
         raise AssertionError("a row for each match")
@@ -82,7 +82,7 @@ def test_out_of_sight_parts_meet_squares_of_moves(spark, sf):
     assert "collect_list" in plan and "exists(" in plan
 
 
-@pytest.mark.parametrize("of, table", [(OPS["op_recursive_series"], "lineitem")])
+@pytest.mark.parametrize("of, table", [(OPS["op_recursive_series"], "lineitem"), (queries.QUERIES["q_confidence"], "orders")])
 def test_series_and_curve_read_a_table(spark, sf, of, table, monkeypatch):
     from roilens.eval import workloads
     from roilens.relational import ops
