@@ -92,3 +92,19 @@ def test_series_and_curve_read_a_table(spark, sf, of, table, monkeypatch):
         was = module.table
         monkeypatch.setattr(module, "table", lambda s, d, n, was=was: read.append(n) or was(s, d, n))
     assert of(spark, sf).count() >= 6 and table in read
+
+
+def test_sampling_gaps_are_mined_together(spark, sf, monkeypatch):
+    from roilens.collect import segment, thin
+    from roilens.eval import workloads
+
+    gaps, moves = (10, 40, 60, 100), written(sources.moves(spark, sf, users_per_session=128), "dense")
+    want = []
+    for eps in gaps:
+        kept = written(thin.grid(moves, eps), "kept")
+        r = intersect.discover(segment.segment(kept), Params()).collect()
+        want.append((eps, kept.count(), len(r), round(sum(x.area for x in r), 3) if r else None))
+    calls, was = [], intersect.discover
+    monkeypatch.setattr(intersect, "discover", lambda *a: calls.append(a) or was(*a))
+    got = workloads.eps_sweep(spark, sf, gaps).select("eps_ms", "kept", "rois", F.round("roi_area", 3))
+    assert len(calls) == 1 and rows(got) == sorted(want, key=repr) and any(w[2] for w in want)
