@@ -108,3 +108,56 @@ def test_sampling_gaps_are_mined_together(spark, sf, monkeypatch):
     monkeypatch.setattr(intersect, "discover", lambda *a: calls.append(a) or was(*a))
     got = workloads.eps_sweep(spark, sf, gaps).select("eps_ms", "kept", "rois", F.round("roi_area", 3))
     assert len(calls) == 1 and rows(got) == sorted(want, key=repr) and any(w[2] for w in want)
+
+
+@pytest.mark.parametrize("params", [Params(), Params(fuzzy="cmeans"), Params(softmax="state", peculiarity="plain", k=3), Params(update="batch", weights=(0.0, 1.0, 0.0), boundary=True)])
+def test_fuzzy_shot_lists_no_match(spark, sf, params, monkeypatch):
+    moves, pois = sources.moves(spark, sf), written(facets.carrier(spark, sf).withColumn("brand", F.expr("if(poi_id % 7 = 0, null, brand)")), "pois")
+    listed = pipeline.shot(moves, pois, params, None, "fuzzy", listed=True)
+    labels = []
+    monkeypatch.setattr(pipeline, "written", lambda df, label: labels.append(label) or written(df, label))
+    s = pipeline.shot(moves, pois, params, None, "fuzzy")
+    assert not {"matched", "scored", "ranked", "facets"} & set(labels)
+    six = [F.round(c, 6).alias(c) for c in ("relevance", "membership", "score", "shift")]
+    keep = ["session_id", "roi_id", "rank", "poi_id", "k_prime", "iterations", *six, F.round("objective", 4)]
+    assert s.highlights.count() and rows(s.highlights.select(*keep)) == rows(listed.highlights.select(*keep))
+
+
+def test_study_of_approaches_lists_no_match(spark, sf, monkeypatch):
+    from roilens.eval import workloads
+
+    def listed(*_):
+        raise AssertionError("a row for each match")
+
+    monkeypatch.setattr(fuzzy, "highlight", listed)
+    monkeypatch.setattr(relevance, "ranked", lambda df: df.where("raise_error('a row for each match') is null"))
+    assert workloads.choose_study(spark, sf).count() == 4
+
+
+@pytest.mark.parametrize("how", ["topk_mean", "cmeans"])
+def test_crowd_refines_as_all_points_do(how):
+    import numpy as np
+
+    rng, prm = np.random.default_rng(5), Params(fuzzy=how)
+    for z, n, side in ((1, 40, 5), (4, 3000, 12), (6, 900, 60)):
+        x, y = rng.integers(-side, side, n), rng.integers(-side, side, n)
+        order = np.lexsort([x, y])
+        x, y, ids, codes = x[order].astype(float), y[order].astype(float), rng.permutation(n), rng.integers(0, 3, (n, 2))
+        inside_, relevances = [], []
+        coh, rel, c = np.zeros((z, n)), np.full(n, -np.inf), rng.integers(-side, side, (z, 2)).astype(float)
+        for i in range(z):
+            at = np.sort(rng.permutation(n)[: n // 2]) if i else np.arange(n)
+            inside_.append(at)
+            relevances.append(np.round(rng.random(n), 1)[at])
+            rel[at] = np.maximum(rel[at], relevances[-1])
+            coh[i] = sum((codes[at, a][None, :] == codes[:, a][:, None]).sum(1) for a in range(2)) / (2 * len(at))
+        k = rng.integers(0, 6, z)
+        by_id = np.argsort(ids)
+        want, u, s, it, shift, trace = fuzzy.refine(c, np.column_stack([x, y])[by_id], rel[by_id], coh[:, by_id], k, prm)
+        crowd = fuzzy.Crowd(ids, x, y, codes, 3, inside_, relevances)
+        got, it2, shift2, trace2 = crowd.refine(c, k, prm)
+        assert it == it2 and np.allclose(got, want, atol=1e-9) and np.allclose(trace, trace2)
+        chosen, *_ = crowd.highlights(c, k, prm)
+        for i in range(z):
+            best = np.lexsort([np.arange(n), -np.round(s[i], 9), -np.round(u[i], 9)])[: k[i]]
+            assert [b[0] for b in chosen[i]] == best.tolist()
