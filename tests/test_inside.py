@@ -9,7 +9,7 @@ from roilens.eval import baselines
 from roilens.geo import quadtree
 from roilens.mine import intersect
 from roilens.params import Params
-from roilens.relational.ops import OPS
+from roilens.relational.ops import OPS, SQL
 from roilens.storage import written
 from roilens.suggest import facets, feedback, fuzzy, inside, match, peculiarity, relevance
 
@@ -82,6 +82,20 @@ def test_out_of_sight_parts_meet_squares_of_moves(spark, sf):
     assert "collect_list" in plan and "exists(" in plan
 
 
+def test_out_of_sight_parts_need_no_broadcast(spark, sf, tmp_path):
+    """Neither parts nor moves go through the driver, whatever size Spark expects; also with odd keys."""
+    duckdb = pytest.importorskip("duckdb")
+    spark.read.parquet(f"{sf}/part.parquet").withColumn("p_partkey", F.expr("if(p_partkey % 9 = 0, null, p_partkey div 2 - 40)")).write.parquet(f"{tmp_path}/part.parquet")
+    spark.read.parquet(f"{sf}/events.parquet").withColumn("event_id", F.expr("if(event_id % 5 = 0, null, event_id - 500)")).write.parquet(f"{tmp_path}/events.parquet")
+    for d, files in ((sf, ".parquet"), (tmp_path, ".parquet/*.parquet")):
+        got = OPS["op_anti_outofsight"](spark, str(d))
+        assert "Broadcast" not in got._jdf.queryExecution().sparkPlan().toString()
+        with duckdb.connect() as con:
+            for name in ("part", "events"):
+                con.execute(f"CREATE VIEW {name} AS SELECT * FROM '{d}/{name}{files}'")
+            assert rows(got) == sorted(con.execute(SQL["op_anti_outofsight"]).fetchall(), key=repr)
+
+
 @pytest.mark.parametrize("of, table", [(OPS["op_recursive_series"], "lineitem"), (queries.QUERIES["q_confidence"], "orders")])
 def test_series_and_curve_read_a_table(spark, sf, of, table, monkeypatch):
     from roilens.eval import workloads
