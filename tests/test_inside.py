@@ -4,10 +4,10 @@ import pytest
 from pyspark.sql import functions as F
 
 from roilens import pipeline, queries
-from roilens.collect import sources
+from roilens.collect import segment, sources, thin
 from roilens.eval import baselines
 from roilens.geo import quadtree
-from roilens.mine import intersect
+from roilens.mine import cluster, components, intersect
 from roilens.params import Params
 from roilens.relational.ops import OPS, SQL
 from roilens.storage import written
@@ -124,6 +124,22 @@ def test_sampling_gaps_are_mined_together(spark, sf, monkeypatch):
     assert len(calls) == 1 and rows(got) == sorted(want, key=repr) and any(w[2] for w in want)
 
 
+def test_distributed_clusters_need_no_broadcast(spark, sf, monkeypatch):
+    """Files are small beside the rows they hold, so Spark would send points and their copies through the driver."""
+    moves = written(segment.segment(thin.grid(sources.moves(spark, sf, users_per_session=128), 10)), "segmented")
+    plans = []
+    for module in (cluster, components):
+        monkeypatch.setattr(module, "written", lambda df, label: plans.append((label, df)) or written(df, label))
+    found = cluster.distributed(moves, Params())
+    for label, df in [*plans, ("found", found)]:
+        assert "Broadcast" not in df._jdf.queryExecution().sparkPlan().toString(), label
+    assert {"pixels", "cores", "cells", "edges", "core-labels"} <= {label for label, _ in plans}
+    keep = ("event_id", "cluster_id", "role")
+    monkeypatch.undo()
+    want = cluster.dbscan(moves, Params(local_cap=10**9)).select(*keep)
+    assert rows(found.select(*keep)) == rows(want) and want.where("role = 'core'").count()
+
+
 @pytest.mark.parametrize("params", [Params(), Params(fuzzy="cmeans"), Params(softmax="state", peculiarity="plain", k=3), Params(update="batch", weights=(0.0, 1.0, 0.0), boundary=True)])
 def test_fuzzy_shot_lists_no_match(spark, sf, params, monkeypatch):
     moves, pois = sources.moves(spark, sf), written(facets.carrier(spark, sf).withColumn("brand", F.expr("if(poi_id % 7 = 0, null, brand)")), "pois")
